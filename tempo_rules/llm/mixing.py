@@ -16,8 +16,8 @@ from .common import materialize
 
 WEIGHTS = (1, 2, 3)
 MAX_COPIES = 3
-#: Newton steps; offsets tried when rates are rounded; rows rounded in one go.
-NEWTON_STEPS, OFFSETS, CHUNK_ROWS = 40, 16, 100_000
+#: Newton steps; offsets and seeds tried when rates are rounded; rows rounded in one go.
+NEWTON_STEPS, OFFSETS, SEEDS, CHUNK_ROWS = 40, 16, 32, 100_000
 #: Sources are collected as a table of targets; more than this many is refused.
 MAX_SOURCES = 1_000_000
 
@@ -84,13 +84,18 @@ def mix_documents(docs: DataFrame, weights=WEIGHTS, cap: int = MAX_COPIES) -> Da
     # in each chunk, sizes descend: a whole copy more or less then costs little
     place = F.row_number().over(Window.partitionBy("source", "chunk").orderBy(F.desc("size"), "h", "doc_id"))
     ranked = materialize(rated.withColumn("k", place), "ranked")
-    copies = lambda u: (F.floor(F.col("k") * F.col("rate") + u) - F.floor((F.col("k") - 1) * F.col("rate") + u)).cast("long")
-    tries = [i / OFFSETS + 0.5 / OFFSETS for i in range(OFFSETS)]
-    error = [F.abs(F.sum(copies(F.lit(u)) * F.col("size")) - F.sum(F.col("rate") * F.col("size"))).alias(f"e{i}") for i, u in enumerate(tries)]
+    # each try rounds every rate up or down; the one that meets the words best is kept.
+    # Systematic tries suit many documents, independent ones suit few large ones.
+    systematic = lambda u: F.floor(F.col("k") * F.col("rate") + u) - F.floor((F.col("k") - 1) * F.col("rate") + u)
+    independent = lambda seed: F.floor(F.col("rate") + F.pmod(F.xxhash64("h", seed), F.lit(1 << 30)) / F.lit(float(1 << 30)))
+    held = lambda c: F.least(F.greatest(c.cast("long"), F.lit(0)), F.lit(cap)).cast("long")
+    tries = [held(systematic(F.lit((i + 0.5) / OFFSETS))) for i in range(OFFSETS)] + [held(independent(F.lit(i))) for i in range(SEEDS)]
+    names = [f"e{i}" for i in range(len(tries))]
+    error = [F.abs(F.sum(c * F.col("size")) - F.sum(F.col("rate") * F.col("size"))).alias(e) for c, e in zip(tries, names)]
     best = ranked.groupBy("source", "chunk").agg(*error)
-    found = F.array_position(F.array(*[f"e{i}" for i in range(OFFSETS)]), F.array_min(F.array(*[f"e{i}" for i in range(OFFSETS)])))
-    best = best.select(F.col("source").alias("bs"), F.col("chunk").alias("bc"), ((found - 0.5) / OFFSETS).alias("u"))
+    found = F.array_position(F.array(*names), F.array_min(F.array(*names))) - 1
+    best = best.select(F.col("source").alias("bs"), F.col("chunk").alias("bc"), found.cast("int").alias("best"))
     out = ranked.join(best, ranked.source.eqNullSafe(best.bs) & (ranked.chunk == best.bc))
-    # rounding of k times a rate may touch a whole number: at most cap copies hold
-    out = out.withColumn("copies", F.least(F.greatest(copies(F.col("u")), F.lit(0)), F.lit(cap)).cast("long"))
+    chosen = F.when(F.col("best") < OFFSETS, held(systematic((F.col("best") + 0.5) / OFFSETS))).otherwise(held(independent(F.col("best") - OFFSETS)))
+    out = out.withColumn("copies", chosen)
     return out.select("doc_id", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).alias("taken"))
