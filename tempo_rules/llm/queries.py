@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import read_table
 from .mixing import mix_documents
+from .quality_rules import judge_documents
 from .sharding import shard_documents
 
 
@@ -15,12 +16,17 @@ def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_documents(read_table(spark, sf_dir, "documents"))
 
 
+def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_documents(read_table(spark, sf_dir, "documents"))
+
+
 def op7_shard_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(read_table(spark, sf_dir, "documents"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_mix_sources": op3_mix_sources,
+    "op5_quality_rules": op5_quality_rules,
     "op7_shard_documents": op7_shard_documents,
 }
 ORACLES: dict[str, str] = {}
