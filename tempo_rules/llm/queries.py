@@ -12,6 +12,7 @@ from .near_duplicates import join_texts
 from .quality_rules import judge_documents
 from .secrets_scan import scan_documents
 from .sharding import shard_documents
+from .suffix_dedup import remove_repeats
 from .url_filters import judge_pages
 from .warc import archive_pages
 
@@ -44,6 +45,10 @@ def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_documents(read_table(spark, sf_dir, "documents"))
 
 
+def op10_remove_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(read_table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_mix_sources": op3_mix_sources,
     "op4_url_filters": op4_url_filters,
@@ -52,6 +57,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_shard_documents": op7_shard_documents,
     "op8_near_duplicates": op8_near_duplicates,
     "op9_secret_scan": op9_secret_scan,
+    "op10_remove_repeats": op10_remove_repeats,
 }
 ORACLES: dict[str, str] = {
     "op6_warc": """

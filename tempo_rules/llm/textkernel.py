@@ -158,3 +158,40 @@ def per_doc(mask: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     sums = np.zeros(len(mask) + 1, np.int64)
     np.cumsum(mask, out=sums[1:])
     return sums[offsets[1:]] - sums[offsets[:-1]]
+
+
+_BYTES = (_BYTE, _rng.integers(1, 2**63, 256, dtype=np.uint64))
+_BASES = (_BASE, 0xC2B2AE3D27D4EB4F)
+_POWS = (_POW, _powers(_BASES[1], PIECE))
+_INVS = (_INV, _powers(pow(_BASES[1], -1, 1 << 64), PIECE))
+
+
+def rolling(buf: np.ndarray, k: int, which: int = 0) -> np.ndarray:
+    """Hash of every k bytes in a row; which chooses one of two independent hashes."""
+    n = len(buf) - k + 1
+    if n <= 0:
+        return np.zeros(0, np.uint64)
+    out = np.empty(n, np.uint64)
+    step = PIECE - k
+    for a in range(0, n, step):
+        m = min(step, n - a)
+        seg = buf[a : a + m + k - 1]
+        sums = np.empty(len(seg) + 1, np.uint64)
+        sums[0] = 0
+        np.cumsum(_BYTES[which][seg] * _POWS[which][: len(seg)], out=sums[1:])
+        out[a : a + m] = mix((sums[k : k + m] - sums[:m]) * _INVS[which][:m])
+    return out
+
+
+def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
+    """Minimum of every w values in a row."""
+    n = len(x) - w + 1
+    if n <= 0:
+        return x[:0]
+    rows = -(-len(x) // w)
+    full = np.full(rows * w, np.iinfo(x.dtype).max, x.dtype)
+    full[: len(x)] = x
+    full = full.reshape(rows, w)
+    ahead = np.minimum.accumulate(full, axis=1).ravel()
+    back = np.minimum.accumulate(full[:, ::-1], axis=1)[:, ::-1].ravel()
+    return np.minimum(back[:n], ahead[w - 1 : w - 1 + n])
