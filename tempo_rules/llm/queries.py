@@ -10,6 +10,7 @@ from .common import read_table
 from .decontamination import contaminated
 from .mixing import mix_documents
 from .near_duplicates import join_texts
+from .quality_model import classify
 from .quality_rules import judge_documents
 from .secrets_scan import scan_documents
 from .sharding import shard_documents
@@ -18,6 +19,10 @@ from .url_filters import judge_pages
 from .warc import archive_pages
 
 
+def op1_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
 
@@ -55,6 +60,7 @@ def op10_remove_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_quality_model": op1_quality_model,
     "op2_decontaminate": op2_decontaminate,
     "op3_mix_sources": op3_mix_sources,
     "op4_url_filters": op4_url_filters,
