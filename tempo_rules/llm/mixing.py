@@ -52,7 +52,7 @@ def _newton(size: Column, target: Column, cap: float) -> Column:
 
 
 def mix_documents(docs: DataFrame, weights=WEIGHTS, cap: int = MAX_COPIES) -> DataFrame:
-    """doc_id, size, source_size, target, rate, copies, taken of every document.
+    """doc_id, h (a hash of doc_id and text), size, source_size, target, rate, copies, taken of every document.
 
     Null source is a source of its own (weighed last); null or empty text has size
     0 and is never taken. The same input gives the same copies, however partitioned.
@@ -98,4 +98,4 @@ def mix_documents(docs: DataFrame, weights=WEIGHTS, cap: int = MAX_COPIES) -> Da
     out = ranked.join(best, ranked.source.eqNullSafe(best.bs) & (ranked.chunk == best.bc))
     chosen = F.when(F.col("best") < OFFSETS, held(systematic((F.col("best") + 0.5) / OFFSETS))).otherwise(held(independent(F.col("best") - OFFSETS)))
     out = out.withColumn("copies", chosen)
-    return out.select("doc_id", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return out.select("doc_id", "h", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).alias("taken"))

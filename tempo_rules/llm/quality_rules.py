@@ -62,14 +62,16 @@ def count_texts(texts: pa.Array) -> dict[str, np.ndarray]:
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         counts = count_texts(b.column("text"))
-        rest = [b.column(c) for c in ("doc_id", "lang", "source")]
-        yield pa.RecordBatch.from_arrays([*rest, *(pa.array(counts[c], pa.int64()) for c in _COUNTS)], ["doc_id", "lang", "source", *_COUNTS])
+        rest = [c for c in b.schema.names if c != "text"]
+        yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), *(pa.array(counts[c], pa.int64()) for c in _COUNTS)], [*rest, *_COUNTS])
 
 
-def base_counts(docs: DataFrame) -> DataFrame:
-    """doc_id, lang, source and the base counts; null text counts as empty."""
-    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
-    out = arrow_pass(slim, _count, "doc_id long, lang string, source string, " + ", ".join(f"{c} long" for c in _COUNTS))
+def base_counts(docs: DataFrame, **carried: Column) -> DataFrame:
+    """doc_id, lang, source, carried long columns and the base counts; null text counts as empty."""
+    more = [c.alias(k) for k, c in carried.items()]
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), *more, F.col("text").cast("string").alias("text"))
+    fields = ["doc_id long", "lang string", "source string", *(f"{k} long" for k in (*carried, *_COUNTS))]
+    out = arrow_pass(slim, _count, ", ".join(fields))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     return out.withColumn("base_failed", failed)
 

@@ -28,7 +28,7 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix_documents(read_table(spark, sf_dir, "documents"))
+    return mix_documents(read_table(spark, sf_dir, "documents")).drop("h")
 
 
 def op4_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:

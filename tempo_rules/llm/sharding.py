@@ -63,9 +63,9 @@ def _quantiles(keys: list[str], parts: int) -> list[str]:
 
 
 def assign_shards(rows: DataFrame, n_shards: int, key: str = "key", tie: str = "tie") -> DataFrame:
-    """Add shard (0..n-1) and slot (gapless from 0 in each shard) to slim rows.
+    """Add shard (0..n-1) and slot (gapless from 0 in each shard) to rows.
 
-    `rows` has a long `key` (rows of a key stay together unless their range is
+    Other columns are carried. `rows` has a long `key` (rows of a key stay together unless their range is
     overfull), a long `tie` and a long `size`; null key or tie counts as 0. Fully
     repeated rows are told apart by a number fixed when the input is first read.
     An empty input gives an empty result.
