@@ -9,9 +9,9 @@ from the last column to the first: a stable sort by the new symbol turns the ord
 of the suffixes after it into the order of the suffixes from it, and common prefix
 lengths follow from least values over the old order. Neighbours with a common prefix
 of LENGTH or more are repeated strings. Collections stream by in the sorted, external
-files of the shuffle.
+files of the shuffle. Equal stretches enter once: all their strings are repeated anyway.
 
-Anchors of more than HOT occurrences aren't gathered: their strings are counted by
+Anchors with more than HOT different stretches aren't gathered: their strings are counted by
 128-bit hashes with partial sums instead, which gives the same answer.
 """
 
@@ -26,13 +26,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow_pass, materialize, release, runs, text_key
-from .textkernel import mix, rolling, slices, sliding_min, span_hashes
+from .textkernel import mix, rolling, slices, sliding_min, stretch_hashes
 
 LENGTH, GRAM = 200, 32
 #: Offsets of a string at which its anchor may begin.
 REACH = LENGTH - GRAM + 1
-#: Occurrences of an anchor up to which they are ordered together; documents inserted at once.
-HOT, COLLECTION = 20_000, 8192
+#: Different stretches of an anchor up to which they are ordered together (about 75 MB); documents inserted at once.
+HOT, COLLECTION = 100_000, 8192
 #: Starts handled at once; positions fit the low bits of a sort key.
 _STRETCH, _BITS = 1 << 22, np.uint64(23)
 
@@ -83,30 +83,34 @@ def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             doc, first, n, q, h = anchors(s.buf, s.offsets)
             cuts = np.searchsorted(doc, np.arange(s.n + 1))
             begin = s.offsets[doc]
+            same = mix(stretch_hashes(s.buf, first, n + LENGTH - 1) ^ mix(((q - first) * 512 + n).astype(np.uint64)))
             sha = [hashlib.sha256(s.buf[s.offsets[i] : s.offsets[i + 1]]).hexdigest() for i in range(s.n)]
             rest = [b.column(c).slice(s.first, s.n) for c in ("rid", "doc_id", "k1", "k2")]
             yield pa.RecordBatch.from_arrays(
-                [*rest, pa.array(np.diff(s.offsets)), pa.array(sha), _list(h.view(np.int64), cuts, pa.int64()), _list(first - begin, cuts, pa.int32()), _list(n, cuts, pa.int32()), _list(q - first, cuts, pa.int32())],
-                ["rid", "doc_id", "k1", "k2", "n_bytes", "sha", "hash", "first", "n", "lead"],
+                [*rest, pa.array(np.diff(s.offsets)), pa.array(sha), _list(h.view(np.int64), cuts, pa.int64()), _list(first - begin, cuts, pa.int32()), _list(n, cuts, pa.int32()), _list(q - first, cuts, pa.int32()), _list(same.view(np.int64), cuts, pa.int64())],
+                ["rid", "doc_id", "k1", "k2", "n_bytes", "sha", "hash", "first", "n", "lead", "stretch"],
             )
 
 
+_STRETCH_COLUMNS = {"hash": pa.int64(), "rid": pa.int64(), "first": pa.int32(), "n": pa.int32(), "lead": pa.int32(), "copies": pa.int32(), "part": pa.binary()}
+
+
 def _stretches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Cut out each anchor's stretch: its starts and what their strings cover."""
     for b in batches:
-        out: list[list] = [[], [], [], [], [], []]
+        out: list[list] = [[] for _ in _STRETCH_COLUMNS]
         held = 0
         for i in range(b.num_rows):
             body = memoryview(b.column("text")[i].as_buffer())
             rid = b.column("rid")[i].as_py()
-            for h, first, n, lead in b.column("found")[i].as_py():
+            for h, first, n, lead, copies in b.column("found")[i].as_py():
                 part = bytes(body[first : first + n + LENGTH - 1])
                 held += len(part)
-                for c, v in zip(out, (h, rid, first, n, lead, part)):
+                for c, v in zip(out, (h, rid, first, n, lead, copies, part)):
                     c.append(v)
             if held > 1 << 24 or i == b.num_rows - 1:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary()))], ["hash", "rid", "first", "n", "lead", "part"])
-                out, held = [[], [], [], [], [], []], 0
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, _STRETCH_COLUMNS.values())], list(_STRETCH_COLUMNS))
+                out, held = [[] for _ in _STRETCH_COLUMNS], 0
 
 
 def repeated_starts(group: np.ndarray, shift: np.ndarray, data: np.ndarray, offsets: np.ndarray, copies: np.ndarray, length: int = LENGTH, columns: int = LENGTH + REACH, starts: int = REACH) -> np.ndarray:
@@ -150,7 +154,7 @@ def repeated_starts(group: np.ndarray, shift: np.ndarray, data: np.ndarray, offs
 def _order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Repeated starts of the stretches of each anchor, as runs (rid, first start, last start)."""
     for t in runs(batches, ["hash"], 20_000):
-        cols = {c: t.column(c).to_numpy() for c in ("hash", "rid", "first", "n", "lead")}
+        cols = {c: t.column(c).to_numpy() for c in ("hash", "rid", "first", "n", "lead", "copies")}
         parts = t.column("part").combine_chunks()
         parts = parts.chunk(0) if isinstance(parts, pa.ChunkedArray) else parts
         parts = parts.cast(pa.large_binary())
@@ -158,47 +162,26 @@ def _order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         offsets = np.frombuffer(offs, np.int64, len(parts) + 1, parts.offset * 8)
         data = np.frombuffer(raw, np.uint8)[offsets[0] : offsets[-1]]
         offsets = offsets - offsets[0]
-        # equal stretches of a collection are one document with copies
-        same = mix(span_hashes(data, offsets[:-1], offsets[1:]) ^ mix(cols["hash"].view(np.uint64) + np.uint64(3)) + cols["lead"].astype(np.uint64))
-        _, one, back, copies = np.unique(same, return_index=True, return_inverse=True, return_counts=True)
-        by = np.lexsort((one, cols["hash"][one]))
-        rank = np.empty(len(by), np.int64)
-        rank[by] = np.arange(len(by))
-        one, copies, back = one[by], copies[by], rank[back]
-        group = cols["hash"][one]
-        n, shift = cols["n"][one].astype(np.int64), REACH - 1 - cols["lead"][one].astype(np.int64)
-        marks = np.zeros((len(one), REACH), bool)
+        group = cols["hash"]
+        n, shift = cols["n"].astype(np.int64), REACH - 1 - cols["lead"].astype(np.int64)
+        marks = np.zeros((len(group), REACH), bool)
         column = np.arange(REACH)[None, :]
         valid = (column >= shift[:, None]) & (column < (shift + n)[:, None])
-        # a document alone in its collection needs no order
-        first_of = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
-        many = np.repeat(np.diff(np.append(first_of, len(group))), np.diff(np.append(first_of, len(group)))) > 1
-        marks[~many] = valid[~many] & (copies[~many] > 1)[:, None]
-        todo = np.flatnonzero(many)
         lo = 0
-        while lo < len(todo):
-            hi = min(len(todo), lo + COLLECTION)
-            while hi < len(todo) and group[todo[hi]] == group[todo[hi - 1]]:
+        while lo < len(group):
+            hi = min(len(group), lo + COLLECTION)
+            while hi < len(group) and group[hi] == group[hi - 1]:
                 hi += 1
-            k = todo[lo:hi]
-            size = offsets[one[k] + 1] - offsets[one[k]]
-            own = np.concatenate([[0], np.cumsum(size)])
-            take = np.repeat(offsets[one[k]] - own[:-1], size) + np.arange(own[-1])
-            marks[k] = repeated_starts(group[k], shift[k], data[take], own, copies[k]) & valid[k]
+            own = offsets[lo : hi + 1] - offsets[lo]
+            marks[lo:hi] = repeated_starts(group[lo:hi], shift[lo:hi], data[offsets[lo] : offsets[hi]], own, cols["copies"][lo:hi]) & valid[lo:hi]
             lo = hi
-        edge = np.zeros((len(one), REACH + 2), np.int8)
+        edge = np.zeros((len(group), REACH + 2), np.int8)
         edge[:, 1:-1] = marks
         step = np.diff(edge, axis=1)
         row, begin = np.nonzero(step == 1)
         _, end = np.nonzero(step == -1)
-        # each stretch gets its document's runs
-        per = np.bincount(row, minlength=len(one))
-        at = np.concatenate([[0], np.cumsum(per)])
-        times = per[back]
-        who = np.repeat(np.arange(len(back)), times)
-        pick = np.repeat(at[back] - np.concatenate([[0], np.cumsum(times)[:-1]]), times) + np.arange(times.sum())
-        base = cols["first"][who] - shift[back[who]]
-        yield pa.RecordBatch.from_arrays([pa.array(cols["rid"][who]), pa.array((base + begin[pick]).astype(np.int32)), pa.array((base + end[pick] - 1).astype(np.int32))], ["rid", "lo", "hi"])
+        base = cols["first"][row] - shift[row]
+        yield pa.RecordBatch.from_arrays([pa.array(cols["rid"][row]), pa.array((base + begin).astype(np.int32)), pa.array((base + end - 1).astype(np.int32))], ["rid", "lo", "hi"])
 
 
 def _string_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -210,7 +193,7 @@ def _string_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             found = b.column("found")[i].as_py()
             for lo in range(0, len(found), 2000):
                 rows = []
-                for _, first, n, _ in found[lo : lo + 2000]:
+                for _, first, n, _, _ in found[lo : lo + 2000]:
                     part = body[first : first + n + LENGTH - 1]
                     rows.append((rolling(part, LENGTH), rolling(part, LENGTH, 1), np.arange(first, first + n)))
                 a, c, at = (np.concatenate(x) for x in zip(*rows))
@@ -261,28 +244,37 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     body = F.coalesce(F.col("text").cast("string"), F.lit(""))
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), body.alias("text"))
     keyed = plain.select("doc_id", *[k.alias(c) for c, k in zip(("k1", "k2"), text_key())], "text")
-    fields = "rid long, doc_id long, k1 long, k2 long, n_bytes long, sha string, hash array<long>, first array<int>, n array<int>, lead array<int>"
+    fields = "rid long, doc_id long, k1 long, k2 long, n_bytes long, sha string, hash array<long>, first array<int>, n array<int>, lead array<int>, stretch array<long>"
     table = materialize(arrow_pass(keyed.select(F.monotonically_increasing_id().alias("rid"), "*"), _anchor_rows, fields), "anchors")
     slim = table.select("rid", "doc_id", "k1", "k2", "n_bytes", "sha")
     texts = materialize(slim.groupBy("k1", "k2").agg(F.min("rid").alias("rid"), F.count("*").alias("copies")), "texts")
     reps = table.join(texts.select("rid", "copies"), "rid")
-    each = F.inline(F.arrays_zip("hash", "first", "n", "lead"))
+    each = F.inline(F.arrays_zip("hash", "first", "n", "lead", "stretch"))
     placed = materialize(reps.select("rid", each), "placed")
-    shared = materialize(placed.groupBy("hash").agg(F.count("*").alias("k")).where("k > 1"), "shared")
-    found = placed.join(shared, "hash")
+    shared = placed.groupBy("hash").agg(F.count("*").alias("k")).where("k > 1").select("hash")
+    found = materialize(placed.join(shared, "hash"), "found")
+    release(placed)
+    # equal stretches: all starts of the repeated ones are repeated, and one stands for all
+    kinds = found.groupBy("hash", "stretch").agg(F.count("*").alias("copies"), F.min(F.struct("rid", "first", "n", "lead")).alias("one"))
+    kinds = materialize(kinds.select("hash", "stretch", "copies", "one.*"), "kinds")
+    several = kinds.where("copies > 1").select("hash", "stretch")
+    marked = found.join(several, ["hash", "stretch"]).select("rid", F.col("first").alias("lo"), (F.col("first") + F.col("n") - 1).alias("hi"))
+    # where stretches differ, those that stand alone may still share some strings
+    open_ = kinds.groupBy("hash").agg(F.count("*").alias("k"), F.min("copies").alias("least")).where("k > 1 and least = 1").select("hash", "k")
+    part = materialize(kinds.join(open_, "hash"), "open")
 
     def with_text(part: DataFrame) -> DataFrame:
-        lists = part.groupBy("rid").agg(F.collect_list(F.struct("hash", "first", "n", "lead")).alias("found"))
-        named = lists.join(table.select("rid", "doc_id", "k1", "k2"), "rid").withColumnRenamed("doc_id", "n_doc")
+        lists = part.groupBy("rid").agg(F.collect_list(F.array(F.col("hash"), *[F.col(c).cast("long") for c in ("first", "n", "lead", "copies")])).alias("found"))
+        named = lists.join(slim.select("rid", "doc_id", "k1", "k2"), "rid").withColumnRenamed("doc_id", "n_doc")
         one = keyed.join(named.hint("shuffle_hash"), ["k1", "k2"]).where(F.col("doc_id").eqNullSafe(F.col("n_doc")))
-        return one.select("rid", F.encode("text", "UTF-8").alias("text"), F.transform("found", lambda x: F.array(x["hash"], x["first"].cast("long"), x["n"].cast("long"), x["lead"].cast("long"))).alias("found"))
-
-    stretches = arrow_pass(with_text(found.where(F.col("k") <= HOT)), _stretches, "hash long, rid long, first int, n int, lead int, part binary")
-    marked = arrow_pass(stretches.repartition("hash").sortWithinPartitions("hash"), _order, "rid long, lo int, hi int")
-    if not shared.where(F.col("k") > HOT).isEmpty():
-        marked = marked.union(_hot_runs(with_text(found.where(F.col("k") > HOT))))
-    marked = materialize(marked.distinct(), "marked")
-    release(placed)
+        return one.select("rid", F.encode("text", "UTF-8").alias("text"), "found")
+
+    stretches = arrow_pass(with_text(part.where(F.col("k") <= HOT)), _stretches, "hash long, rid long, first int, n int, lead int, copies int, part binary")
+    marked = marked.union(arrow_pass(stretches.repartition("hash").sortWithinPartitions("hash"), _order, "rid long, lo int, hi int"))
+    if not part.where(F.col("k") > HOT).isEmpty():
+        marked = marked.union(_hot_runs(with_text(part.where(F.col("k") > HOT))))
+    marked = materialize(marked, "marked")
+    release(found, kinds, part)
     lists = marked.join(texts.where("copies = 1").select("rid"), "rid").groupBy("rid").agg(F.collect_list(F.struct("lo", "hi")).alias("runs"))
     named = lists.join(slim.select("rid", "k1", "k2"), "rid")
     cut = keyed.join(named.hint("shuffle_hash"), ["k1", "k2"]).select("rid", F.encode("text", "UTF-8").alias("text"), "runs")

@@ -195,3 +195,21 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
     ahead = np.minimum.accumulate(full, axis=1).ravel()
     back = np.minimum.accumulate(full[:, ::-1], axis=1)[:, ::-1].ravel()
     return np.minimum(back[:n], ahead[w - 1 : w - 1 + n])
+
+
+def stretch_hashes(buf: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Hash of each of these short byte stretches; starts ascend, stretches may overlap."""
+    out = np.empty(len(starts), np.uint64)
+    most = int(lengths.max()) if len(lengths) else 0
+    i = 0
+    while i < len(starts):
+        base = int(starts[i])
+        j = max(int(np.searchsorted(starts, base + PIECE - most, "right")), i + 1)
+        s, n = starts[i:j] - base, lengths[i:j]
+        seg = buf[base : base + int((s + n).max())]
+        sums = np.empty(len(seg) + 1, np.uint64)
+        sums[0] = 0
+        np.cumsum(_BYTE[seg] * _POW[: len(seg)], out=sums[1:])
+        out[i:j] = mix((sums[s + n] - sums[s]) * _INV[s] + n.astype(np.uint64))
+        i = j
+    return out
