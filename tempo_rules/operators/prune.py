@@ -59,15 +59,18 @@ def decide_slots(counts: dict[tuple, list[int]], bad: set[tuple], cfg: MinerConf
     """Slots seen often enough in hopeless rules only."""
     seen: dict[Slot, dict[tuple, int]] = defaultdict(dict)
     spared: set[Slot] = set()
+    doomed: set[Slot] = set()
     for rule, (pos, neg, unk) in counts.items():
         _, _, p0, d0, p1, d1, p2, d2 = rule
         body = (p0, d0, p1, d1, p2, d2) if (p1, d1) <= (p2, d2) else (p0, d0, p2, d2, p1, d1)
         judged = pos + neg > pr.alpha * cfg.min_support
         for slot in {(p1, d1), (p2, d2)}:
             seen[slot][body] = max(seen[slot].get(body, 0), pos + neg + unk)
-            if rule not in bad and (judged or pr.undecided == "protect"):
+            if rule in bad:
+                doomed.add(slot)
+            elif judged or pr.undecided == "protect":
                 spared.add(slot)
-    return {s for s, bodies in seen.items() if s not in spared and sum(bodies.values()) >= pr.gamma * cfg.min_support}
+    return {s for s, bodies in seen.items() if s in doomed - spared and sum(bodies.values()) >= pr.gamma * cfg.min_support}
 
 
 def _bit(head: str, forward: bool) -> int:
