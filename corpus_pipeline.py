@@ -7,30 +7,23 @@ Parquet and read again as the next one's docs. Rows are told apart by doc_id and
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tempo_rules.llm.common import materialize, read_table, text_key
+from tempo_rules.llm.common import broadcast_if_small, materialize, read_table, text_key
 from tempo_rules.llm.decontamination import clean_documents
 from tempo_rules.llm.mixing import mix_documents
 from tempo_rules.llm.near_duplicates import join_texts
-from tempo_rules.llm.quality_rules import base_counts, judge
+from tempo_rules.llm.quality_rules import kept_documents
 from tempo_rules.llm.sharding import assign_shards
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 SHARDS = 16
 
 
-def _content(docs: DataFrame) -> dict[str, Column]:
-    own = [F.col(c) for c in COLUMNS]
-    return {"h1": F.xxhash64(*own), "h2": F.xxhash64(F.lit("second"), *own)}
-
-
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules and the robust distances leave."""
-    judged = judge(base_counts(docs, **_content(docs)))
-    bad = materialize(judged.where("not kept").select("h1", "h2").distinct(), "rejected")
-    return docs.select(COLUMNS).withColumns(_content(docs)).join(bad, ["h1", "h2"], "left_anti").select(COLUMNS)
+    return kept_documents(docs.select(COLUMNS)).select(COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,6 +33,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     gone = materialize(per_row.where("not stays").select(F.col("doc_id").alias("g_doc"), "k1", "k2"), "gone")
     k1, k2 = text_key()
     named = docs.select(COLUMNS).withColumns({"k1": k1, "k2": k2})
+    gone = broadcast_if_small(gone)
     left = named.join(gone, (named.k1 == gone.k1) & (named.k2 == gone.k2) & named.doc_id.eqNullSafe(gone.g_doc), "left_anti")
     # rows that repeat a document whole stay once; texts without a word aren't copies
     again = per_row.where("stays and n > 1")
@@ -64,6 +58,7 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     named = docs.select(COLUMNS).withColumn("dh", h)
     if not pooled.where("n > 1").isEmpty():
         named = named.dropDuplicates(["doc_id", "dh"])
+    pooled = broadcast_if_small(pooled, taken.count())
     joined = named.join(pooled, (named.dh == pooled.h) & named.doc_id.eqNullSafe(pooled.m_doc))
     return joined.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(COLUMNS)
 

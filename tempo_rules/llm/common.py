@@ -13,6 +13,8 @@ from pyspark.sql.types import StructType
 
 #: Rows handed to Python at once; texts may be long, so a batch stays small.
 BATCH_ROWS = 1000
+#: Slim rows (about 100 bytes each in memory) up to which a table is broadcast.
+BROADCAST_ROWS = 500_000
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -54,12 +56,23 @@ def release(*tables: DataFrame) -> None:
 def arrow_pass(
     df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterable[pa.RecordBatch]], schema: str | StructType
 ) -> DataFrame:
-    """mapInArrow with batches of a bounded number of rows."""
+    """mapInArrow with batches of a bounded number of rows; memory goes back when a task ends."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from fn(batches)
+        pa.default_memory_pool().release_unused()
+
     spark = df.sparkSession
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if int(spark.conf.get(key)) > BATCH_ROWS:
         spark.conf.set(key, str(BATCH_ROWS))
-    return df.mapInArrow(fn, schema)
+    return df.mapInArrow(run, schema)
+
+
+def broadcast_if_small(table: DataFrame, rows: int | None = None) -> DataFrame:
+    """Marked for broadcast if it has at most BROADCAST_ROWS slim rows; beyond that, joins shuffle."""
+    n = table.count() if rows is None else rows
+    return F.broadcast(table) if n <= BROADCAST_ROWS else table
 
 
 def rebatched(batches: Iterable[pa.RecordBatch], rows: int = 50_000) -> Iterator[pa.Table]:

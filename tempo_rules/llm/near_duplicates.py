@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_pass, materialize, rebatched, release, runs, text_key
+from .common import BROADCAST_ROWS, arrow_pass, materialize, rebatched, release, runs, text_key
 from .components import components
 from .textkernel import Slice, slices, windows, words_of
 
@@ -223,7 +223,8 @@ def join_texts(docs: DataFrame) -> DataFrame:
     place = sized.select("root", F.col("node").alias("rid"), blocks.alias("blocks")).withColumn("block", F.pmod(F.xxhash64("rid"), "blocks").cast("int"))
     place = materialize(place.join(reps.select("rid", "doc_id", "k1", "k2", "copies"), "rid"), "places")
     body = docs.select(F.col("doc_id").cast("long").alias("b_doc"), *[k.alias(c) for c, k in zip(("b1", "b2"), text_key())], F.col("text").cast("string").alias("text"))
-    named = body.join(place.hint("shuffle_hash"), (body.b1 == place.k1) & (body.b2 == place.k2) & body.b_doc.eqNullSafe(place.doc_id))
+    few = place.count() <= BROADCAST_ROWS
+    named = body.join(F.broadcast(place) if few else place.hint("shuffle_hash"), (body.b1 == place.k1) & (body.b2 == place.k2) & body.b_doc.eqNullSafe(place.doc_id))
     sets = arrow_pass(named.select("root", "blocks", "block", "rid", "copies", "text"), _sets, "root long, blocks int, block int, rid long, copies long, keys binary")
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     pairs = sets.withColumn("other", other).withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}).drop("other")

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_pass, materialize
+from .common import BROADCAST_ROWS, arrow_pass, materialize
 from .textkernel import BLANK, per_doc, repeated, slices, span_hashes, windows, words_of, mix
 
 SYMBOLS = np.zeros(256, bool)
@@ -59,19 +59,21 @@ def count_texts(texts: pa.Array) -> dict[str, np.ndarray]:
     return {c: np.concatenate(v) for c, v in out.items()}
 
 
-def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        counts = count_texts(b.column("text"))
-        rest = [c for c in b.schema.names if c != "text"]
-        yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), *(pa.array(counts[c], pa.int64()) for c in _COUNTS)], [*rest, *_COUNTS])
+def _counter(carried: list[str]):
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            counts = count_texts(b.column("text"))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in carried), *(pa.array(counts[c], pa.int64()) for c in _COUNTS)], [*carried, *_COUNTS])
+
+    return count
 
 
-def base_counts(docs: DataFrame, **carried: Column) -> DataFrame:
-    """doc_id, lang, source, carried long columns and the base counts; null text counts as empty."""
-    more = [c.alias(k) for k, c in carried.items()]
-    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), *more, F.col("text").cast("string").alias("text"))
-    fields = ["doc_id long", "lang string", "source string", *(f"{k} long" for k in (*carried, *_COUNTS))]
-    out = arrow_pass(slim, _count, ", ".join(fields))
+def base_counts(docs: DataFrame, text: bool = False) -> DataFrame:
+    """doc_id, lang, source, the base counts and base_failed; with text also the text, for a pass that filters. Null text counts as empty."""
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"), *(["n_chars"] if text else []))
+    carried = slim.columns if text else [c for c in slim.columns if c != "text"]
+    fields = [*(f"{f.name} {f.dataType.simpleString()}" for f in slim.schema if f.name in carried), *(f"{k} long" for k in _COUNTS)]
+    out = arrow_pass(slim, _counter(carried), ", ".join(fields))
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     return out.withColumn("base_failed", failed)
 
@@ -122,21 +124,18 @@ def _estimate(kept: DataFrame, shrunk: float) -> DataFrame:
     return moments.withColumn("shrunk", F.lit(shrunk)).mapInArrow(_invert, "g_lang string, g_source string, mu array<double>, inv array<double>")
 
 
-def judge(counted: DataFrame, cut: float = CUT) -> DataFrame:
-    """Add `distance` (null where the base rules reject) and `kept`.
+def fit(counted: DataFrame) -> DataFrame:
+    """Estimates (g_lang, g_source, mu, inv) of groups: 's' and a source, or 'all' of a language.
 
     Each group's first centre is the median of every count, each spread the floors;
     concentration steps then refit on the share COVER of rows that lie nearest.
     Groups of fewer than LEAST_ROWS rows are judged together with their language.
     """
-    rows = materialize(counted.select("*", *[c.alias(k) for k, c in _features().items()]), "features")
-    good = rows.where(~F.col("base_failed"))
-    sizes = good.groupBy(F.col("lang").alias("g_lang"), F.col("source").alias("g_source")).agg(F.count("*").alias("n"))
-    big = sizes.where(F.col("n") >= LEAST_ROWS).select("g_lang", F.coalesce("g_source", F.lit("\0")).alias("g_source"))
-    key = F.coalesce("source", F.lit("\0"))
-    small = rows.join(big, rows.lang.eqNullSafe(big.g_lang) & (key == big.g_source), "left")
-    rows2 = materialize(small.withColumn("group", F.when(F.col("g_source").isNotNull(), F.concat(F.lit("s"), key)).otherwise("all")).drop("g_lang", "g_source"), "grouped")
-    good = rows2.where(~F.col("base_failed"))
+    good = counted.where("not base_failed").select("lang", _source().alias("key"), *[c.alias(k) for k, c in _features().items()])
+    good = materialize(good, "features")
+    big = good.groupBy(F.col("lang").alias("g_lang"), F.col("key").alias("g_key")).agg(F.count("*").alias("n")).where(F.col("n") >= LEAST_ROWS).drop("n")
+    named = good.join(big, good.lang.eqNullSafe(big.g_lang) & (good.key == big.g_key), "left")
+    good = materialize(named.withColumn("group", F.when(F.col("g_key").isNotNull(), F.concat(F.lit("s"), "key")).otherwise("all")).drop("g_lang", "g_key", "key"), "grouped")
     middle = good.groupBy(F.col("lang").alias("g_lang"), F.col("group").alias("g_source")).agg(
         F.array(*[F.percentile_approx(f, 0.5, 1000) for f in FEATURES]).alias("mu")
     )
@@ -148,9 +147,24 @@ def judge(counted: DataFrame, cut: float = CUT) -> DataFrame:
         limit = near.groupBy(F.col("lang").alias("l_lang"), F.col("group").alias("l_group")).agg(F.percentile_approx("d2", COVER, 1000).alias("limit"))
         kept = near.join(limit, near.lang.eqNullSafe(limit.l_lang) & near.group.eqNullSafe(limit.l_group)).where(F.col("d2") <= F.col("limit"))
         est = materialize(_estimate(kept, COVER), "estimate")
-    far = rows2.join(est, rows2.lang.eqNullSafe(est.g_lang) & rows2.group.eqNullSafe(est.g_source), "left")
-    far = far.withColumn("distance", F.when(~F.col("base_failed"), _distance()))
-    return far.withColumn("kept", ~F.col("base_failed") & (F.coalesce("distance", F.lit(0.0)) <= cut))
+    return est
+
+
+def _source() -> Column:
+    return F.coalesce("source", F.lit("\0"))
+
+
+def judge(counted: DataFrame, est: DataFrame, cut: float = CUT) -> DataFrame:
+    """Add `distance` (null where the base rules reject) and `kept` by the estimate of the row's source, else of its language."""
+    small = est.count() <= BROADCAST_ROWS
+    own = est.where("g_source <> 'all'").select(F.col("g_lang").alias("o_lang"), F.substring("g_source", 2, 1 << 30).alias("o_key"), F.col("mu").alias("o_mu"), F.col("inv").alias("o_inv"))
+    rest = est.where("g_source = 'all'").select(F.col("g_lang").alias("r_lang"), F.col("mu").alias("r_mu"), F.col("inv").alias("r_inv"))
+    own, rest = (F.broadcast(own), F.broadcast(rest)) if small else (own, rest)
+    rows = counted.withColumns({k: c for k, c in _features().items()}).withColumn("s_key", _source())
+    both = rows.join(own, rows.lang.eqNullSafe(own.o_lang) & (rows.s_key == own.o_key), "left").join(rest, rows.lang.eqNullSafe(rest.r_lang), "left")
+    both = both.withColumns({"mu": F.coalesce("o_mu", "r_mu"), "inv": F.coalesce("o_inv", "r_inv")})
+    far = both.withColumn("distance", F.when(~F.col("base_failed"), _distance()))
+    return far.withColumn("kept", ~F.col("base_failed") & (F.coalesce("distance", F.lit(0.0)) <= cut)).select(*counted.columns, "distance", "kept")
 
 
 def judge_documents(docs: DataFrame, cut: float = CUT) -> DataFrame:
@@ -160,5 +174,12 @@ def judge_documents(docs: DataFrame, cut: float = CUT) -> DataFrame:
     ten words; null language or source is a group of its own. Repeated rows each get
     a row. An empty table gives an empty result.
     """
-    out = judge(base_counts(docs), cut)
+    counted = materialize(base_counts(docs), "counts")
+    out = judge(counted, fit(counted), cut)
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "distance", "kept")
+
+
+def kept_documents(docs: DataFrame, cut: float = CUT) -> DataFrame:
+    """doc_id, text, lang, source, n_chars of the documents that stay: a second pass over the texts filters, so none is shuffled."""
+    est = fit(base_counts(docs))
+    return judge(base_counts(docs, text=True), est, cut).where("kept").select("doc_id", "text", "lang", "source", "n_chars")

@@ -17,7 +17,7 @@ import pyarrow as pa
 #: Bytes hashed at once, so that the arrays fit a CPU cache.
 PIECE = 1 << 18
 #: Bytes of text handled at once, if a single text isn't longer.
-SLICE = 1 << 22
+SLICE = 1 << 20
 
 BLANK = np.zeros(256, bool)
 BLANK[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
