@@ -8,7 +8,7 @@ from pathlib import Path
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.granule import Interval, is_inverted
+from ..functions.granule import TIME_COLUMNS, Interval, is_inverted
 from ..functions.predicates import PREDICATES, SYMMETRIC
 from ..plans.kg import KnowledgeGraph, links, temporal_edges
 from .match import side, time_of
@@ -17,11 +17,24 @@ from .mine import CLASSES, CONSTRAINTS
 CONFLICTS = ("cid", "x", "fact1", "fact2", "link_fact", "verdict")
 
 
-def _violated() -> Column:
+class _Shape:
+    """What a rule table uses: heads, whether it links subjects, whether it restricts classes. The table is small."""
+
+    def __init__(self, rules: DataFrame) -> None:
+        plain = " and ".join(f"{c} = '*'" for c in CLASSES)
+        rows = rules.select("head", F.expr("pattern = 'b'").alias("linked"), F.expr(f"not ({plain})").alias("narrow")).distinct().collect()
+        self.heads = sorted({r[0] for r in rows})
+        self.linked = any(r[1] for r in rows)
+        self.one = any(not r[1] for r in rows)
+        self.narrow = any(r[2] for r in rows)
+
+
+def _violated(shape: _Shape) -> Column:
     out: Column = F.lit(None)
-    for h in PREDICATES:
-        out = F.when(F.col("head") == h, PREDICATES[h](time_of(1), time_of(2))).otherwise(out)
-    return F.when(F.col("head") == "never", F.lit(-1)).otherwise(out).cast("tinyint")
+    for h in shape.heads:
+        v = F.lit(-1) if h == "never" else PREDICATES[h](time_of(1), time_of(2))
+        out = F.when(F.col("head") == h, v).otherwise(out) if len(shape.heads) > 1 else v
+    return out.cast("tinyint")
 
 
 def _unordered() -> Column:
@@ -47,23 +60,28 @@ def _restricted(pairs: DataFrame, kg: KnowledgeGraph) -> DataFrame:
     return open_.unionByName(narrow.where(ok).select(open_.columns))
 
 
-def _pairs(kg: KnowledgeGraph, rules: DataFrame, first: DataFrame, second: DataFrame, linked: bool) -> DataFrame:
-    """Matches of rule bodies whose first atom is in `first` and second in `second`."""
-    r = F.broadcast(rules.select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
-    keep = ["cid", "head", "pattern", "p1", "d1", "p2", "d2", *CLASSES, "x", "w", "o1", "o2", "fact1", "fact2", "link_fact", *[f"t{n}_{c}" for n in (1, 2) for c in ("ts_lo", "ts_hi", "ts_gran", "te_lo", "te_hi", "te_gran")]]
-    a = side(first, 1)
-    if not linked:
-        one = a.join(r.where("pattern <> 'b'"), ["p1", "d1"]).join(side(second, 2), ["x", "p2", "d2"])
-        one = one.where((F.col("fact1") != F.col("fact2")) & (F.col("o1") != F.col("o2")) & (~_unordered() | (F.col("fact1") < F.col("fact2"))))
-        return one.withColumns({"w": F.lit(None).cast("string"), "link_fact": F.lit(None).cast("string")}).select(keep)
+_KEEP = ("cid", "head", "pattern", "p1", "d1", "p2", "d2", *CLASSES, "x", "w", "o1", "o2", "fact1", "fact2", "link_fact", *[f"t{n}_{c}" for n in (1, 2) for c in TIME_COLUMNS])
+
+
+def _one_subject(rules: DataFrame, first: DataFrame, second: DataFrame, once: bool) -> DataFrame:
+    """Matches of one-subject rules; `once` leaves one order of pairs whose order doesn't matter."""
+    r = F.broadcast(rules.where("pattern <> 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
+    out = side(first, 1).join(r, ["p1", "d1"]).join(side(second, 2), ["x", "p2", "d2"]).where("fact1 <> fact2 and o1 <> o2")
+    if once:
+        out = out.where(~_unordered() | (F.col("fact1") < F.col("fact2")))
+    return out.withColumns({"w": F.lit(None).cast("string"), "link_fact": F.lit(None).cast("string")}).select(*_KEEP)
+
+
+def _two_subjects(kg: KnowledgeGraph, rules: DataFrame, first: DataFrame, second: DataFrame) -> DataFrame:
+    r = F.broadcast(rules.where("pattern = 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
     hop = links(kg.facts).select("x", "p0", "d0", F.col("y").alias("w"), "link_fact").where("x <> w")
-    two = a.join(r.where("pattern = 'b'"), ["p1", "d1"]).join(hop, ["x", "p0", "d0"]).join(side(second, 2, "w"), ["w", "p2", "d2"])
-    return two.where("fact1 <> fact2").select(keep)
+    hop = hop.join(F.broadcast(r.select("p0", "d0").distinct()), ["p0", "d0"], "left_semi")
+    return side(first, 1).join(r, ["p1", "d1"]).join(hop, ["x", "p0", "d0"]).join(side(second, 2, "w"), ["w", "p2", "d2"]).where("fact1 <> fact2").select(*_KEEP)
 
 
-def _conflicts(pairs: DataFrame, kg: KnowledgeGraph) -> DataFrame:
-    out = _restricted(pairs, kg).withColumn("verdict", _violated()).where("verdict = -1")
-    return out.select(*CONFLICTS)
+def _conflicts(pairs: DataFrame, kg: KnowledgeGraph, shape: _Shape) -> DataFrame:
+    out = _restricted(pairs, kg) if shape.narrow else pairs
+    return out.withColumn("verdict", _violated(shape)).where("verdict = -1")
 
 
 def _slots(rules: DataFrame) -> DataFrame:
@@ -71,47 +89,40 @@ def _slots(rules: DataFrame) -> DataFrame:
     return F.broadcast(one.distinct())
 
 
+def _matches(kg: KnowledgeGraph, rules: DataFrame, shape: _Shape, first: DataFrame, second: DataFrame, once: bool) -> DataFrame:
+    parts = [_one_subject(rules, first, second, once)] if shape.one else []
+    if shape.linked:
+        parts.append(_two_subjects(kg, rules, first, second))
+    return parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
+
+
 def detect_conflicts(kg: KnowledgeGraph, rules: DataFrame) -> DataFrame:
     """cid, x, fact1, fact2, link_fact, verdict of every violated pair; each unordered pair once."""
+    shape = _Shape(rules)
+    if not shape.heads:
+        return kg.facts.sparkSession.createDataFrame([], "cid string, x string, fact1 string, fact2 string, link_fact string, verdict tinyint")
     e = temporal_edges(kg.facts, reverse=True).join(_slots(rules), ["p", "d"], "left_semi")
-    out = _pairs(kg, rules, e, e, False)
-    if not rules.where("pattern = 'b'").isEmpty():
-        out = out.unionByName(_pairs(kg, rules, e, e, True))
-    return _conflicts(out, kg)
+    return _conflicts(_matches(kg, rules, shape, e, e, True), kg, shape).select(*CONFLICTS)
 
 
 def check_new_facts(kg: KnowledgeGraph, new: DataFrame, rules: DataFrame) -> DataFrame:
     """Conflicts between new facts and the graph: a new fact may be the first or the second atom."""
+    shape = _Shape(rules)
+    if not shape.heads:
+        return kg.facts.sparkSession.createDataFrame([], "new_fact string, cid string, x string, fact1 string, fact2 string, link_fact string, verdict tinyint")
     old = temporal_edges(kg.facts, reverse=True).join(_slots(rules), ["p", "d"], "left_semi")
     fresh = temporal_edges(new, reverse=True).join(_slots(rules), ["p", "d"], "left_semi")
-    linked = not rules.where("pattern = 'b'").isEmpty()
-    out = None
-    for first, second in ((fresh, old), (old, fresh)):
-        one = _pairs_any(kg, rules, first, second, False)
-        if linked:
-            one = one.unionByName(_pairs_any(kg, rules, first, second, True))
-        out = one if out is None else out.unionByName(one)
-    new_ids = new.select(F.col("fact_id").alias("new_fact")).distinct()
-    found = _conflicts(out, kg).distinct()
-    hit = found.withColumn("new_fact", F.explode(F.array("fact1", "fact2"))).join(new_ids, "new_fact", "left_semi")
-    return hit.select("new_fact", *CONFLICTS)
-
-
-def _pairs_any(kg: KnowledgeGraph, rules: DataFrame, first: DataFrame, second: DataFrame, linked: bool) -> DataFrame:
-    """As _pairs, but an unordered pair is wanted whichever fact is the new one: facts are put in order afterwards."""
-    r = F.broadcast(rules.select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
-    if linked:
-        return _pairs(kg, rules, first, second, True)
-    a = side(first, 1)
-    one = a.join(r.where("pattern <> 'b'"), ["p1", "d1"]).join(side(second, 2), ["x", "p2", "d2"]).where("fact1 <> fact2 and o1 <> o2")
-    swap = _unordered() & (F.col("fact1") > F.col("fact2"))
-    times = ("ts_lo", "ts_hi", "ts_gran", "te_lo", "te_hi", "te_gran")
-    turn = {}
-    for c in ("o", "fact", *[f"t#_{t}" for t in times]):
-        x, y = (c.replace("#", n) if "#" in c else c + n for n in "12")
-        turn[x], turn[y] = F.when(swap, F.col(y)).otherwise(F.col(x)), F.when(swap, F.col(x)).otherwise(F.col(y))
-    one = one.withColumns(turn).withColumns({"w": F.lit(None).cast("string"), "link_fact": F.lit(None).cast("string")})
-    return one.select("cid", "head", "pattern", "p1", "d1", "p2", "d2", *CLASSES, "x", "w", "o1", "o2", "fact1", "fact2", "link_fact", *[f"t{n}_{t}" for n in (1, 2) for t in times])
+    one = _matches(kg, rules, shape, fresh, old, False).withColumn("new_fact", F.col("fact1"))
+    two = _matches(kg, rules, shape, old, fresh, False).withColumn("new_fact", F.col("fact2"))
+    found = _conflicts_kept(one, kg, shape).unionByName(_conflicts_kept(two, kg, shape))
+    # heads that don't mind the order are found from both sides
+    swap = F.col("unordered") & (F.col("fact1") > F.col("fact2"))
+    low, high = F.when(swap, F.col("fact2")).otherwise(F.col("fact1")), F.when(swap, F.col("fact1")).otherwise(F.col("fact2"))
+    return found.withColumns({"fact1": low, "fact2": high}).select("new_fact", *CONFLICTS).distinct()
+
+
+def _conflicts_kept(pairs: DataFrame, kg: KnowledgeGraph, shape: _Shape) -> DataFrame:
+    return _conflicts(pairs, kg, shape).select("new_fact", *CONFLICTS, _unordered().alias("unordered"))
 
 
 def self_conflicts(facts: DataFrame) -> DataFrame:
