@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .queries import completion, detection, graphs, mining
+from .queries import completion, detection, graphs, mining, streams
 
-_PARTS = [graphs, mining, detection, completion]
+_PARTS = [graphs, mining, detection, completion, streams]
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: v for p in _PARTS for k, v in p.QUERIES.items()}
 ORACLES: dict[str, str] = {k: v for p in _PARTS for k, v in p.ORACLES.items()}

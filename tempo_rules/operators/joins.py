@@ -27,7 +27,7 @@ def overlap_join(left: DataFrame, right: DataFrame, by: list[str], lo: str, hi:
     """
     def binned(df: DataFrame, side: str) -> DataFrame:
         named = df.select(*[F.col(c).alias(f"{side}_{c}") for c in df.columns])
-        first, last = (F.floor(F.col(f"{side}_{c}") / width).cast("long") for c in (lo, hi))
+        first = F.floor(F.col(f"{side}_{lo}") / width).cast("long")
         last = F.floor((F.col(f"{side}_{hi}") - 1) / width).cast("long")
         return named.where(F.col(f"{side}_{lo}") < F.col(f"{side}_{hi}")).withColumn(f"{side}_bin", F.explode(F.sequence(first, last)))
 
@@ -43,7 +43,7 @@ def overlap_join(left: DataFrame, right: DataFrame, by: list[str], lo: str, hi:
 def salted_join(big: DataFrame, other: DataFrame, keys: list[str], salts: int, row: str) -> DataFrame:
     """Inner equi-join where a key may hold much of `big`: big rows are spread, the other side is repeated, every pair comes once."""
     b = big.withColumn("_salt", F.pmod(F.xxhash64(row), F.lit(salts)))
-    o = other.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long"))
+    o = other.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     return b.join(o, [*keys, "_salt"]).drop("_salt")
 
 
