@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -51,7 +51,8 @@ class MinerConfig:
     drop_inverted: bool = True
     refine_slots: tuple[str, ...] = ("x", "y", "z", "w")
     max_rules: int = 100_000
-    rounds: tuple[float, ...] = field(default=(1 / 64, 1 / 64, 1 / 32, 1 / 16, 1 / 8, 1 / 4, 1 / 2))
+    #: Shares of the subjects that are seen before each decision; each round is a job, so few grow fast.
+    rounds: tuple[float, ...] = (1 / 64, 1 / 16, 1 / 4, 43 / 64)
 
     def __post_init__(self) -> None:
         if not self.refine_conf <= self.accept_conf:

@@ -53,6 +53,14 @@ _add("mine_pruned_wilson", lambda s, d: _shown(mine.mine_constraints(project.gra
 _add("mine_linked_pruned", lambda s, d: _shown(mine.mine_constraints(project.graph(s, d, LINKED), _cfg(d, patterns=("a", "b")), Pruning(), refine=False)), ORACLES["mine_linked"])
 
 
+#: Suppliers as subjects of hundreds of lines: the pairs that pruning is for.
+HUBS = ("K1", "K3", "K6", "K7")
+for _n, _p in (("mine_base_hubs", None), ("mine_pruned_hubs", Pruning()), ("mine_stage1_hubs", Pruning(stage2=False))):
+    _add(_n, lambda s, d, p=_p: _shown(mine.mine_constraints(project.graph(s, d, HUBS), _cfg(d, reverse_facts=True), p, refine=False)),
+         f"""WITH f AS ({t.facts(HUBS)}), e AS ({t.edges('f', True)}), v AS ({t.one_subject()}), c AS ({t.scores('entity')}), r AS (SELECT {', '.join(_OUT)}, {t.CONFIDENCE} AS confidence FROM c)
+             SELECT * FROM r WHERE n_pos >= {SUPPORT} AND confidence > 0.9""")
+
+
 def prune_log(s, d):
     """Which rules and properties were abandoned, when, and at what ratio (batches are by hash: no SQL form)."""
     return prune.mine_pruned(project.graph(s, d, MIXED), _cfg(d), Pruning()).log
