@@ -64,6 +64,18 @@ def match_one_subject(edges: DataFrame, same_property: bool | None = None, disti
     return out if pairs is None else out.join(F.broadcast(pairs), ["p1", "d1", "p2", "d2"], "left_semi")
 
 
+def match_alive(edges: DataFrame, alive: DataFrame, distinct_objects: bool = True) -> DataFrame:
+    """Pairs of the listed slot pairs only (p1, d1, p2, d2 and further columns): no other pair is ever formed.
+
+    Each fact is sent to its few partner slots, and the join is by subject and slot;
+    aggregation by subject and slots needs no further exchange.
+    """
+    a = side(edges, 1).join(F.broadcast(alive), ["p1", "d1"])
+    ordered = "(fact1 < fact2 or not (p1 = p2 and d1 = d2)) and fact1 <> fact2"
+    out = a.join(side(edges, 2), ["x", "p2", "d2"]).where(ordered)
+    return out.where("o1 <> o2") if distinct_objects else out
+
+
 def match_linked_subjects(edges: DataFrame, link_edges: DataFrame, triples: DataFrame | None = None) -> DataFrame:
     """x has fact 1, is linked to another subject w, which has fact 2: ordered pairs."""
     a = side(edges, 1)

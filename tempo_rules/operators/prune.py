@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..plans.kg import KnowledgeGraph, links, temporal_edges
 from ..sources.tables import written
-from .match import frequent_pairs, frequent_triples, match_linked_subjects, match_one_subject
+from .match import frequent_pairs, frequent_triples, match_alive, side
 from .mine import MinerConfig, Pruning, as_constraints, body_support
 from .score import ALL, BITS, RULE, exclusion_scores, score_linked_subjects, score_one_subject
 
@@ -46,11 +46,12 @@ def _ceiling(pos: int, n: int, bound: str) -> float:
 
 
 def decide_rules(counts: dict[tuple, list[int]], cfg: MinerConfig, pr: Pruning) -> set[tuple]:
-    """Rules seen often enough whose ratio is hopeless."""
+    """Rules seen often enough whose ratio is hopeless, or that have no positive case among as many of any verdict."""
     bad = set()
-    for rule, (pos, neg, _) in counts.items():
+    enough = pr.alpha * cfg.min_support
+    for rule, (pos, neg, unk) in counts.items():
         n = pos + neg
-        if n > pr.alpha * cfg.min_support and _ceiling(pos, n, pr.bound) < pr.beta * cfg.refine_conf:
+        if (n > enough and _ceiling(pos, n, pr.bound) < pr.beta * cfg.refine_conf) or (pos == 0 and n + unk > enough):
             bad.add(rule)
     return bad
 
@@ -78,8 +79,11 @@ def _bit(head: str, forward: bool) -> int:
 
 
 def _masks(pairs: list[tuple], bad: set[tuple]) -> list[tuple]:
-    """Slot pairs with the heads still alive."""
+    """Slot pairs with the heads still alive; disjointness is for pairs of one slot."""
     gone: dict[tuple, int] = defaultdict(int)
+    for p in pairs:
+        if p[:2] != p[2:4]:
+            gone[p[:4]] |= 1 << BITS["disjoint"]
     for head, pattern, _, _, p1, d1, p2, d2 in bad:
         if pattern == "b" or head == "never":
             continue
@@ -121,7 +125,7 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
         found = exclusion_scores(own, cfg.level)
         if live:
             mask = spark.createDataFrame(live, "p1 string, d1 tinyint, p2 string, d2 tinyint, mask long")
-            matches = match_one_subject(own, None, cfg.distinct_objects).join(F.broadcast(mask), ["p1", "d1", "p2", "d2"])
+            matches = match_alive(own, mask, cfg.distinct_objects)
             found = found.unionByName(score_one_subject(matches, cfg.level, F.col("mask")))
         if triples:
             heads = defaultdict(int)
@@ -147,7 +151,7 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
         if pr.stage1:
             now = decide_rules(counts, cfg, pr) - bad
             bad |= now
-            log += [(k, "rule", "|".join("-" if x is None else str(x) for x in r), sum(counts[r][:2]), counts[r][0], counts[r][0] / sum(counts[r][:2])) for r in sorted(now, key=str)]
+            log += [(k, "rule", "|".join("-" if x is None else str(x) for x in r), sum(counts[r]), counts[r][0], counts[r][0] / max(1, sum(counts[r][:2]))) for r in sorted(now, key=str)]
         if pr.stage2:
             new = decide_slots(counts, bad, cfg, pr) - cut
             cut |= new
@@ -160,8 +164,6 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
 
 
 def _linked(own: DataFrame, near: DataFrame, l: DataFrame, triples: DataFrame) -> DataFrame:
-    from .match import side
-
     t = F.broadcast(triples)
     a = side(own, 1).join(F.broadcast(triples.select("p1", "d1").distinct()), ["p1", "d1"], "left_semi")
     hop = l.select("x", "p0", "d0", F.col("y").alias("w"), "link_fact").where("x <> w").join(F.broadcast(triples.select("p0", "d0").distinct()), ["p0", "d0"], "left_semi")
