@@ -121,8 +121,11 @@ def repeated_starts(group: np.ndarray, shift: np.ndarray, data: np.ndarray, offs
     n = len(group)
     size = np.diff(offsets)
     table = np.zeros((columns, n), np.uint16)
-    doc = np.repeat(np.arange(n), size)
-    table[np.arange(len(data)) - np.repeat(offsets[:-1] - shift, size), doc] = data.astype(np.uint16) + 1
+    for lo in range(0, n, 4096):
+        hi = min(n, lo + 4096)
+        part, own = data[offsets[lo] : offsets[hi]], size[lo:hi]
+        doc = np.repeat(np.arange(lo, hi), own)
+        table[np.arange(len(part)) - np.repeat(offsets[lo:hi] - offsets[lo] - shift[lo:hi], own), doc] = part.astype(np.uint16) + 1
     place = np.cumsum(np.concatenate([[0], group[1:] != group[:-1]])) * 512
     inside = np.concatenate([[False], place[1:] == place[:-1]])
     order = np.arange(n)
