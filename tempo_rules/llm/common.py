@@ -75,17 +75,18 @@ def broadcast_if_small(table: DataFrame, rows: int | None = None) -> DataFrame:
     return F.broadcast(table) if n <= BROADCAST_ROWS else table
 
 
-def rebatched(batches: Iterable[pa.RecordBatch], rows: int = 50_000) -> Iterator[pa.Table]:
-    """Join small batches of slim rows into tables of about this many rows."""
+def rebatched(batches: Iterable[pa.RecordBatch], rows: int = 50_000, size: int = 1 << 25) -> Iterator[pa.Table]:
+    """Join small batches into tables of about this many rows or bytes, whichever comes first."""
     held: list[pa.RecordBatch] = []
-    n = 0
+    n = held_bytes = 0
     for b in batches:
         if b.num_rows:
             held.append(b)
             n += b.num_rows
-        if n >= rows:
+            held_bytes += b.nbytes
+        if n >= rows or held_bytes >= size:
             yield pa.Table.from_batches(held).combine_chunks()
-            held, n = [], 0
+            held, n, held_bytes = [], 0, 0
     if held:
         yield pa.Table.from_batches(held).combine_chunks()
 
