@@ -17,7 +17,7 @@ from .common import materialize
 WEIGHTS = (1, 2, 3)
 MAX_COPIES = 3
 #: Newton steps; offsets and seeds tried when rates are rounded; rows rounded in one go.
-NEWTON_STEPS, OFFSETS, SEEDS, CHUNK_ROWS = 40, 16, 32, 100_000
+NEWTON_STEPS, OFFSETS, SEEDS, CHUNK_ROWS = 40, 16, 64, 100_000
 #: Sources are collected as a table of targets; more than this many is refused.
 MAX_SOURCES = 1_000_000
 
