@@ -24,7 +24,7 @@ from .textkernel import slices, windows, words_of
 GRAM, SPACING, PASSAGE, OVERLAP = 3, 3, 200, 50
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the score of a full match from which a document counts as contaminated, and least score.
-SHARE, LEAST_SCORE = 0.3, 26
+SHARE, LEAST_SCORE = 0.3, 20
 #: Bytes of test items that are sent to all tasks at once; more items go in several rounds.
 ROUND_BYTES = 32 << 20
 

@@ -28,7 +28,7 @@ def _find(keys: list[str], sk: Column) -> Column:
 
     def step(a: Column, _: Column) -> Column:
         mid = F.shiftright(a["lo"] + a["hi"], 1)
-        below = table.getItem(F.least(mid, F.lit(len(keys) - 1))) <= sk
+        below = table[F.least(mid, F.lit(len(keys) - 1))] <= sk
         done = a["lo"] >= a["hi"]
         return F.struct(
             F.when(~done & below, mid + 1).otherwise(a["lo"]).alias("lo"),
@@ -39,7 +39,7 @@ def _find(keys: list[str], sk: Column) -> Column:
 
 
 def _lookup(values: list[int], at: Column) -> Column:
-    return F.split(F.lit(",".join(map(str, values)) or "0"), ",").getItem(at).cast("long")
+    return F.split(F.lit(",".join(map(str, values)) or "0"), ",")[at].cast("long")
 
 
 def sort_key(key: Column, *ties: Column) -> Column:

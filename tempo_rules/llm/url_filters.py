@@ -56,7 +56,7 @@ def match_rules(pages: DataFrame, rules=RULES) -> DataFrame:
     table = spark.createDataFrame([(i, v, h, p) for i, (v, h, p) in enumerate(order)], "rank long, v string, rh string, rp string")
     # parents of a host: as many as it has labels; pages of one host and path share the work
     sites = pages.select("host", "path").distinct()
-    parents = F.transform(F.sequence(F.lit(1), F.size(F.split("host", r"\."))), lambda k: F.substring_index("host", ".", -k))
+    parents = F.expr(r"transform(sequence(1, size(split(host, '\\.'))), k -> substring_index(host, '.', -k))")
     fits = sites.withColumn("rh", F.explode(parents)).join(table, "rh").where(F.col("path").startswith(F.col("rp")))
     first = fits.groupBy("host", "path").agg(F.min(F.struct("rank", F.concat("rh", "rp").alias("rule"), "v")).alias("m"))
     first = first.select("host", "path", F.col("m.rule").alias("rule"), F.col("m.v").alias("rule_verdict"))
