@@ -32,4 +32,4 @@ def written(df: DataFrame, name: str = "t", partition_by: tuple[str, ...] = ())
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return spark.read.parquet(path).select(df.columns) if not df.isStreaming else df
+    return spark.read.schema(df.schema).parquet(path).select(df.columns)
