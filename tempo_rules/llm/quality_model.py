@@ -25,8 +25,8 @@ from .textkernel import Slice, mix, slices
 ORDER, BITS = 5, 12
 #: One trusted text in FOLDS is held out; the quantile of their perplexity; least number of held-out texts of a language.
 FOLDS, QUANTILE, LEAST_HELD = 5, 0.995, 20
-#: Scored 5-grams that go to all tasks at once (about 100 MB); more go in several rounds.
-ROUND_GRAMS = 4_000_000
+#: Scored 5-grams that go to all tasks at once (about 50 MB); more go in several rounds.
+ROUND_GRAMS = 2_000_000
 #: Trusted document numbers are broadcast up to this many (8 bytes each), else joined by shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -214,12 +214,12 @@ def _summed(docs: DataFrame, scored: DataFrame) -> DataFrame:
         part = scored.where(F.pmod(F.xxhash64("lang", "gram"), F.lit(rounds)) == r) if rounds > 1 else scored
         keys, values = [np.zeros(0, np.uint64)], [np.zeros(0, np.float32)]
         rows = part.toArrow()
-        langs = rows.column("lang").to_pylist()
-        grams = rows.column("gram").to_numpy().view(np.uint64)
-        names, code = np.unique(np.array(langs, object).astype(str), return_inverse=True) if langs else ([], np.zeros(0, int))
-        for i, lang in enumerate(names):
-            keys.append(gram_keys(grams[code == i], str(lang)))
-            values.append(rows.column("logp").to_numpy()[code == i])
+        langs = pa.chunked_array(rows.column("lang").chunks, rows.schema.field("lang").type).combine_chunks().dictionary_encode()
+        langs = langs.combine_chunks() if isinstance(langs, pa.ChunkedArray) else langs
+        code, grams, logp = langs.indices.to_numpy(), rows.column("gram").to_numpy().view(np.uint64), rows.column("logp").to_numpy()
+        for i, lang in enumerate(langs.dictionary.to_pylist()):
+            keys.append(gram_keys(grams[code == i], lang))
+            values.append(logp[code == i])
         shared = spark.sparkContext.broadcast(Table(np.concatenate(keys), np.concatenate(values)))
         now = arrow_pass(docs, _sum(shared), fields)
         out = now if out is None else out.union(now)
