@@ -1,10 +1,10 @@
-"""Benchmark decontamination: rare seeds find candidates, local alignment scores them.
+"""Benchmark decontamination: seeds find candidates, local alignment scores them.
 
-Test items are cut into passages. Of every few successive word n-grams of a passage
-the one that is rarest among the documents is a seed, so each stretch of a passage
-keeps one. A document that has a seed is aligned with the passage around it (Smith
-and Waterman's recurrence on words), which tolerates replaced, added and left-out
-words; it is contaminated when the score is a large enough share of a full match.
+Test items are cut into passages. Every word n-gram of a passage is a seed: if only
+some were, an edited copy that holds just the others would never be aligned. A
+document that has a seed is aligned with the passage around it (Smith and Waterman's
+recurrence on words), which tolerates replaced, added and left-out words; it is
+contaminated when the score is a large enough share of a full match.
 """
 
 from __future__ import annotations
@@ -20,8 +20,10 @@ from pyspark.sql import functions as F
 from .common import arrow_pass, materialize
 from .textkernel import slices, windows, words_of
 
-#: Words of a seed; successive seeds of which the rarest is kept; words of a passage and those it shares with the next.
-GRAM, SPACING, PASSAGE, OVERLAP = 3, 3, 200, 50
+#: Words of a seed; words of a passage and those it shares with the next.
+GRAM, PASSAGE, OVERLAP = 3, 200, 50
+#: Pairs of a seed found and a passage that has it that are held at once; a document's own pairs stay together.
+HELD_PAIRS = 1 << 20
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the score of a full match from which a document counts as contaminated, and least score.
 SHARE, LEAST_SCORE = 0.3, 20
@@ -39,9 +41,6 @@ class Index:
     passage: np.ndarray
     at: np.ndarray
 
-    def keep(self, chosen: np.ndarray) -> Index:
-        return Index(self.item, self.words, self.hash[chosen], self.passage[chosen], self.at[chosen])
-
 
 def build_index(items: list[tuple[int, str]]) -> Index:
     ids, words, grams, owners, places = [], [], [], [], []
@@ -119,13 +118,22 @@ _HITS = pa.schema([("doc_id", pa.int64()), ("item_id", pa.int64()), ("score", pa
 def _candidates(index: Index, docs: np.ndarray, places: np.ndarray, keys: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
     """doc, passage and the words of the document to align, from seeds found: seeds farther apart than a passage stand alone."""
     lo, hi = np.searchsorted(index.hash, keys), np.searchsorted(index.hash, keys, "right")
+    size = np.array([len(x) for x in index.words])
+    begin = np.flatnonzero(np.concatenate([[True], docs[1:] != docs[:-1]]))
+    part = np.concatenate([[0], np.cumsum(hi - lo)])[begin] // HELD_PAIRS
+    cut = begin[np.concatenate([[True], part[1:] != part[:-1]])]
+    for a, b in zip(cut, np.append(cut[1:], len(docs))):
+        yield from _grouped(index, size, docs[a:b], places[a:b], lo[a:b], hi[a:b])
+
+
+def _grouped(index: Index, sizes: np.ndarray, docs: np.ndarray, places: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
     times = hi - lo
     k = np.repeat(lo - np.concatenate([[0], np.cumsum(times)[:-1]]), times) + np.arange(times.sum())
     doc, place, passage = np.repeat(docs, times), np.repeat(places, times), index.passage[k]
     start = place - index.at[k]
     by = np.lexsort((start, passage, doc))
     doc, passage, start = doc[by], passage[by], start[by]
-    size = np.array([len(x) for x in index.words])[passage]
+    size = sizes[passage]
     new = np.concatenate([[True], (doc[1:] != doc[:-1]) | (passage[1:] != passage[:-1]) | (np.diff(start) > size[1:])])
     cut = np.flatnonzero(new)
     for a, b in zip(cut, np.append(cut[1:], len(doc))):
@@ -169,34 +177,6 @@ def _score(index: Index, share: float):
     return run
 
 
-def _frequency(index: Index):
-    finder = Finder(index.hash)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros(len(finder.sorted), np.int64)
-        for b in batches:
-            for s in slices(b.column("text")):
-                w = words_of(s)
-                keys, at = windows(w, GRAM)
-                hit = finder(keys)
-                if len(hit):
-                    pair = np.unique(np.stack([w.doc[at[hit]], np.searchsorted(finder.sorted, keys[hit])]), axis=1)
-                    np.add.at(counts, pair[1], 1)
-        some = np.flatnonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(finder.sorted[some].view(np.int64)), pa.array(counts[some])], ["hash", "n"])
-
-    return run
-
-
-def rarest(index: Index, count: dict[int, int]) -> Index:
-    """Of every SPACING successive n-grams of a passage, the one that the fewest documents have."""
-    n = np.array([count.get(int(h), 0) for h in index.hash.view(np.int64)])
-    by = np.lexsort((index.at, n, index.at // SPACING, index.passage))
-    block = np.stack([index.passage[by], index.at[by] // SPACING])
-    first = np.concatenate([[True], (block[:, 1:] != block[:, :-1]).any(0)]) if len(by) else np.zeros(0, bool)
-    return index.keep(np.sort(by[first]))
-
-
 def _rounds(benchmark: DataFrame) -> Iterator[list[tuple[int, str]]]:
     held, size = [], 0
     for r in benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).toLocalIterator():
@@ -222,8 +202,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, share: float = SHARE) ->
         index = build_index(items)
         if not index.words:
             continue
-        seen = arrow_pass(text, _frequency(index), "hash long, n long").groupBy("hash").agg(F.sum("n").alias("n"))
-        index = rarest(index, {r["hash"]: r["n"] for r in seen.toLocalIterator()})
         found = arrow_pass(text, _score(index, share), "doc_id long, item_id long, score long, share double, matched_words long, word_from long, word_to long")
         out = found if out is None else out.union(found)
     if out is None:

@@ -302,6 +302,19 @@ def test_copies_and_edited_copies_are_found_and_others_not(spark):
     assert many == dirty and one_round
 
 
+def test_edited_copies_are_found_with_and_without_the_original(spark):
+    items = [[f"i{i}w{k}" for k in range(30)] for i in range(10)]
+    edit = lambda i, step, at: " ".join("new" + w if k % step == at else w for k, w in enumerate(items[i]))
+    steps = [(step, at) for step in (4, 5) for at in range(step)]
+    edited = [(i, edit(i, *steps[i % 9])) for i in range(9)]
+    b = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string")
+    alone = decontamination.contaminated(spark.createDataFrame(edited, "doc_id long, text string"), b).collect()
+    assert {(r["doc_id"], r["item_id"]) for r in alone} == {(i, i) for i in range(9)}
+    originals = [(100 + i, " ".join(items[i])) for i in range(9)]
+    both = decontamination.contaminated(spark.createDataFrame(edited + originals, "doc_id long, text string"), b).collect()
+    assert {(r["doc_id"], r["item_id"]) for r in both} == {(i + far, i) for i in range(9) for far in (0, 100)}
+
+
 def test_decontamination_empty(spark):
     b = spark.createDataFrame([], "item_id long, text string")
     assert decontamination.contaminated(empty_docs(spark), b).collect() == []
