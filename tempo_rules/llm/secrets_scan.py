@@ -2,8 +2,8 @@
 
 Each text is a worklist of layers. A layer is scanned, its encoded parts (URL
 escapes, Unicode escapes, base64, compressed data) are decoded into new layers, and
-so on until no new layer appears; a layer whose content was seen before in the same
-text isn't opened again. Every character of a layer knows the span of the text it
+so on until no new layer appears; a layer that has the content and the span of one seen
+before isn't opened again, an equal one from another place of the text is. Every character of a layer knows the span of the text it
 came from, so secrets found deep inside are reported as spans of the text.
 """
 
@@ -203,7 +203,8 @@ def _base64(layer: Layer) -> Iterator[Layer]:
 def scan_deep(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]], int]:
     """Secrets of the text itself, those of its layers as spans of the text, and the number of layers opened."""
     base = scan(text)
-    seen = {text}
+    known = {text: base}
+    seen: set[tuple[str, int, int]] = {(text, 0, len(text))}
     work = [Layer(text, [], [])]
     found: set[tuple[str, int, int]] = set()
     layers = 0
@@ -211,11 +212,13 @@ def scan_deep(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, in
         layer = work.pop()
         for decode in (_percent, _escaped, _base64):
             for new in decode(layer):
-                if new.text in seen:
+                if not new.text or (key := (new.text, *new.to_text(0, len(new.text)))) in seen:
                     continue
-                seen.add(new.text)
+                seen.add(key)
                 layers += 1
-                found |= {(k, *new.to_text(s, e)) for k, s, e in scan(new.text)}
+                if new.text not in known:
+                    known[new.text] = scan(new.text)
+                found |= {(k, *new.to_text(s, e)) for k, s, e in known[new.text]}
                 work.append(new)
     return base, sorted(found - set(base)), layers
 

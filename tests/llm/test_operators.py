@@ -251,6 +251,14 @@ def test_layer_spans_point_at_their_characters():
     assert text[a:b] == inner[: -len("%22")]
 
 
+def test_equal_layers_are_mapped_at_every_place():
+    for inner in (quote(KEY, safe=""), base64.b64encode(KEY.encode()).decode(), quote(base64.b64encode(gzip.compress(KEY.encode())).decode(), safe="")):
+        text = f"one {inner} two {inner} three {inner}."
+        starts = [m.start() for m in re.finditer(re.escape(inner), text)]
+        spans = [(a, b) for k, a, b in secrets_scan.scan_deep(text)[1] if k == "assign"]
+        assert len(starts) == 3 and all(any(at <= a < b <= at + len(inner) for a, b in spans) for at in starts)
+
+
 def test_cycles_and_rubbish_end():
     for text in ("%25" * 50, "%2525252525", "\\u005cu005cu005c", "A" * 4000, base64.b64encode(b"\x1f\x8b broken").decode(), "%ff%fe"):
         secrets_scan.scan_deep(text)
