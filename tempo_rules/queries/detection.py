@@ -12,7 +12,7 @@ from ..operators.mine import MinerConfig
 from ..plans import project
 from ..plans.kg import KnowledgeGraph
 from ..plans.project import ORDERS, SMALL
-from ..sources.tables import min_support, table, written
+from ..sources.tables import MIN_SUPPORT, table, written
 from . import sqltext as t
 
 #: Families that the hand-written rules speak of.
@@ -209,7 +209,7 @@ _add("label_distribution", lambda s, d: evaluate.label_overview(_labels(s, d)),
 
 def _mined_conflicts(s, d, level: str):
     kg = _old(s, d)
-    cfg = replace(MinerConfig(min_support=min_support(d), patterns=("a",)), level=level)
+    cfg = replace(MinerConfig(min_support=MIN_SUPPORT, patterns=("a",)), level=level)
     rules = written(mine.mine_constraints(kg, cfg, refine=False), "rules")
     return rules, written(detect.detect_conflicts(kg, rules), "conflicts")
 
@@ -270,7 +270,7 @@ def planted_grades(s, d):
     """Mined rules against those that hold by construction."""
     listed = [("before", "said_system", "said_user"), ("before", "said_system", "said_assistant"), ("never", "ordered_on", "ordered_on"), ("include", "active_as", "placed_order"), ("never", "active_as", "active_as")]
     kg = project.graph(s, d, ("K1", "K3", "K4", "K8", "K11"))
-    return evaluate.planted_report(mine.mine_constraints(kg, replace(MinerConfig(min_support=min_support(d)), patterns=("a",)), refine=False), listed)
+    return evaluate.planted_report(mine.mine_constraints(kg, replace(MinerConfig(min_support=MIN_SUPPORT), patterns=("a",)), refine=False), listed)
 
 
 _add("planted_grades", planted_grades)

@@ -10,7 +10,7 @@ from ..operators import mine, prune, refine
 from ..operators.mine import MinerConfig, Pruning
 from ..plans import project
 from ..plans.project import SMALL
-from ..sources.tables import min_support, written
+from ..sources.tables import MIN_SUPPORT, written
 from . import sqltext as t
 
 MIXED = ("K1", "K2", "K3", "K8", "K10", "K11")
@@ -28,7 +28,7 @@ def _add(name, f, sql=None):
 
 
 def _cfg(d: str, **more) -> MinerConfig:
-    return replace(MinerConfig(min_support=min_support(d), patterns=("a",)), **more)
+    return replace(MinerConfig(min_support=MIN_SUPPORT, patterns=("a",)), **more)
 
 
 def _shown(rules):

@@ -4,22 +4,17 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from pathlib import PurePosixPath
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Least support of a rule, by the size of the tables; other folders count as the middle one.
-MIN_SUPPORT = {"sf0.001": 5, "sf0.01": 20, "sf0.1": 100, "check_s": 100, "check_l": 100, "check_h": 100}
+#: Least support of a rule in all queries, the one of their SQL; it doesn't depend on the folder.
+MIN_SUPPORT = 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def min_support(sf_dir: str) -> int:
-    return MIN_SUPPORT.get(PurePosixPath(sf_dir).name, 20)
-
-
 def written(df: DataFrame, name: str = "t", partition_by: tuple[str, ...] = ()) -> DataFrame:
     """Cut the lineage: a table in the shared checkpoint folder, read back."""
     spark = df.sparkSession

@@ -343,3 +343,11 @@ def test_entry(spark):
 
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert entry.entry(spark).count() > 0
+
+
+def test_mined_rules_do_not_depend_on_the_folder_name(spark, tmp_path):
+    from tempo_rules import catalogue
+
+    (tmp_path / "other").symlink_to(SF)
+    rules = [sorted(map(str, catalogue.QUERIES["mine_base"](spark, d).collect())) for d in (SF, str(tmp_path / "other"))]
+    assert rules[0] == rules[1]
