@@ -18,6 +18,7 @@ import zlib
 from bisect import bisect_right
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import accumulate, chain
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -38,11 +39,18 @@ _HINTS = ("password", "passwd", "secret", "token", "apikey", "api_key")
 
 PERCENT = re.compile(r"[^\s%]*(?:%[0-9A-Fa-f]{2}[^\s%]*)+")
 ESCAPES = re.compile(r"(?:\\u\{[0-9A-Fa-f]{1,6}\}|\\u[0-9A-Fa-f]{4}|\\U[0-9A-Fa-f]{8}|\\x[0-9A-Fa-f]{2}|&#x[0-9A-Fa-f]{1,6};|&#[0-9]{1,7};)")
-BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+#: A run of base64 characters, with the lines that it is wrapped onto.
+BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}(?:[\x20\t]*\r?\n[\x20\t]*[A-Za-z0-9+/_-]+)*={0,2}")
+_LINE = re.compile(r"[A-Za-z0-9+/_-]+")
 _ESCAPED = re.compile(r"%[0-9A-Fa-f]{2}")
+#: No secret, and nothing that encodes one, is shorter than these ASCII characters in a row.
+_LEGIBLE = re.compile(rb"[\t\n\r\x20-\x7e]{16}")
+_MAGIC = re.compile(rb"\x1f\x8b\x08|BZh[1-9](?:1AY&SY|\x17rE8P\x90)|\xfd7zXZ\x00")
 
-#: Characters that a decoded layer may hold; compressed data may not expand beyond this many bytes at once.
-MAX_LAYER = 1 << 26
+#: Bytes of decompressed data that are scanned at once, and how many of them the next window has again.
+WINDOW, AGAIN = 1 << 24, 1 << 20
+#: Compressed data within compressed data is followed to this depth.
+MAX_DEPTH = 64
 
 
 def scan(text: str) -> list[tuple[str, int, int]]:
@@ -79,31 +87,30 @@ class Layer:
         return start, end
 
 
-def _utf8_layer(units: list[tuple[bytes, int, int]], parent: Layer) -> Layer | None:
-    """A layer from bytes that each came from a span of the parent; None if it isn't readable text."""
-    data = b"".join(u for u, _, _ in units)
-    text = _readable(data)
-    if text is None:
-        return None
+def _utf8_layer(units: list[tuple[bytes, int, int]], parent: Layer) -> Layer:
+    """A layer from bytes that each came from a span of the parent; bytes that aren't UTF-8 become U+FFFD."""
+    text = b"".join(u for u, _, _ in units).decode("utf-8", "surrogateescape")
     byte_from = [k for k, (u, _, _) in enumerate(units) for _ in u]
-    at, spans, pos = [], [], 0
-    for i, c in enumerate(text):
-        n = len(c.encode())
-        at.append(i)
+    spans, pos = [], 0
+    for c in text:
+        n = len(c.encode("utf-8", "surrogateescape"))
         spans.append((units[byte_from[pos]][1], units[byte_from[pos + n - 1]][2]))
         pos += n
-    return Layer(text, at, spans, parent)
+    return Layer(_BAD.sub("\ufffd", text), list(range(len(text))), spans, parent)
 
 
-def _readable(data: bytes) -> str | None:
+_BAD = re.compile("[\udc80-\udcff]")
+
+
+def _readable(data: bytes) -> bool:
+    """Whether data may hold a secret: it has a legible stretch, or is text as a whole."""
+    if _LEGIBLE.search(data):
+        return True
     try:
         text = data.decode("utf-8")
     except UnicodeDecodeError:
-        return None
-    if not text or len(text) > MAX_LAYER:
-        return None
-    odd = sum(1 for c in text if not (c.isprintable() or c in "\t\n\r"))
-    return text if odd * 20 <= len(text) else None
+        return False
+    return bool(text) and 20 * sum(1 for c in text if not (c.isprintable() or c in "\t\n\r")) <= len(text)
 
 
 def _percent(layer: Layer) -> Iterator[Layer]:
@@ -118,8 +125,7 @@ def _percent(layer: Layer) -> Iterator[Layer]:
             else:
                 units.append((layer.text[i].encode("utf-8", "surrogatepass"), i, i + 1))
                 i += 1
-        if (new := _utf8_layer(units, layer)) is not None:
-            yield new
+        yield _utf8_layer(units, layer)
 
 
 def _escaped(layer: Layer) -> Iterator[Layer]:
@@ -158,46 +164,114 @@ def _escaped(layer: Layer) -> Iterator[Layer]:
         k = j + 1
 
 
-def _unpacked(data: bytes) -> bytes | None:
-    """What compressed data holds, of bounded size; None if it isn't compressed or is broken."""
+def _unpacker(head: bytes):
+    """A new decompressor for data that begins like this; None if it isn't compressed."""
+    if head[:2] == b"\x1f\x8b":
+        return zlib.decompressobj(31)
+    if head[:3] == b"BZh":
+        return bz2.BZ2Decompressor()
+    if head[:6] == b"\xfd7zXZ\x00":
+        return lzma.LZMADecompressor()
+    if len(head) > 2 and head[0] == 0x78 and (head[0] * 256 + head[1]) % 31 == 0:
+        return zlib.decompressobj()
+    return None
+
+
+def _unpacked(parts: Iterator[bytes]) -> Iterator[bytes]:
+    """What compressed data holds, all its members, in pieces of bounded size; broken data gives what comes before the break."""
+    z, rest = None, b""
     try:
-        if data[:2] == b"\x1f\x8b":
-            z = zlib.decompressobj(31)
-        elif data[:3] == b"BZh":
-            z = bz2.BZ2Decompressor()
-        elif data[:6] == b"\xfd7zXZ\x00":
-            z = lzma.LZMADecompressor()
-        elif len(data) > 2 and data[0] == 0x78 and (data[0] * 256 + data[1]) % 31 == 0:
-            z = zlib.decompressobj()
-        else:
-            return None
-        return z.decompress(data, MAX_LAYER)
+        for part in parts:
+            rest += part
+            while rest:
+                if z is None:
+                    # members may be filled up with zeros; a head needs its first bytes
+                    rest = rest.lstrip(b"\0")
+                    if len(rest) < 8 and (more := next(parts, None)) is not None:
+                        rest += more
+                        continue
+                    if not rest or (z := _unpacker(rest)) is None:
+                        break
+                out = z.decompress(rest, AGAIN)
+                rest = getattr(z, "unconsumed_tail", b"")
+                if out:
+                    yield out
+                # bz2 and lzma keep their input; zlib may hold output back when its input is used up
+                while not z.eof and not rest and (len(out) == AGAIN or not getattr(z, "needs_input", True)):
+                    out = z.decompress(b"", AGAIN)
+                    if out:
+                        yield out
+                if z.eof:
+                    rest, z = z.unused_data, None
+            if z is None and rest:
+                return
     except (zlib.error, OSError, EOFError, ValueError, lzma.LZMAError):
-        return None
+        return
+
+
+def _contents(data: bytes) -> Iterator[bytes]:
+    """Compressed data, and what is compressed in it, unpacked; in windows that overlap."""
+    parts, head = iter([data]), data
+    for depth in range(MAX_DEPTH):
+        if _unpacker(head) is None:
+            break
+        inner = _unpacked(parts)
+        first = next(inner, None)
+        if first is None:
+            if not depth:
+                return
+            break
+        parts, head = chain([first], inner), first
+    held = bytearray()
+    fresh = 0
+    for part in parts:
+        held += part
+        fresh += len(part)
+        if len(held) >= WINDOW:
+            yield bytes(held)
+            del held[:-AGAIN]
+            fresh = 0
+    if fresh:
+        yield bytes(held)
 
 
 def _base64(layer: Layer) -> Iterator[Layer]:
+    """Base64 may begin at any character of a run: the four alignments decode every beginning."""
     for m in BASE64.finditer(layer.text):
-        token = m.group().rstrip("=")
-        if len(token) % 4 == 1:
-            token = token[:-1]
-        plain = token.replace("-", "+").replace("_", "/")
-        data = base64.b64decode(plain + "=" * (-len(plain) % 4))
-        inner, depth = data, 0
-        while (more := _unpacked(inner)) is not None and depth < 64 and more != inner:
-            inner, depth = more, depth + 1
-        if depth:
-            text = _readable(inner)
-            if text is not None:
-                yield Layer(text, [0], [(m.start(), m.end())], layer)
-            continue
-        if _readable(data) is None:
+        lines = list(_LINE.finditer(layer.text, m.start(), m.end()))
+        yield from _decoded(layer, lines)
+        if len(lines) > 1:
+            for line in lines:
+                if len(line.group()) >= 16:
+                    yield from _decoded(layer, [line])
+
+
+def _decoded(layer: Layer, lines: list[re.Match]) -> Iterator[Layer]:
+    token = "".join(x.group() for x in lines)
+    places = [p for x in lines for p in range(x.start(), x.end())]
+    plain = token.replace("-", "+").replace("_", "/")
+    starts = {0, *(m.end() for m in re.finditer(r"[+/]", plain)), *accumulate(len(x.group()) for x in lines)}
+    for skip in range(4):
+        chars = plain[skip:]
+        if len(chars) % 4 == 1:
+            chars = chars[:-1]
+        data = base64.b64decode(chars + "=" * (-len(chars) % 4))
+        heads = {m.start() for m in _MAGIC.finditer(data)} | {(s - skip) // 4 * 3 for s in starts if s % 4 == skip and data[(i := (s - skip) // 4 * 3) : i + 1] == b"\x78"}
+        packed = False
+        for at in sorted(heads):
+            for content in _contents(data[at:]):
+                packed = packed or not at
+                if _readable(content):
+                    yield Layer(content.decode("utf-8", "replace"), [0], [(places[skip + at // 3 * 4], places[-1] + 1)], layer)
+        # rubbish of another alignment has no legible stretch
+        if packed or not (_LEGIBLE.search(data) if skip else _readable(data)):
             continue
         # three bytes from four characters: each byte from the characters that hold its bits
-        base = m.start()
-        units = [(data[i : i + 1], base + i * 4 // 3, base + min(len(token), (i + 1) * 4 // 3 + ((i + 1) * 4 % 3 > 0))) for i in range(len(data))]
-        if (new := _utf8_layer(units, layer)) is not None:
-            yield new
+        units = []
+        for i in range(len(data)):
+            end = min(len(chars), (i + 1) * 4 // 3 + ((i + 1) * 4 % 3 > 0))
+            units.append((data[i : i + 1], places[skip + i * 4 // 3], places[skip + end - 1] + 1))
+        yield _utf8_layer(units, layer)
 
 
 def scan_deep(text: str) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]], int]:

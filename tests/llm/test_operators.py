@@ -1,10 +1,13 @@
 import base64
+import bz2
 import gzip
 import hashlib
 import json
+import lzma
 import math
 import random
 import re
+import zlib
 from collections import Counter, defaultdict
 from urllib.parse import quote
 
@@ -259,6 +262,23 @@ def test_equal_layers_are_mapped_at_every_place():
         assert len(starts) == 3 and all(any(at <= a < b <= at + len(inner) for a, b in spans) for at in starts)
 
 
+def test_layers_that_are_partly_broken_or_wrapped_are_opened(monkeypatch):
+    monkeypatch.setattr(secrets_scan, "WINDOW", 1 << 12)
+    monkeypatch.setattr(secrets_scan, "AGAIN", 1 << 10)
+    rnd = random.Random(3)
+    filler = " ".join(str(rnd.random()) for _ in range(600))
+    plain = base64.b64encode(KEY.encode()).decode()
+    wrapped = lambda raw, end: end.join(re.findall(".{1,76}", base64.b64encode(raw).decode()))
+    texts = [
+        "u=caf%E9&password%3D%22Zx81kQp0Lm72Vw", *(f"https://h.org/{'a' * n}/{plain}" for n in range(1, 6)), f"https://h.org/ab/{base64.b64encode(gzip.compress(KEY.encode())).decode()}",
+        wrapped((filler + KEY).encode(), "\n"), wrapped(gzip.compress((filler + KEY).encode()), "\r\n  "), base64.b64encode(gzip.compress(b"first") + gzip.compress(KEY.encode())).decode(),
+        base64.b64encode(bz2.compress(b"first") + bz2.compress((filler + KEY).encode())).decode(), base64.b64encode(lzma.compress((filler + KEY).encode())).decode(),
+        base64.b64encode(zlib.compress((filler + KEY).encode())).decode(), base64.b64encode(gzip.compress(gzip.compress((filler + KEY).encode()))).decode(), base64.b64encode(b"\xff\x00" + KEY.encode()).decode(),
+    ]
+    for text in texts:
+        assert any(k == "assign" for k, _, _ in secrets_scan.scan_deep(text)[1]), text[:60]
+
+
 def test_cycles_and_rubbish_end():
     for text in ("%25" * 50, "%2525252525", "\\u005cu005cu005c", "A" * 4000, base64.b64encode(b"\x1f\x8b broken").decode(), "%ff%fe"):
         secrets_scan.scan_deep(text)
