@@ -129,13 +129,17 @@ def fit(counted: DataFrame) -> DataFrame:
 
     Each group's first centre is the median of every count, each spread the floors;
     concentration steps then refit on the share COVER of rows that lie nearest.
-    Groups of fewer than LEAST_ROWS rows are judged together with their language.
+    Groups of fewer than LEAST_ROWS rows are judged by their language, whose estimate
+    all its rows enter; languages without such groups need none.
     """
     good = counted.where("not base_failed").select("lang", _source().alias("key"), *[c.alias(k) for k, c in _features().items()])
     good = materialize(good, "features")
-    big = good.groupBy(F.col("lang").alias("g_lang"), F.col("key").alias("g_key")).agg(F.count("*").alias("n")).where(F.col("n") >= LEAST_ROWS).drop("n")
-    named = good.join(big, good.lang.eqNullSafe(big.g_lang) & (good.key == big.g_key), "left")
-    good = materialize(named.withColumn("group", F.when(F.col("g_key").isNotNull(), F.concat(F.lit("s"), "key")).otherwise("all")).drop("g_lang", "g_key", "key"), "grouped")
+    sizes = materialize(good.groupBy(F.col("lang").alias("g_lang"), F.col("key").alias("g_key")).agg(F.count("*").alias("n")), "sizes")
+    big = sizes.where(F.col("n") >= LEAST_ROWS).select("g_lang", "g_key")
+    mixed = sizes.where(F.col("n") < LEAST_ROWS).select(F.col("g_lang").alias("m_lang")).distinct().withColumn("mixed", F.lit(True))
+    named = good.join(big, good.lang.eqNullSafe(big.g_lang) & (good.key == big.g_key), "left").join(mixed, good.lang.eqNullSafe(mixed.m_lang), "left")
+    groups = F.array_compact(F.array(F.when(F.col("g_key").isNotNull(), F.concat(F.lit("s"), "key")), F.when(F.col("mixed"), F.lit("all"))))
+    good = materialize(named.withColumn("group", F.explode(groups)).drop("g_lang", "g_key", "key", "m_lang", "mixed"), "grouped")
     middle = good.groupBy(F.col("lang").alias("g_lang"), F.col("group").alias("g_source")).agg(
         F.array(*[F.percentile_approx(f, 0.5, 1000) for f in FEATURES]).alias("mu")
     )

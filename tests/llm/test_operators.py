@@ -73,6 +73,17 @@ def test_robust_outliers_go_and_ordinary_texts_stay(spark):
     assert np.mean(bad) < 0.2
 
 
+def test_small_sources_are_judged_by_all_rows_of_their_language(spark):
+    rnd = random.Random(4)
+    words = ["tree", "house", "river", "stone", "cloud", "garden", "winter", "summer", "road", "bird", "market", "window"]
+    good = [(i, " ".join(rnd.choice(words) for _ in range(rnd.randrange(60, 120))), "en", "big") for i in range(400)]
+    junk = [(1000 + i, " ".join("#%$&*|<>" * 3 + str(rnd.randrange(10**6)) for _ in range(40)), "en", "rare") for i in range(3)]
+    rows = quality_rules.judge_documents(spark.createDataFrame(good + junk, "doc_id long, text string, lang string, source string")).collect()
+    assert not any(r["base_failed"] for r in rows if r["doc_id"] >= 1000)
+    assert not any(r["kept"] for r in rows if r["doc_id"] >= 1000)
+    assert np.mean([r["kept"] for r in rows if r["doc_id"] < 1000]) > 0.7
+
+
 def test_quality_rules_odd_and_empty(spark):
     rows = {(r["doc_id"], r["base_failed"], r["kept"]) for r in quality_rules.judge_documents(odd_docs(spark)).collect()}
     assert (900, True, False) in rows and len(quality_rules.judge_documents(odd_docs(spark)).collect()) == len(ODD)
