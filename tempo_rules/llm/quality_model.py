@@ -227,7 +227,10 @@ def _summed(docs: DataFrame, scored: DataFrame) -> DataFrame:
         return out
     key = ["doc_id", "k1", "k2", "lang"]
     null = [F.coalesce(F.col(c).cast("string"), F.lit("\0")).alias(f"g_{c}") for c in key]
-    sums = materialize(out, "rounds").select(*null, "n_symbols", "logp").groupBy(*[f"g_{c}" for c in key]).agg(F.sum("n_symbols").alias("n_symbols"), F.sum("logp").alias("logp"))
+    sums = materialize(out, "rounds").select(*null, "n_symbols", "logp").groupBy(*[f"g_{c}" for c in key]).agg(F.sum("n_symbols").alias("n_symbols"), F.sum("logp").alias("logp"), F.count("*").alias("n_rows"))
+    # every round has each row once: rows repeated whole share a sum, which is that of one row times their number
+    repeats = F.col("n_rows") / rounds
+    sums = sums.withColumns({"n_symbols": (F.col("n_symbols") / repeats).cast("long"), "logp": F.col("logp") / repeats}).drop("n_rows")
     return docs.select("doc_id", "lang", "role", "k1", "k2", *null).join(sums, [f"g_{c}" for c in key]).select("doc_id", "lang", "role", "k1", "k2", "n_symbols", "logp")
 
 

@@ -422,6 +422,17 @@ def test_held_out_accuracy(spark):
     assert np.mean([r["kept"] for r in rows if r["quality"] == 0]) < 0.4
 
 
+def test_repeated_rows_count_their_own_symbols_in_any_number_of_rounds(spark, monkeypatch):
+    rows = [(1, "en", 1, 11, 12, "some words of a text")] * 3 + [(2, "en", 1, 21, 22, "other words")]
+    docs = spark.createDataFrame(rows, "doc_id long, lang string, role int, k1 long, k2 long, text string")
+    grams = quality_model.arrow_pass(docs.select("lang", "role", "text"), quality_model._count, "lang string, gram long, n long, n_train long")
+    scored = quality_model.materialize(grams.select("lang", "gram").distinct().selectExpr("*", "cast(-0.5 as float) as logp"), "scored")
+    found = lambda: sorted((r["doc_id"], r["n_symbols"], round(r["logp"], 6)) for r in quality_model._summed(docs, scored).collect())
+    one = found()
+    monkeypatch.setattr(quality_model, "ROUND_GRAMS", 7)
+    assert one[0][1] and found() == one
+
+
 def test_quality_model_odd_and_empty(spark):
     labels = spark.createDataFrame([(903, 1, 0), (903, 0, 0), (904, 1, None), (None, 1, 0)], "doc_id long, quality int, toxic int")
     out = quality_model.classify(odd_docs(spark), labels).collect()
