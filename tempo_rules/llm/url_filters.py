@@ -3,22 +3,26 @@
 Labelled outcomes of pages (bad or not) are counted per host, registered domain and
 suffix. Each level's expected share of bad pages is the prior of the level below: a
 beta prior whose strength is estimated from how much the shares below differ. A
-host is blocked when even the lower bound of its posterior share is above a limit.
+host is blocked when even a low quantile of its posterior share is above a limit.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import arrow_pass, materialize, rebatched
+from .stats import beta_quantile
 
 #: Default rules: (verdict, host, path); the longest that fits decides.
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
-#: Suffixes of two labels under which names are registered; others have one label.
-WIDE_SUFFIXES = ("co.uk", "org.uk", "ac.uk", "com.au", "net.au", "co.jp", "ne.jp", "com.br", "co.in", "co.nz", "co.za", "com.cn")
-#: A host is blocked when the bound (mean minus Z deviations) of its bad share exceeds LIMIT.
-LIMIT, Z = 0.5, 1.645
+#: Second labels under which countries (suffixes of two letters) register names.
+COUNTRY_SECONDS = ("ac", "co", "com", "edu", "go", "gob", "gouv", "gov", "id", "ltd", "me", "mil", "ne", "net", "nom", "or", "org", "plc", "sch")
+#: A host is blocked when its bad share is above LIMIT with all but this probability.
+LIMIT, DOUBT = 0.5, 0.05
 #: Least and greatest strength of a prior, in pages.
 STRENGTH = (1.0, 1000.0)
 #: Rules beyond this number are joined as a table instead of being written into the plan.
@@ -33,10 +37,19 @@ def host_and_path(url: Column) -> tuple[Column, Column]:
     return F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), path
 
 
-def suffix_and_domain(host: Column) -> tuple[Column, Column]:
+def suffix_and_domain(host: Column, wide_suffixes: tuple[str, ...] | None = None) -> tuple[Column, Column]:
+    """The suffix under which names are registered, and the registered domain.
+
+    A suffix has two labels if it is among wide_suffixes (a public list may be given
+    there), by default if a second label that countries use stands before a country's
+    two letters; others have one.
+    """
     labels = F.split(host, r"\.")
     last2 = F.substring_index(host, ".", -2)
-    wide = last2.isin(*WIDE_SUFFIXES)
+    if wide_suffixes is None:
+        wide = last2.rlike(rf"^(?:{'|'.join(COUNTRY_SECONDS)})\.[a-z]{{2}}$")
+    else:
+        wide = last2.isin(*wide_suffixes)
     suffix = F.when(wide, last2).otherwise(F.substring_index(host, ".", -1))
     domain = F.when(F.size(labels) <= F.when(wide, 2).otherwise(1), host).when(wide, F.substring_index(host, ".", -3)).otherwise(last2)
     return suffix, domain
@@ -63,8 +76,8 @@ def match_rules(pages: DataFrame, rules=RULES) -> DataFrame:
     return pages.join(first, ["host", "path"], "left")
 
 
-def _level(counts: DataFrame, key: str, parent: str) -> DataFrame:
-    """Strength of the prior that a parent's keys share, by the method of moments over the keys' shares."""
+def _strength() -> Column:
+    """Strength of the prior that a parent's keys share, by the method of moments over the keys' shares; rows: n, bad, p0."""
     share = F.col("bad") / F.col("n")
     spread = F.sum(F.col("n") * F.pow(share - F.col("p0"), 2))
     k = F.count("*")
@@ -74,37 +87,45 @@ def _level(counts: DataFrame, key: str, parent: str) -> DataFrame:
     # spread among keys beyond what sampling alone gives, as a correlation of pages of a key
     extra = (spread - (k - 1) * within) / F.greatest((n - F.sum(F.col("n") * F.col("n")) / n) * within, F.lit(1e-9))
     rho = F.when((k < 2) | (within <= 0), F.lit(0.1)).otherwise(F.least(F.greatest(extra, F.lit(1e-4)), F.lit(0.5)))
-    strength = F.least(F.greatest(1 / rho - 1, F.lit(STRENGTH[0])), F.lit(STRENGTH[1]))
-    return counts.groupBy(parent).agg(strength.alias("m0"))
+    return F.least(F.greatest(1 / rho - 1, F.lit(STRENGTH[0])), F.lit(STRENGTH[1])).alias("m0")
+
+
+def _bounds(doubt: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in rebatched(batches):
+            low = beta_quantile(doubt, t.column("a").to_numpy(), t.column("b").to_numpy())
+            yield from t.drop_columns(["a", "b"]).append_column("bad_bound", pa.array(low)).to_batches()
+
+    return run
 
 
-def reputations(outcomes: DataFrame) -> DataFrame:
-    """host, n, bad, posterior mean and lower bound, from rows of (host, bad 0/1).
+def reputations(outcomes: DataFrame, doubt: float = DOUBT, wide_suffixes: tuple[str, ...] | None = None) -> DataFrame:
+    """host, n, bad, bad_share and bad_bound, from rows of (host, bad 0/1 or null).
 
+    bad_share is the posterior mean, bad_bound the posterior's quantile at `doubt`.
     Hosts of domains and suffixes without any label take the level above's mean.
     """
-    suffix, domain = suffix_and_domain(F.col("host"))
+    suffix, domain = suffix_and_domain(F.col("host"), wide_suffixes)
     by_host = outcomes.groupBy("host").agg(F.count("bad").alias("n"), F.coalesce(F.sum("bad"), F.lit(0)).cast("double").alias("bad"))
     by_host = materialize(by_host.withColumn("suffix", suffix).withColumn("domain", domain), "hosts")
     total = by_host.agg(F.sum("n"), F.sum("bad")).first()
     p_all = ((total[1] or 0.0) + 1.0) / ((total[0] or 0) + 2.0)
     above = None
+    levels = ["host", "domain", "suffix"]
     for key, parent in (("suffix", None), ("domain", "suffix"), ("host", "domain")):
-        keys = ["host", "domain", "suffix"][["host", "domain", "suffix"].index(key) :]
-        counts = by_host.groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
+        counts = by_host.groupBy(*levels[levels.index(key) :]).agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
         if parent is None:
-            counts = counts.withColumn("p0", F.lit(p_all)).withColumn("top", F.lit(0))
-            prior = _level(counts.where("n > 0"), key, "top")
-            parent = "top"
+            counts = counts.withColumn("p0", F.lit(p_all))
+            whole = counts.where("n > 0").agg(_strength()).first()[0]
+            counts = counts.withColumn("m0", F.lit(whole).cast("double"))
         else:
             counts = counts.join(above.select(parent, F.col("mean").alias("p0")), parent)
-            prior = _level(counts.where("n > 0"), key, parent)
-        counts = counts.join(prior, parent, "left")
+            counts = counts.join(counts.where("n > 0").groupBy(parent).agg(_strength()), parent, "left")
         m0 = F.coalesce("m0", F.lit(10.0))
         a, b = F.col("p0") * m0 + F.col("bad"), (1 - F.col("p0")) * m0 + F.col("n") - F.col("bad")
         above = materialize(counts.withColumn("a", a).withColumn("b", b).withColumn("mean", F.col("a") / (F.col("a") + F.col("b"))), key)
-    deviation = F.sqrt(F.col("a") * F.col("b") / (F.pow(F.col("a") + F.col("b"), 2) * (F.col("a") + F.col("b") + 1)))
-    return above.select("host", "n", "bad", F.col("mean").alias("bad_share"), (F.col("mean") - Z * deviation).alias("bad_bound"))
+    slim = above.select("host", "n", "bad", F.col("mean").alias("bad_share"), "a", "b")
+    return arrow_pass(slim, _bounds(doubt), "host string, n long, bad double, bad_share double, bad_bound double")
 
 
 def judge_pages(pages: DataFrame, labels: DataFrame, rules=RULES, limit: float = LIMIT) -> DataFrame:
@@ -112,7 +133,10 @@ def judge_pages(pages: DataFrame, labels: DataFrame, rules=RULES, limit: float =
 
     A page's outcome is the label of the same number: bad if of quality 0 or toxic;
     repeated labels count once, as bad if any of them is. A url without :// (or null)
-    has empty host and path and is allowed, unless its host '' earns a block.
+    has empty host and path and is allowed, unless its host '' earns a block. Pages
+    without page_id have no outcome; repeated rows each get a row and each count as a
+    page of their host. Urls of any length are read whole; extra columns, whatever
+    their names, are ignored; an empty table gives an empty result.
     """
     host, path = host_and_path(F.col("url").cast("string"))
     slim = materialize(pages.select(F.col("page_id").cast("long").alias("page_id"), host.alias("host"), path.alias("path")), "urls")
