@@ -11,6 +11,7 @@ a quantile of the chi-square distribution.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -176,13 +177,13 @@ def _named(rows: DataFrame, est: DataFrame) -> DataFrame:
     return rows.join(est, rows.lang.eqNullSafe(est.g_lang) & rows.key.eqNullSafe(est.g_key))
 
 
-def _step(good: DataFrame, est: DataFrame) -> DataFrame:
-    """A concentration step of every estimate: moments of the share COVER of its group that lies nearest."""
+def _step(good: DataFrame, est: DataFrame, most: int) -> DataFrame:
+    """A concentration step of every estimate, of which there are at most `most`: moments of the share COVER of its group that lies nearest."""
     lists = est.groupBy("g_lang", "g_key").agg(F.collect_list(F.struct("start", "mu", "inv")).alias("ests"))
-    near = _named(good, broadcast_if_small(lists, est.count())).select("g_lang", "g_key", *FEATURES, F.inline("ests"))
+    near = _named(good, broadcast_if_small(lists, most)).select("g_lang", "g_key", *FEATURES, F.inline("ests"))
     near = near.select("g_lang", "g_key", "start", *FEATURES, _distance().alias("d2"))
     limit = near.groupBy(F.col("g_lang").alias("l_lang"), F.col("g_key").alias("l_key"), F.col("start").alias("l_start")).agg(F.percentile_approx("d2", COVER, ACCURACY).alias("limit"))
-    kept = near.join(broadcast_if_small(limit, est.count()), near.g_lang.eqNullSafe(limit.l_lang) & near.g_key.eqNullSafe(limit.l_key) & (near.start == limit.l_start)).where(F.col("d2") <= F.col("limit"))
+    kept = near.join(broadcast_if_small(limit, most), near.g_lang.eqNullSafe(limit.l_lang) & near.g_key.eqNullSafe(limit.l_key) & (near.start == limit.l_start)).where(F.col("d2") <= F.col("limit"))
     moments = kept.groupBy("g_lang", "g_key", "start").agg(F.count("*").alias("n"), *_sums([F.col(f) for f in FEATURES], "s"))
     return arrow_pass(moments, _refit, _ESTIMATE)
 
@@ -205,21 +206,22 @@ def fit(counted: DataFrame) -> DataFrame:
     good = counted.where("not base_failed").select("lang", F.explode(F.array(F.concat(F.lit("s"), _source()), F.lit("all"))).alias("key"), *[c.alias(k) for k, c in _features().items()])
     good = materialize(good, "features")
     sizes = materialize(good.groupBy("lang", "key").agg(F.count("*").alias("rows")), "sizes")
+    most = sizes.count()
     est = materialize(_starts(good), "starts")
     for _ in range(FIRST_STEPS):
-        est = materialize(_step(good, est), "estimate")
+        est = materialize(_step(good, est, 4 * most), "estimate")
     est = materialize(_best(est, GO_ON), "estimate")
-    settled = est.where("false")
+    settled = []
     for _ in range(MOST_STEPS):
-        new = materialize(_step(good, est), "estimate")
         old = est.select(F.col("g_lang").alias("o_lang"), F.col("g_key").alias("o_key"), F.col("start").alias("o_start"), F.col("logdet").alias("o_logdet"))
+        new = _step(good, est, GO_ON * most)
         both = new.join(old, new.g_lang.eqNullSafe(old.o_lang) & new.g_key.eqNullSafe(old.o_key) & (new.start == old.o_start))
-        still = F.col("o_logdet") - F.col("logdet") > SETTLED
-        settled = settled.unionByName(both.where(~still).select(*new.columns))
-        est = materialize(both.where(still).select(*new.columns), "estimate")
+        both = materialize(both.select(*new.columns, (F.col("o_logdet") - F.col("logdet") > SETTLED).alias("still")), "estimate")
+        settled.append(both.where("not still").drop("still"))
+        est = both.where("still").drop("still")
         if est.isEmpty():
             break
-    best = materialize(_best(settled.unionByName(est), 1), "best")
+    best = materialize(_best(reduce(DataFrame.unionByName, settled, est), 1), "best")
     whole = best.where("g_key = 'all'").select(F.col("g_lang").alias("w_lang"), F.col("mu").alias("w_mu"), F.col("cov").alias("w_cov"))
     both = best.join(broadcast_if_small(whole), best.g_lang.eqNullSafe(whole.w_lang)).join(sizes, best.g_lang.eqNullSafe(sizes.lang) & (best.g_key == sizes.key))
     weight = F.col("rows") / (F.col("rows") + F.lit(float(PRIOR_ROWS)))
