@@ -14,8 +14,8 @@ from urllib.parse import quote
 import numpy as np
 import pytest
 
-from tempo_rules.llm import decontamination, quality_model, quality_rules, secrets_scan, sharding, url_filters, warc
-from tempo_rules.llm.mixing import mix_documents, targets
+from tempo_rules.llm import decontamination, mixing, quality_model, quality_rules, secrets_scan, sharding, url_filters, warc
+from tempo_rules.llm.mixing import mix_documents, solve, targets
 
 SF = "/root/testdata/sf0.001"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -93,10 +93,50 @@ def test_quality_rules_odd_and_empty(spark):
 # -- mixing ------------------------------------------------------------------
 
 
-def test_targets_share_all_words_and_respect_the_cap():
-    got = targets([("b", 100), ("a", 10), (None, 1000)])
-    assert got["a"] == 30 and got["b"] == 300 and math.isclose(sum(got.values()), 1110)
-    assert targets([("a", 0)]) == {"a": 0}
+def plain_targets(sizes, weights=(1, 2, 3), cap=3):
+    """Shares by weight, source after source in order, full ones taken out again and again."""
+    order = sorted(sizes, key=lambda x: (x[0] is None, [ord(c) for c in x[0] or ""]))
+    weight, size, full = {s: weights[i % 3] for i, (s, _) in enumerate(order)}, dict(order), {}
+    while True:
+        left, by = sum(size.values()) - sum(full.values()), sum(weight[s] for s in size if s not in full)
+        now = {s: left * weight[s] / by for s in size if s not in full}
+        over = [s for s in now if now[s] > cap * size[s]]
+        if not over:
+            return {**full, **now}
+        full |= {s: float(cap * size[s]) for s in over}
+
+
+def test_targets_share_all_words_and_respect_the_cap(spark):
+    rnd = random.Random(6)
+    many = [(f"s{i:03}", rnd.choice((0, 1, 5, 10**rnd.randrange(7)))) for i in range(200)]
+    for sizes in ([("b", 100), ("a", 10), (None, 1000)], [("a", 0)], [("é", 5), ("z", 7), ("Z", 900), (None, 2)], many):
+        df = spark.createDataFrame(sizes, "source string, source_size long")
+        got = {r["source"]: r["target"] for r in targets(df).collect()}
+        assert got == pytest.approx(plain_targets(sizes))
+    assert plain_targets([("b", 100), ("a", 10), (None, 1000)])["a"] == 30
+
+
+def test_tilts_solve_the_dual(spark):
+    """Each tilt against bisection over all documents; a single size has the closed form."""
+    rnd = random.Random(7)
+    sizes = {"low": [rnd.randrange(1, 400) for _ in range(300)], "high": [int(rnd.paretovariate(1)) + 1 for _ in range(300)], "one": [50] * 40, "full": [3, 4], "none": [9]}
+    share = {"low": 0.4, "high": 2.2, "one": 1.7, "full": 3.0, "none": 0.0}
+    cells = spark.createDataFrame([(s, k, n) for s, v in sizes.items() for k, n in Counter(v).items()], "source string, size long, n long")
+    goals = spark.createDataFrame([(s, sum(v), len(v), share[s] * sum(v)) for s, v in sizes.items()], "source string, source_size long, n long, target double")
+    got = {r["source"]: r for r in solve(cells, goals).collect()}
+    for s, v in sizes.items():
+        if s in ("full", "none"):
+            assert got[s]["tilt"] is None
+            continue
+        mean = sum(v) / len(v)
+        words = lambda t: sum(x * min(3.0, math.exp(min(50, t * x / mean))) for x in v)
+        lo, hi = -1e4, 1e4
+        for _ in range(200):
+            mid = (lo + hi) / 2
+            lo, hi = (mid, hi) if words(mid) < share[s] * sum(v) else (lo, mid)
+        assert words(got[s]["tilt"]) == pytest.approx(share[s] * sum(v), rel=1e-6)
+        assert got[s]["tilt"] == pytest.approx(lo, rel=1e-4)
+    assert got["one"]["tilt"] == pytest.approx(math.log(1.7), rel=1e-6)
 
 
 def test_mix_meets_targets(spark):
@@ -105,12 +145,26 @@ def test_mix_meets_targets(spark):
     a, b = ({(r["doc_id"], r["taken"]) for r in mix_documents(d).collect()} for d in (docs, docs.repartition(5)))
     assert a == b
     sizes = {r["doc_id"]: len(WORD.findall(r["text"])) for r in docs.collect()}
-    per = defaultdict(int)
+    per, near = defaultdict(int), defaultdict(float)
     for r in out.collect():
         assert r["size"] == sizes[r["doc_id"]] and r["taken"] <= 3 * r["size"] and r["taken"] == r["copies"] * r["size"]
+        assert 0 <= r["rate"] <= 3 and abs(r["copies"] - r["rate"]) < 1 + 1e-9
         per[(r["source_size"], r["target"])] += r["taken"]
-    for (_, target), taken in per.items():
-        assert abs(taken - target) <= 0.025 * target
+        near[(r["source_size"], r["target"])] += r["rate"] * r["size"]
+    for key, taken in per.items():
+        assert near[key] == pytest.approx(key[1], rel=1e-5)
+        assert abs(taken - key[1]) <= 0.025 * key[1]
+
+
+def test_mix_in_several_chunks_with_clashing_columns(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "CHUNK_ROWS", 50)
+    rnd = random.Random(9)
+    rows = [(i, "w " * rnd.randrange(1, 90), f"s{i % 3}" if i % 5 else "hot", 7, "q") for i in range(900)] + [(5, "w " * 20, "hot", 7, "q")] * 3
+    out = mix_documents(spark.createDataFrame(rows, "doc_id long, text string, source string, size long, rate string")).collect()
+    per = defaultdict(int)
+    for r in out:
+        per[r["source_size"], r["target"]] += r["taken"]
+    assert len(out) == len(rows) and all(abs(t - goal) <= 0.01 * goal for (_, goal), t in per.items())
 
 
 def test_mix_odd_and_empty(spark):
