@@ -1,87 +1,158 @@
-"""Benchmark decontamination: seeds find candidates, local alignment scores them.
-
-Test items are cut into passages. Every word n-gram of a passage is a seed: if only
-some were, an edited copy that holds just the others would never be aligned. A
-document that has a seed is aligned with the passage around it (Smith and Waterman's
-recurrence on words), which tolerates replaced, added and left-out words; it is
-contaminated when the score is a large enough share of a full match.
+"""Benchmark decontamination: rare seeds join texts to test items, local alignment scores them.
+
+Test items are cut into passages, and every word n-gram of a passage may be a seed.
+Texts give the n-grams that some passage has (a bit table of bounded size lets few
+others through); they are joined by hash with the seeds that are rare. Texts and
+passages that share one are candidates: the words of the text around the seeds are
+joined with the passage and aligned (Smith and Waterman's recurrence on words),
+which tolerates replaced, added and left-out words. A text is contaminated when the
+score is a large enough share of a full match.
+
+Rare, for a passage, is an n-gram that no more texts have than RARE_TEXTS, or one in
+RARE_SHARE texts, or SPREAD times as many as have the lower quartile of the passage's
+n-grams. The last keeps a passage that many texts copy; n-grams above all three are
+idiom, and a copy that holds no other is not found.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_pass, materialize
-from .textkernel import slices, windows, words_of
+from .common import arrow_pass, broadcast_if_small, materialize, release, text_key
+from .textkernel import Words, mix, slices, windows, words_of
 
 #: Words of a seed; words of a passage and those it shares with the next.
 GRAM, PASSAGE, OVERLAP = 3, 200, 50
-#: Pairs of a seed found and a passage that has it that are held at once; a document's own pairs stay together.
-HELD_PAIRS = 1 << 20
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the score of a full match from which a document counts as contaminated, and least score.
 SHARE, LEAST_SCORE = 0.3, 20
-#: Bytes of test items that are sent to all tasks at once; more items go in several rounds.
-ROUND_BYTES = 32 << 20
-
-
-@dataclass
-class Index:
-    """Passages as word hashes, and their n-grams sorted by hash."""
-
-    item: np.ndarray
-    words: list[np.ndarray]
-    hash: np.ndarray
-    passage: np.ndarray
-    at: np.ndarray
-
-
-def build_index(items: list[tuple[int, str]]) -> Index:
-    ids, words, grams, owners, places = [], [], [], [], []
-    for s in slices(pa.array([t or "" for _, t in items], pa.string())):
-        w = words_of(s)
-        for i in range(s.n):
-            all_words = w.hash[w.first[i] : w.first[i + 1]]
-            for lo in range(0, max(1, len(all_words) - OVERLAP), PASSAGE - OVERLAP):
-                part = all_words[lo : lo + PASSAGE]
-                if len(part) < GRAM:
+#: Texts that may have a rare n-gram: so many, one in so many, so many times those of the passage's lower quartile.
+RARE_TEXTS, RARE_SHARE, SPREAD = 10_000, 10_000, 4
+#: Most bits of the table that texts' n-grams are looked up in first (16 MB), and bits for each seed.
+MOST_BITS, SEED_BITS = 27, 32
+#: Candidates of a text that are cut out in one go; passages (of 1.6 kB at most) that are broadcast.
+CUT_ROWS, BROADCAST_PASSAGES = 1000, 20_000
+
+
+def passage_grams(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of a passage's word n-grams and their places; fewer words than that are one seed, which only texts of just these words have."""
+    if len(words) >= GRAM:
+        return windows(Words(None, None, np.zeros(len(words), np.int64), None, words), GRAM)
+    return _whole(words), np.zeros(min(1, len(words)), np.int64)
+
+
+def _whole(words: np.ndarray) -> np.ndarray:
+    if not len(words):
+        return np.zeros(0, np.uint64)
+    key = np.uint64(len(words))
+    for w in words:
+        key = mix(np.array([key ^ w]))[0]
+    return np.array([key], np.uint64)
+
+
+def _lists(parts: list[np.ndarray]) -> pa.ListArray:
+    ends = np.concatenate([[0], np.cumsum([len(p) for p in parts], dtype=np.int64)])
+    flat = np.concatenate(parts).view(np.int64) if parts else np.zeros(0, np.int64)
+    return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(flat))
+
+
+def _cut_items(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for s in slices(b.column("text")):
+            w = words_of(s)
+            parts, owner = [], []
+            for i in range(s.n):
+                own = w.hash[w.first[i] : w.first[i + 1]]
+                for lo in range(0, max(1, len(own) - OVERLAP), PASSAGE - OVERLAP):
+                    if len(part := own[lo : lo + PASSAGE]):
+                        parts.append(part)
+                        owner.append(s.first + i)
+            ids = b.column("item_id").take(pa.array(owner, pa.int64()))
+            yield pa.RecordBatch.from_arrays([ids, _lists(parts)], ["item_id", "words"])
+
+
+def passages(benchmark: DataFrame) -> DataFrame:
+    """pid, item_id, n_words, words (hashes) of the passages of all items; null and empty texts have none."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))
+    cut = arrow_pass(items, _cut_items, "item_id long, words array<long>")
+    return materialize(cut.select(F.monotonically_increasing_id().alias("pid"), "item_id", F.size("words").alias("n_words"), "words"), "passages")
+
+
+def _seed_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        pid, hashes, places = [], [], []
+        for p, words in zip(b.column("pid").to_pylist(), b.column("words")):
+            keys, at = passage_grams(words.values.to_numpy().view(np.uint64))
+            pid.append(np.full(len(keys), p))
+            hashes.append(keys)
+            places.append(at)
+        if pid:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(hashes).view(np.int64)), pa.array(np.concatenate(pid)), pa.array(np.concatenate(places).astype(np.int32))], ["hash", "pid", "at"])
+
+
+def bit_table(hashes: DataFrame) -> np.ndarray:
+    """Bits of the hashes' top bits; the table grows with their number up to MOST_BITS, so the driver holds 16 MB at most."""
+    n = hashes.agg(F.approx_count_distinct("hash")).first()[0]
+    size = min(MOST_BITS, max(16, int(n * SEED_BITS).bit_length()))
+    slot = F.shiftrightunsigned("hash", 64 - size)
+    rows = hashes.groupBy(F.shiftright(slot, 6).alias("w")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(shiftrightunsigned(hash, {64 - size}) & 63 as int))")).alias("bits")).toArrow()
+    table = np.zeros(1 << (size - 6), np.int64)
+    table[rows.column("w").to_numpy()] = rows.column("bits").to_numpy()
+    return table.view(np.uint64)
+
+
+def _in_table(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Which keys may be among those of the table."""
+    slot = keys >> np.uint64(64 - (len(table).bit_length() - 1 + 6))
+    return (table[(slot >> np.uint64(6)).astype(np.int64)] >> (slot & np.uint64(63))) & np.uint64(1) > 0
+
+
+def _hits(shared):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = shared.value
+        for b in batches:
+            for s in slices(b.column("text")):
+                w = words_of(s)
+                keys, at = windows(w, GRAM)
+                found = np.flatnonzero(_in_table(table, keys))
+                keys, at, doc = keys[found], at[found], w.doc[at[found]]
+                tiny = np.flatnonzero((np.diff(w.first) < GRAM) & (np.diff(w.first) > 0))
+                if len(tiny):
+                    own = np.concatenate([_whole(w.hash[w.first[i] : w.first[i + 1]]) for i in tiny])
+                    ok = _in_table(table, own)
+                    keys, at, doc = np.concatenate([keys, own[ok]]), np.concatenate([at, w.first[tiny[ok]]]), np.concatenate([doc, tiny[ok]])
+                if not len(keys):
                     continue
-                one = type(w)(None, None, np.zeros(len(part), np.int64), None, part)
-                keys, at = windows(one, GRAM)
-                grams.append(keys)
-                owners.append(np.full(len(keys), len(words)))
-                places.append(at)
-                words.append(part)
-                ids.append(items[s.first + i][0])
-    if not words:
-        z = np.zeros(0, np.int64)
-        return Index(z, [], np.zeros(0, np.uint64), z, z)
-    h, p, a = np.concatenate(grams), np.concatenate(owners), np.concatenate(places)
-    by = np.argsort(h, kind="stable")
-    return Index(np.array(ids), words, h[by], p[by], a[by])
-
-
-class Finder:
-    """Which of many hashes are in a set: a bit table first, then a search."""
-
-    def __init__(self, hashes: np.ndarray) -> None:
-        self.sorted = np.unique(hashes)
-        self.bits = np.zeros(1 << 22, bool)
-        self.bits[(self.sorted >> np.uint64(42)).astype(np.int64)] = True
-
-    def __call__(self, keys: np.ndarray) -> np.ndarray:
-        """Positions of keys that are in the set."""
-        at = np.flatnonzero(self.bits[(keys >> np.uint64(42)).astype(np.int64)])
-        if not len(at) or not len(self.sorted):
-            return at[:0]
-        place = np.minimum(np.searchsorted(self.sorted, keys[at]), len(self.sorted) - 1)
-        return at[self.sorted[place] == keys[at]]
+                _, one = np.unique(keys ^ mix(doc.astype(np.uint64) + np.uint64(1)), return_index=True)
+                first = np.zeros(len(keys), np.int32)
+                first[one] = 1
+                row = pa.array(s.first + doc)
+                rest = [b.column(c).take(row) for c in ("doc_id", "k1", "k2")]
+                yield pa.RecordBatch.from_arrays([*rest, pa.array(keys.view(np.int64)), pa.array((at - w.first[doc]).astype(np.int32)), pa.array(first)], ["doc_id", "k1", "k2", "hash", "pos", "first"])
+
+    return run
+
+
+def _cut_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The words of the text that each candidate wants."""
+    for b in batches:
+        k1, k2, wanted = b.column("k1").to_pylist(), b.column("k2").to_pylist(), b.column("wanted")
+        for s in slices(b.column("text")):
+            w = words_of(s)
+            rows, parts = [], []
+            for i in range(s.n):
+                own = w.hash[w.first[i] : w.first[i + 1]]
+                for c in wanted[s.first + i].as_py():
+                    lo = max(0, c["lo"])
+                    parts.append(own[lo : max(lo, c["hi"])])
+                    rows.append((c["pid"], k1[s.first + i], k2[s.first + i], lo))
+            if rows:
+                yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in zip(*rows)), _lists(parts)], ["pid", "k1", "k2", "lo", "window"])
 
 
 def align(passage: np.ndarray, text: np.ndarray) -> tuple[int, int, int, int]:
@@ -112,106 +183,100 @@ def align(passage: np.ndarray, text: np.ndarray) -> tuple[int, int, int, int]:
     return score, matched, int(j), end
 
 
-_HITS = pa.schema([("doc_id", pa.int64()), ("item_id", pa.int64()), ("score", pa.int64()), ("share", pa.float64()), ("matched_words", pa.int64()), ("word_from", pa.int64()), ("word_to", pa.int64())])
-
-
-def _candidates(index: Index, docs: np.ndarray, places: np.ndarray, keys: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
-    """doc, passage and the words of the document to align, from seeds found: seeds farther apart than a passage stand alone."""
-    lo, hi = np.searchsorted(index.hash, keys), np.searchsorted(index.hash, keys, "right")
-    size = np.array([len(x) for x in index.words])
-    begin = np.flatnonzero(np.concatenate([[True], docs[1:] != docs[:-1]]))
-    part = np.concatenate([[0], np.cumsum(hi - lo)])[begin] // HELD_PAIRS
-    cut = begin[np.concatenate([[True], part[1:] != part[:-1]])]
-    for a, b in zip(cut, np.append(cut[1:], len(docs))):
-        yield from _grouped(index, size, docs[a:b], places[a:b], lo[a:b], hi[a:b])
+def least_score(n_words: int, share: float = SHARE) -> float:
+    """Score from which a text counts as a copy of a passage of so many words."""
+    return max(share * MATCH * n_words, min(LEAST_SCORE, 0.9 * MATCH * n_words))
 
 
-def _grouped(index: Index, sizes: np.ndarray, docs: np.ndarray, places: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
-    times = hi - lo
-    k = np.repeat(lo - np.concatenate([[0], np.cumsum(times)[:-1]]), times) + np.arange(times.sum())
-    doc, place, passage = np.repeat(docs, times), np.repeat(places, times), index.passage[k]
-    start = place - index.at[k]
-    by = np.lexsort((start, passage, doc))
-    doc, passage, start = doc[by], passage[by], start[by]
-    size = sizes[passage]
-    new = np.concatenate([[True], (doc[1:] != doc[:-1]) | (passage[1:] != passage[:-1]) | (np.diff(start) > size[1:])])
-    cut = np.flatnonzero(new)
-    for a, b in zip(cut, np.append(cut[1:], len(doc))):
-        slack = int(size[a]) // 2 + 8
-        yield int(doc[a]), int(passage[a]), int(start[a]) - slack, int(start[b - 1]) + int(size[a]) + slack
+_ALIGNED = "k1 long, k2 long, item_id long, share double, score long, matched_words long, word_from long, word_to long"
 
 
-def _score(index: Index, share: float):
-    finder = Finder(index.hash)
-    sets = [np.unique(w) for w in index.words]
-
+def _align(share: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        types = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
+        names = ["k1", "k2", "item_id", "share", "score", "matched_words", "word_from", "word_to"]
         for b in batches:
-            ids = b.column("doc_id").to_pylist()
+            rest = [b.column(c).to_pylist() for c in ("k1", "k2", "item_id", "lo")]
             rows = []
-            for s in slices(b.column("text")):
-                w = words_of(s)
-                keys, at = windows(w, GRAM)
-                hit = finder(keys)
-                if not len(hit):
+            for k1, k2, item, lo, p, t in zip(*rest, b.column("words"), b.column("window")):
+                passage, text = p.values.to_numpy(), t.values.to_numpy()
+                need = least_score(len(passage), share)
+                # no alignment scores more than all words of the text that the passage has
+                if MATCH * int(np.isin(text, passage).sum()) < need:
                     continue
-                best: dict[tuple[int, int], tuple] = {}
-                doc = w.doc[at[hit]]
-                for d, p, lo, hi in _candidates(index, doc, at[hit] - w.first[doc], keys[hit]):
-                    lo, hi = max(0, lo), min(hi, int(w.first[d + 1] - w.first[d]))
-                    text, passage = w.hash[w.first[d] + lo : w.first[d] + hi], index.words[p]
-                    need = max(share * MATCH * len(passage), min(LEAST_SCORE, 0.9 * MATCH * len(passage)))
-                    # no alignment scores more than all words of the text that the passage has
-                    place = np.minimum(np.searchsorted(sets[p], text), len(sets[p]) - 1)
-                    if MATCH * int((sets[p][place] == text).sum()) < need:
-                        continue
-                    score, matched, a, z = align(passage, text)
-                    if score >= need:
-                        found = (score / (MATCH * len(passage)), score, matched, lo + a, lo + z)
-                        key = (d, int(index.item[p]))
-                        best[key] = max(best.get(key, found), found)
-                rows += [(ids[s.first + d], item, f[1], f[0], f[2], f[3], f[4]) for (d, item), f in best.items()]
+                score, matched, a, z = align(passage, text)
+                if score >= need:
+                    rows.append((k1, k2, item, score / (MATCH * len(passage)), score, matched, lo + a, lo + z))
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _HITS.types)], schema=_HITS)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
 
     return run
 
 
-def _rounds(benchmark: DataFrame) -> Iterator[list[tuple[int, str]]]:
-    held, size = [], 0
-    for r in benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).toLocalIterator():
-        held.append((r[0], r[1] or ""))
-        size += len(held[-1][1]) * 3
-        if size >= ROUND_BYTES:
-            yield held
-            held, size = [], 0
-    if held:
-        yield held
+def _keyed(docs: DataFrame) -> DataFrame:
+    text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null")
+    return text.select("doc_id", *[k.alias(c) for c, k in zip(("k1", "k2"), text_key())], "text")
+
+
+def _rare(seeds: DataFrame, found: DataFrame, n_texts: int) -> DataFrame:
+    """Seeds that texts have and that are rare for their passage."""
+    counts = found.groupBy("hash").agg(F.sum("first").alias("texts"))
+    counted = materialize(seeds.join(counts, "hash", "left").withColumn("texts", F.coalesce("texts", F.lit(0))), "counted")
+    quartile = counted.groupBy(F.col("pid").alias("q_pid")).agg(F.percentile_approx("texts", 0.25, 1000).alias("quartile"))
+    bound = F.greatest(F.lit(RARE_TEXTS), F.lit(n_texts // RARE_SHARE), F.col("quartile") * SPREAD)
+    return counted.join(quartile, F.col("pid") == F.col("q_pid")).where((F.col("texts") > 0) & (F.col("texts") <= bound)).select("hash", "pid", "at")
+
+
+def _aligned(docs: DataFrame, benchmark: DataFrame, share: float) -> tuple[DataFrame, DataFrame]:
+    """Best alignments (k1, k2, item_id, ..) of contaminated texts, and doc_id, k1, k2 of rows that share an n-gram with some passage."""
+    texts = _keyed(docs)
+    items = passages(benchmark)
+    seeds = materialize(arrow_pass(items.select("pid", "words"), _seed_rows, "hash long, pid long, at int"), "seeds")
+    shared = docs.sparkSession.sparkContext.broadcast(bit_table(seeds))
+    hits = materialize(arrow_pass(texts, _hits(shared), "doc_id long, k1 long, k2 long, hash long, pos int, first int"), "hits")
+    rows = materialize(hits.groupBy("doc_id", "k1", "k2").agg(F.count("*").alias("n_hits")), "rows")
+    # one row stands for equal texts
+    reps = rows.groupBy("k1", "k2").agg(F.min("doc_id").alias("r_doc"))
+    one = hits.join(reps, ["k1", "k2"]).where(F.col("doc_id").eqNullSafe(F.col("r_doc"))).select("k1", "k2", "r_doc", "hash", "pos", "first").distinct()
+    one = materialize(one, "one")
+    rare = _rare(seeds, one, texts.count())
+    rare = materialize(rare.join(items.select("pid", "n_words"), "pid"), "rare")
+    near = one.join(broadcast_if_small(rare), "hash").withColumn("start", F.col("pos") - F.col("at"))
+    # starts farther apart than a passage stand alone, so what is aligned stays a few passages long
+    slack = (F.col("n_words") / 2).cast("int") + 8
+    near = near.groupBy("k1", "k2", "r_doc", "pid", "n_words", F.floor(F.col("start") / F.col("n_words")).alias("bin")).agg(F.min("start").alias("a"), F.max("start").alias("z"))
+    near = materialize(near.select("k1", "k2", "r_doc", "pid", (F.col("a") - slack).alias("lo"), (F.col("z") + F.col("n_words") + slack).alias("hi")), "near")
+    parts = near.groupBy("k1", "k2").agg(F.ceil(F.count("*") / CUT_ROWS).alias("parts"))
+    part = F.pmod(F.xxhash64("pid", "lo"), "parts").alias("part")
+    lists = near.join(parts, ["k1", "k2"]).groupBy("k1", "k2", "r_doc", part).agg(F.collect_list(F.struct("pid", "lo", "hi")).alias("wanted"))
+    lists = materialize(lists.select(F.col("k1").alias("w1"), F.col("k2").alias("w2"), "r_doc", "wanted"), "wanted")
+    few = near.count()
+    wide = texts.join(broadcast_if_small(lists, few), (texts.k1 == lists.w1) & (texts.k2 == lists.w2) & texts.doc_id.eqNullSafe(lists.r_doc))
+    cut = arrow_pass(wide.select("k1", "k2", "text", "wanted"), _cut_texts, "pid long, k1 long, k2 long, lo long, window array<long>")
+    body = F.broadcast(items) if items.count() <= BROADCAST_PASSAGES else items
+    found = arrow_pass(cut.join(body, "pid").select("k1", "k2", "item_id", "lo", "words", "window"), _align(share), _ALIGNED)
+    best = found.groupBy("k1", "k2", "item_id").agg(F.max(F.struct("share", "score", "matched_words", "word_from", "word_to")).alias("m"))
+    best = materialize(best.select("k1", "k2", "item_id", "m.*"), "aligned")
+    release(hits, one, near)
+    return best, rows
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, share: float = SHARE) -> DataFrame:
     """doc_id, item_id, score, share, matched_words, word_from, word_to: the best alignment of each contaminated pair.
 
-    Items of fewer than three words seed nothing. Null texts match nothing; repeated
-    documents or items report the same pair once. Items go to the tasks in rounds of
-    bounded size, each over all documents.
+    Items of one or two words are found in texts of just these words. Null and empty
+    texts match nothing. Null ids are carried like others; repeated documents or items
+    report the same pair once. Whole texts are searched, however long; extra columns,
+    whatever their names, are ignored; empty tables give an empty result.
     """
-    text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null")
-    out = None
-    for items in _rounds(benchmark):
-        index = build_index(items)
-        if not index.words:
-            continue
-        found = arrow_pass(text, _score(index, share), "doc_id long, item_id long, score long, share double, matched_words long, word_from long, word_to long")
-        out = found if out is None else out.union(found)
-    if out is None:
-        return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, score long, share double, matched_words long, word_from long, word_to long")
-    best = F.max(F.struct("share", "score", "matched_words", "word_from", "word_to")).alias("m")
-    best = out.groupBy("doc_id", "item_id").agg(best)
-    return best.select("doc_id", "item_id", "m.score", "m.share", "m.matched_words", "m.word_from", "m.word_to")
+    best, rows = _aligned(docs, benchmark, share)
+    pairs = rows.join(best, ["k1", "k2"]).groupBy("doc_id", "item_id").agg(F.max(F.struct("share", "score", "matched_words", "word_from", "word_to")).alias("m"))
+    return pairs.select("doc_id", "item_id", "m.score", "m.share", "m.matched_words", "m.word_from", "m.word_to")
 
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, share: float = SHARE) -> DataFrame:
-    """The documents that no item contaminates, with all their columns; rows of null doc_id stay."""
-    hits = materialize(contaminated(docs, benchmark, share).select(F.col("doc_id").alias("hit_id")).distinct(), "hits")
-    return docs.join(hits, docs.doc_id == hits.hit_id, "left_anti")
+    """The rows whose text no item contaminates, with all their columns; a row's text decides, not its doc_id."""
+    best, _ = _aligned(docs, benchmark, share)
+    dirty = materialize(best.select(F.col("k1").alias("dirty1"), F.col("k2").alias("dirty2")).distinct(), "dirty")
+    k1, k2 = text_key()
+    return docs.join(broadcast_if_small(dirty), (k1 == dirty.dirty1) & (k2 == dirty.dirty2), "left_anti")
