@@ -22,14 +22,15 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """A new folder under the shared checkpoint folder of the session.
+    """A new folder under the shared checkpoint folder of the session: spark.checkpoint.dir, else the one set on the context.
 
-    Only where the session names none (single-machine tests) is a local one set.
+    Only a session of a single machine (tests) falls back to a local one.
     """
-    root = spark.conf.get("spark.checkpoint.dir", None)
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         root = f"{tempfile.gettempdir()}/tempo_rules_checkpoints"
-        spark.conf.set("spark.checkpoint.dir", root)
     return f"{root.rstrip('/')}/tables/{uuid.uuid4().hex}"
 
 
@@ -56,7 +57,11 @@ def release(*tables: DataFrame) -> None:
 def arrow_pass(
     df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterable[pa.RecordBatch]], schema: str | StructType
 ) -> DataFrame:
-    """mapInArrow with batches of a bounded number of rows; memory goes back when a task ends."""
+    """mapInArrow with batches of a bounded number of rows; memory goes back when a task ends.
+
+    Where the session has no number of its own, BATCH_ROWS becomes it; bytes of a batch
+    are bounded by Spark itself (spark.sql.execution.arrow.maxBytesPerBatch).
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from fn(batches)
@@ -64,7 +69,7 @@ def arrow_pass(
 
     spark = df.sparkSession
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(key)) > BATCH_ROWS:
+    if spark.conf.get(key, None) is None:
         spark.conf.set(key, str(BATCH_ROWS))
     return df.mapInArrow(run, schema)
 

@@ -1,9 +1,10 @@
 """WARC archives with chunked payloads.
 
 Archives hold one gzip member per record (WARC/1.1, as .warc.gz). Writers and
-readers stream: payloads go in and come out as rows of (record, chunk number), each
-carrying the SHA-1 of the payload up to its end, so that no record is held whole.
-Archives lie in the shared folder and are reached through pyarrow's file systems.
+readers stream: payloads go in and come out as rows of (record, chunk number), those
+read with the SHA-1 of the payload up to their end, so that no record is held whole
+in Python. Archives lie in the shared folder and are reached through pyarrow's file
+systems (local and mounted folders, hdfs, s3, gs, abfs).
 """
 
 from __future__ import annotations
@@ -12,11 +13,11 @@ import base64
 import hashlib
 import uuid
 import zlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyarrow import fs
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import arrow_pass, materialize, scratch_dir
@@ -30,8 +31,24 @@ DATE = "2024-01-01T00:00:00Z"
 CHUNKS = "archive string, page_id long, record_type string, refers_to long, declared_bytes long, declared_digest string, chunk_no int, chunk binary, digest string, last boolean, payload_bytes long"
 
 
+def qualified(spark: SparkSession, root: str) -> str:
+    """The folder with its scheme, as the session's file systems resolve it."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(root)
+    return path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).makeQualified(path).toString()
+
+
+def uri_of(root: str) -> str:
+    """A folder as pyarrow names it: one slash after file: becomes three, and s3a and s3n are s3."""
+    if root.startswith("/"):
+        return f"file://{root}"
+    scheme, _, rest = root.partition(":")
+    if scheme == "file":
+        return f"file:///{rest.lstrip('/')}"
+    return f"s3:{rest}" if scheme in ("s3a", "s3n") else root
+
+
 def _open(root: str) -> tuple[fs.FileSystem, str]:
-    return fs.FileSystem.from_uri(root if "://" in root else f"file://{root}")
+    return fs.FileSystem.from_uri(uri_of(root))
 
 
 def _head(kind: str, page_id: int | None, url: str, digest: str, declared: int, refers_to: int | None, length: int) -> bytes:
@@ -49,20 +66,18 @@ class Writer:
     """Writes records chunk by chunk, each as a gzip member."""
 
     def __init__(self, out) -> None:
-        self.out = out
+        self.out, self.z = out, None
 
-    def record(self, head: bytes, chunks: Iterable[bytes]) -> None:
-        z = zlib.compressobj(1, zlib.DEFLATED, 31)
-        self.out.write(z.compress(head))
-        for c in chunks:
-            self.out.write(z.compress(c))
-        self.out.write(z.compress(b"\r\n\r\n") + z.flush())
+    def begin(self, head: bytes) -> None:
+        self.z = zlib.compressobj(1, zlib.DEFLATED, 31)
+        self.out.write(self.z.compress(head))
 
+    def add(self, chunk) -> None:
+        self.out.write(self.z.compress(chunk))
 
-def _chunks(data: pa.Buffer | bytes, size: int = CHUNK) -> Iterator[memoryview]:
-    view = memoryview(data)
-    for i in range(0, len(view), size):
-        yield view[i : i + size]
+    def end(self) -> None:
+        self.out.write(self.z.compress(b"\r\n\r\n") + self.z.flush())
+        self.z = None
 
 
 def _bytes_of(value: pa.Scalar) -> memoryview:
@@ -70,8 +85,21 @@ def _bytes_of(value: pa.Scalar) -> memoryview:
     return memoryview(buf) if buf is not None else memoryview(b"")
 
 
-def write_archives(pages: DataFrame, root: str) -> DataFrame:
-    """Write rows of page_id, url, html, record_type, refers_to, payload_digest; return the archives written.
+def chunk_rows(records: DataFrame, size: int = CHUNK) -> DataFrame:
+    """Rows (record, chunk) of rows with html (binary) and record_type: chunk_no from 0, the chunk, whether it's the last.
+
+    The chunks of a record follow each other in one task. A record without payload, and
+    a revisit, has one empty chunk. Rows that go to Python hold a chunk, never a payload.
+    """
+    body = F.when(F.col("record_type") == "revisit", F.lit(0)).otherwise(F.octet_length("html"))
+    counted = records.withColumn("length", body.cast("long")).withColumn("n_chunks", F.greatest(F.ceil(F.col("length") / size), F.lit(1)).cast("int"))
+    wide = counted.select("page_id", "url", "record_type", "refers_to", "payload_digest", "length", "n_chunks", "html", F.octet_length("html").cast("long").alias("declared"), F.explode(F.sequence(F.lit(0), F.col("n_chunks") - 1)).alias("chunk_no"))
+    chunk = F.when(F.col("length") > 0, F.expr(f"substring(html, chunk_no * {size} + 1, {size})"))
+    return wide.select("page_id", "url", "record_type", "refers_to", "payload_digest", "length", "declared", "chunk_no", chunk.alias("chunk"), (F.col("chunk_no") == F.col("n_chunks") - 1).alias("last"))
+
+
+def write_archives(chunks: DataFrame, root: str) -> DataFrame:
+    """Write chunk rows (see chunk_rows); return the archives written.
 
     Each task writes one file under a name of its own; only names that the returned
     rows hold count, so a task that is run again leaves nothing that is read.
@@ -82,24 +110,25 @@ def write_archives(pages: DataFrame, root: str) -> DataFrame:
         name = f"{uuid.uuid4().hex}.warc.gz"
         out, n = None, 0
         for b in batches:
-            for i in range(b.num_rows):
-                page_id, url, kind, refers, digest = (b.column(c)[i].as_py() for c in ("page_id", "url", "record_type", "refers_to", "payload_digest"))
-                body = _bytes_of(b.column("html")[i])
-                if out is None:
-                    files.create_dir(base, recursive=True)
-                    out = files.open_output_stream(f"{base}/{name}")
-                    writer = Writer(out)
-                url = (url or "").replace("\r", "%0D").replace("\n", "%0A")
-                whole = len(body)
-                if kind == "revisit":
-                    body = memoryview(b"")
-                writer.record(_head(kind, page_id, url, digest, whole, refers, len(body)), _chunks(body))
-                n += 1
+            if out is None and b.num_rows:
+                files.create_dir(base, recursive=True)
+                out = files.open_output_stream(f"{base}/{name}")
+                writer = Writer(out)
+            last, chunk = b.column("last").to_pylist(), b.column("chunk")
+            for i, no in enumerate(b.column("chunk_no").to_pylist()):
+                if no == 0:
+                    page_id, url, kind, refers, digest, length, declared = (b.column(c)[i].as_py() for c in ("page_id", "url", "record_type", "refers_to", "payload_digest", "length", "declared"))
+                    url = (url or "").replace("\r", "%0D").replace("\n", "%0A")
+                    writer.begin(_head(kind, page_id, url, digest, declared, refers, length))
+                writer.add(_bytes_of(chunk[i]))
+                if last[i]:
+                    writer.end()
+                    n += 1
         if out is not None:
             out.close()
             yield pa.RecordBatch.from_pydict({"archive": [name], "records": [n]}, pa.schema([("archive", pa.string()), ("records", pa.int64())]))
 
-    return arrow_pass(pages, write, "archive string, records long")
+    return arrow_pass(chunks, write, "archive string, records long")
 
 
 class _Member:
@@ -200,9 +229,11 @@ def decide(pages: DataFrame, least: int = REVISIT_BYTES) -> DataFrame:
 def archive_pages(pages: DataFrame) -> DataFrame:
     """Write every page to archives, read them back, one row per page.
 
-    Null html is an empty payload. Of equal payloads of at least 1000 bytes the
-    largest page_id is the response. Null page_ids are kept and never referred to,
-    unless no other page has the payload. Extra columns are ignored.
+    Null html is an empty payload, null url an empty target. Of equal payloads of at
+    least 1000 bytes the largest page_id is the response, and so is every row that
+    repeats it. Null page_ids are kept and never referred to, unless no other page has
+    the payload. Extra columns, whatever their names, are ignored; an empty table
+    gives an empty result.
     """
     html = F.coalesce(F.col("html").cast("string"), F.lit(""))
     full = pages.select(
@@ -214,8 +245,8 @@ def archive_pages(pages: DataFrame) -> DataFrame:
         full.page_id, full.url, full.html, full.payload_digest,
         F.when(again.refers_to.isNotNull(), "revisit").otherwise("response").alias("record_type"), again.refers_to,
     )
-    root = f"{scratch_dir(pages.sparkSession)}/warc"
-    archives = materialize(write_archives(marked, root), "archives")
+    root = qualified(pages.sparkSession, f"{scratch_dir(pages.sparkSession)}/warc")
+    archives = materialize(write_archives(chunk_rows(marked), root), "archives")
     chunks = read_archives(archives.repartition(max(1, min(10_000, archives.count())), "archive"), root, payload=False)
     ends = chunks.where("last")
     is_revisit = F.col("record_type") == "revisit"

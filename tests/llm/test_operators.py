@@ -256,7 +256,7 @@ def test_archives_round_trip(spark, monkeypatch):
 def test_chunks_carry_digests_and_text(spark):
     pages = spark.read.parquet(f"{SF}/pages.parquet").selectExpr("page_id", "url", "encode(html, 'UTF-8') html", "sha1(html) payload_digest", "'response' record_type", "cast(null as long) refers_to")
     root = warc.scratch_dir(spark) + "/w"
-    chunks = warc.read_archives(warc.materialize(warc.write_archives(pages, root)), root).collect()
+    chunks = warc.read_archives(warc.materialize(warc.write_archives(warc.chunk_rows(pages, 700), root)), root).collect()
     text = defaultdict(bytes)
     for c in sorted(chunks, key=lambda c: (c["page_id"], c["chunk_no"])):
         text[c["page_id"]] += bytes(c["chunk"])
@@ -264,6 +264,27 @@ def test_chunks_carry_digests_and_text(spark):
     assert {k: v for k, v in text.items()} == {r["page_id"]: bytes(r["html"]) for r in pages.collect()}
 
 
+def test_chunk_rows_are_small_and_whole(spark):
+    body = bytes(range(256)) * 20
+    df = spark.createDataFrame([(1, "u", bytearray(body), "response", None, "d"), (2, "u", bytearray(body), "revisit", 1, "d"), (3, "u", bytearray(b""), "response", None, "d")], "page_id long, url string, html binary, record_type string, refers_to long, payload_digest string")
+    rows = warc.chunk_rows(df, 1000).collect()
+    assert b"".join(bytes(r["chunk"]) for r in rows if r["page_id"] == 1) == body
+    assert [(r["page_id"], r["chunk_no"], len(r["chunk"] or b""), r["last"]) for r in rows] == [*((1, k, min(1000, 5120 - 1000 * k), k == 5) for k in range(6)), (2, 0, 0, True), (3, 0, 0, True)]
+
+
+def test_folders_of_any_scheme():
+    assert [warc.uri_of(x) for x in ("/a/b", "file:/a", "file:///a", "s3a://b/k", "hdfs://n:1/x")] == ["file:///a/b", "file:///a", "file:///a", "s3://b/k", "hdfs://n:1/x"]
+
+
+def test_warc_in_a_file_uri_with_repeated_and_null_pages(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(warc, "scratch_dir", lambda _: f"file:{tmp_path}/x")
+    long = "z" * 1500
+    rows = [(1, "u", long, 5), (1, "u", long, 5), (None, "u", long, 6), (2, None, long, 7), (2, None, long, 7), (None, "v", None, 8), (None, "w", "y" * 2000, 9), (None, "w", "y" * 2000, 9)]
+    out = [tuple(r)[:5] for r in warc.archive_pages(spark.createDataFrame(rows, "page_id long, url string, html string, refers_to int")).collect()]
+    d, y, e = (hashlib.sha1(x.encode()).hexdigest() for x in (long, "y" * 2000, ""))
+    assert sorted(out, key=str) == sorted([(1, 1500, d, "revisit", 2)] * 2 + [(None, 1500, d, "revisit", 2)] + [(2, 1500, d, "response", None)] * 2 + [(None, 0, e, "response", None)] + [(None, 2000, y, "response", None)] * 2, key=str)
+
+
 def test_warc_empty(spark):
     assert warc.archive_pages(spark.createDataFrame([], "page_id long, url string, html string")).collect() == []
 
