@@ -327,7 +327,7 @@ def test_base_secrets_against_brute_force(spark):
 def test_nested_layers_are_unwrapped(wrap):
     inner = wrap(KEY)
     text = f"before é {inner} after"
-    base, more, layers = secrets_scan.scan_deep(text)
+    base, more, layers, _ = secrets_scan.scan_deep(text)
     assert layers and not base
     spans = [(a, b) for k, a, b in more if k == "assign"]
     assert spans and all(text.index(inner) <= a < b <= text.index(inner) + len(inner) for a, b in spans)
@@ -360,11 +360,41 @@ def test_layers_that_are_partly_broken_or_wrapped_are_opened(monkeypatch):
         wrapped((filler + KEY).encode(), "\n"), wrapped(gzip.compress((filler + KEY).encode()), "\r\n  "), base64.b64encode(gzip.compress(b"first") + gzip.compress(KEY.encode())).decode(),
         base64.b64encode(bz2.compress(b"first") + bz2.compress((filler + KEY).encode())).decode(), base64.b64encode(lzma.compress((filler + KEY).encode())).decode(),
         base64.b64encode(zlib.compress((filler + KEY).encode())).decode(), base64.b64encode(gzip.compress(gzip.compress((filler + KEY).encode()))).decode(), base64.b64encode(b"\xff\x00" + KEY.encode()).decode(),
+        base64.b64encode(KEY.encode("utf-16")).decode(), base64.b64encode(KEY.encode("utf-16-be")).decode(), base64.b64encode(gzip.compress(KEY.encode("utf-16-le"))).decode(), f"xyz{plain}", f"/{plain}", f"a/{plain}",
     ]
     for text in texts:
         assert any(k == "assign" for k, _, _ in secrets_scan.scan_deep(text)[1]), text[:60]
 
 
+def test_deep_nesting_and_spans_of_other_letters():
+    raw = KEY.encode()
+    for _ in range(300):
+        raw = gzip.compress(raw)
+    assert any(k == "assign" for k, _, _ in secrets_scan.scan_deep(base64.b64encode(raw).decode())[1])
+    text = "größe " + "ü%20ä" + quote(KEY, safe="") + "ö end \\ud83d\\ude00\\u0070assword:abcdefghijklmn"
+    spans = [(a, b) for k, a, b in secrets_scan.scan_deep(text)[1] if k == "assign"]
+    assert text[spans[0][0] : spans[0][1]] == quote(KEY, safe="")[: -len("%22")]
+    assert text[spans[1][0] : spans[1][1]] == "\\u0070assword:abcdefghijklmn"
+
+
+def test_spans_of_base64_point_at_the_characters_of_their_bits():
+    for lead in range(4):
+        raw = ("é" * lead + "x" * lead + " password=abcdefghijklmnop! é").encode()
+        text = "t " + base64.b64encode(raw).decode()
+        (_, a, b), = [x for x in secrets_scan.scan_deep(text)[1] if x[0] == "assign"]
+        at, end = raw.index(b"password"), raw.index(b"!")
+        assert (a - 2, b - 2) == (at * 8 // 6, -(-end * 8 // 6))
+
+
+def test_a_large_layer_takes_little_memory():
+    import subprocess
+    import sys
+
+    code = "import sys,base64,resource;sys.path.insert(0,'.');from tempo_rules.llm.secrets_scan import scan_deep;t=base64.b64encode(b'plain words, and a few more ' * (48 << 20 >> 5) + b' password=abcdefghijklmnop').decode();r=scan_deep(t);assert len(r[1])==1,r[1];print(resource.getrusage(resource.RUSAGE_SELF).ru_maxrss >> 10)"
+    out = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True)
+    assert int(out.stdout) < 1000
+
+
 def test_cycles_and_rubbish_end():
     for text in ("%25" * 50, "%2525252525", "\\u005cu005cu005c", "A" * 4000, base64.b64encode(b"\x1f\x8b broken").decode(), "%ff%fe"):
         secrets_scan.scan_deep(text)
