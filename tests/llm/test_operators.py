@@ -13,6 +13,7 @@ from urllib.parse import quote
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from tempo_rules.llm import decontamination, mixing, quality_model, quality_rules, secrets_scan, sharding, url_filters, warc
 from tempo_rules.llm.mixing import mix_documents, solve, targets
@@ -558,7 +559,8 @@ def test_perplexity_against_the_definition(spark, monkeypatch):
     fold = {r["doc_id"]: r["f"] for r in docs.selectExpr("doc_id", "pmod(xxhash64(text), 5) f").collect()}
     score = reference_model([t for i, t in rows.items() if i in trusted and fold[i]])
     got = {r["doc_id"]: r for r in quality_model.classify(docs, labels).collect()}
-    monkeypatch.setattr(quality_model, "ROUND_GRAMS", 3000)
+    for name, value in (("CHUNK_ROWS", 5), ("BLOCK_BYTES", 20_000), ("PACK_BYTES", 3000), ("HELD_GRAMS", 500)):
+        monkeypatch.setattr(quality_model, name, value)
     again = {r["doc_id"]: r for r in quality_model.classify(docs, labels).collect()}
     for i, t in list(rows.items())[:25]:
         want = math.exp(-score(t) / len(t))
@@ -573,15 +575,32 @@ def test_held_out_accuracy(spark):
     assert np.mean([r["kept"] for r in rows if r["quality"] == 0]) < 0.4
 
 
-def test_repeated_rows_count_their_own_symbols_in_any_number_of_rounds(spark, monkeypatch):
-    rows = [(1, "en", 1, 11, 12, "some words of a text")] * 3 + [(2, "en", 1, 21, 22, "other words")]
-    docs = spark.createDataFrame(rows, "doc_id long, lang string, role int, k1 long, k2 long, text string")
-    grams = quality_model.arrow_pass(docs.select("lang", "role", "text"), quality_model._count, "lang string, gram long, n long, n_train long")
-    scored = quality_model.materialize(grams.select("lang", "gram").distinct().selectExpr("*", "cast(-0.5 as float) as logp"), "scored")
-    found = lambda: sorted((r["doc_id"], r["n_symbols"], round(r["logp"], 6)) for r in quality_model._summed(docs, scored).collect())
-    one = found()
-    monkeypatch.setattr(quality_model, "ROUND_GRAMS", 7)
-    assert one[0][1] and found() == one
+def test_threshold_and_verdict_against_plain_quantiles(spark):
+    docs, labels = docs_of(spark, "/root/testdata/sf0.01"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    trusted = {r["doc_id"] for r in labels.groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).collect() if r["q"] == 1 and r["t"] == 0}
+    fold = {r["doc_id"]: r["f"] for r in docs.selectExpr("doc_id", "pmod(xxhash64(text), 5) f").collect()}
+    rows = quality_model.classify(docs, labels).collect()
+    for lang in {r["lang"] for r in rows}:
+        own = [r for r in rows if r["lang"] == lang]
+        held = sorted(r["perplexity"] for r in own if r["doc_id"] in trusted and not fold[r["doc_id"]])
+        held = held if len(held) >= quality_model.LEAST_HELD else sorted(r["perplexity"] for r in own if r["doc_id"] in trusted)
+        want = held[math.ceil(quality_model.QUANTILE * len(held)) - 1]
+        assert all(r["threshold"] == want and r["kept"] == (r["perplexity"] is None or r["perplexity"] <= want) for r in own)
+
+
+def test_symbols_of_any_script_stay_apart(spark):
+    rnd = random.Random(12)
+    signs = [chr(c) for c in (*range(0x4E00, 0x4E20), *range(0x5600, 0x5620), *range(0x1F600, 0x1F610))]
+    rows = [(i, "".join(rnd.choice(signs[:32] if i < 40 else signs) for _ in range(200)), "zh", "k") for i in range(60)] * 2
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, block string")
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(40)], "doc_id long, quality int, toxic int")
+    out = quality_model.classify(docs, labels).collect()
+    score = reference_model([t for i, t, *_ in rows if i in {r["doc_id"] for r in docs.selectExpr("doc_id", "pmod(xxhash64(text), 5) f").where("f > 0 and doc_id < 40").collect()}])
+    text = {i: t for i, t, *_ in rows}
+    assert len(out) == 120 and all(r["n_symbols"] == 200 for r in out)
+    for r in out[::7]:
+        assert r["perplexity"] == pytest.approx(math.exp(-score(text[r["doc_id"]]) / 200), rel=1e-4)
+    assert np.mean([r["kept"] for r in out if r["doc_id"] < 40]) > 0.9 and not any(r["kept"] for r in out if r["doc_id"] >= 40)
 
 
 def test_quality_model_odd_and_empty(spark):
