@@ -23,7 +23,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_pass, materialize, release, text_key
+from .common import arrow_pass, broadcast_if_small, materialize, release, text_key
 from .textkernel import Slice, mix, slices
 
 ORDER, BITS = 5, 21
@@ -33,7 +33,7 @@ FOLDS, QUANTILE, LEAST_HELD = 5, 0.995, 20
 #: Rows that follow each other in a file and share a block; bytes of text of a block; bytes of text packed together.
 CHUNK_ROWS, BLOCK_BYTES, PACK_BYTES = 16_384, 192 << 20, 4 << 20
 #: Different 5-grams of a block and language that a task holds before it passes them on.
-HELD_GRAMS = 2_000_000
+HELD_GRAMS = 500_000
 #: Trusted document numbers are broadcast up to this many (8 bytes each), else joined by shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -144,10 +144,10 @@ def probabilities(grams: DataFrame) -> DataFrame:
     for n in range(ORDER - 1, 0, -1):
         # lower orders count in how many contexts an n-gram continues
         counts[n] = materialize(counts[n + 1].select("lang", *_suffix(n)).groupBy(*_KEY).agg(F.count("*").alias("c")), f"c{n}")
-    vocabulary = counts[1].groupBy("lang").agg((F.count("*") + 1).alias("v"))
+    vocabulary = broadcast_if_small(materialize(counts[1].groupBy("lang").agg((F.count("*") + 1).alias("v")), "v"))
     below = now = None
     for n in range(1, ORDER + 1):
-        discount = _discounts(counts[n])
+        discount = broadcast_if_small(materialize(_discounts(counts[n]), f"d{n}"))
         drop = F.when(F.col("c") == 1, F.col("d1")).when(F.col("c") == 2, F.col("d2")).otherwise(F.col("d3"))
         table = counts[n].join(discount, "lang").withColumn("drop", drop)
         context = table.select("lang", *_context(), "c", "drop").groupBy("lang", "chi", "clo").agg(F.sum("c").alias("total"), F.sum("drop").alias("freed"))
@@ -285,18 +285,18 @@ def _scored(b: pa.RecordBatch, table: Table) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([*rest, pa.array(np.concatenate(seen)), pa.array(np.concatenate(total))], ["doc_id", "lang", "role", "k1", "k2", "n_symbols", "logp"])
 
 
-def _summed(marked: DataFrame, requests: DataFrame, scored: DataFrame) -> DataFrame:
+def _summed(marked: DataFrame, requests: DataFrame, scored: DataFrame, blocks: int) -> DataFrame:
     """Symbols and summed log-probability of every document: scored 5-grams are joined with the blocks that have them, and meet the block's texts."""
     there = requests.select("block", *_KEY).join(scored.where("logp is not null"), _KEY)
     there = there.select("block", *_KEY, "logp", F.lit(None).cast("binary").alias("packed"))
     packed = arrow_pass(marked, _pack, "block long, packed binary")
     texts = packed.select("block", F.lit(None).cast("string").alias("lang"), F.lit(None).cast("long").alias("hi"), F.lit(None).cast("long").alias("lo"), F.lit(None).cast("float").alias("logp"), "packed")
-    both = there.unionByName(texts).repartition("block").sortWithinPartitions("block", F.col("packed").isNotNull())
+    both = there.unionByName(texts).repartition(2 * blocks, "block").sortWithinPartitions("block", F.col("packed").isNotNull())
     return arrow_pass(both, _sum, "doc_id long, lang string, role int, k1 long, k2 long, n_symbols long, logp double")
 
 
-def _dealt(docs: DataFrame) -> DataFrame:
-    """doc_id, lang, text, block: rows that follow each other in a file share a block, whatever splits a cluster reads; rows without files are written first."""
+def _dealt(docs: DataFrame) -> tuple[DataFrame, int]:
+    """doc_id, lang, text, block, and the number of blocks: rows that follow each other in a file share a block, whatever splits a cluster reads; rows without files are written first."""
     slim = [F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")]
     place = [F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row")]
     try:
@@ -304,8 +304,9 @@ def _dealt(docs: DataFrame) -> DataFrame:
     except AnalysisException:
         rows = materialize(docs.select(*slim), "texts").select(*slim, *place)
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    block = F.pmod(F.xxhash64("file", F.floor(F.col("row") / CHUNK_ROWS)), F.lit(size // BLOCK_BYTES + 1))
-    return rows.select("doc_id", "lang", "text", block.alias("block"))
+    blocks = size // BLOCK_BYTES + 1
+    block = F.pmod(F.xxhash64("file", F.floor(F.col("row") / CHUNK_ROWS)), F.lit(blocks))
+    return rows.select("doc_id", "lang", "text", block.alias("block")), blocks
 
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE) -> DataFrame:
@@ -324,16 +325,18 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE) ->
     few = trusted.count() <= BROADCAST_IDS
     k1, k2 = text_key()
     role = F.when(F.col("t_id").isNull(), 0).when(F.pmod("k1", F.lit(FOLDS)) == 0, 2).otherwise(1)
-    marked = _dealt(docs).withColumns({"k1": k1, "k2": k2}).join(F.broadcast(trusted) if few else trusted, F.col("doc_id") == F.col("t_id"), "left").withColumn("role", role.cast("int")).drop("t_id")
+    dealt, blocks = _dealt(docs)
+    marked = dealt.withColumns({"k1": k1, "k2": k2}).join(F.broadcast(trusted) if few else trusted, F.col("doc_id") == F.col("t_id"), "left").withColumn("role", role.cast("int")).drop("t_id")
     counted = arrow_pass(marked.select("block", "lang", "role", "text"), _count, "block long, lang string, hi long, lo long, n long, n_train long")
     requests = materialize(counted.groupBy("block", *_KEY).agg(F.sum("n").alias("n"), F.sum("n_train").alias("n_train")), "requests")
     grams = materialize(requests.groupBy(*_KEY).agg(F.sum("n").alias("n"), F.sum("n_train").alias("n_train")), "grams")
     scored = probabilities(grams)
-    sums = materialize(_summed(marked, requests, scored), "sums").withColumn("perplexity", F.when(F.col("n_symbols") > 0, F.exp(-F.col("logp") / F.col("n_symbols"))))
+    sums = materialize(_summed(marked, requests, scored, blocks), "sums").withColumn("perplexity", F.when(F.col("n_symbols") > 0, F.exp(-F.col("logp") / F.col("n_symbols"))))
     cut = lambda role: F.percentile_approx(F.when(role, F.col("perplexity")), quantile, 10_000)
     held = F.col("role") == 2
     limit = sums.where("role > 0").groupBy(F.coalesce("lang", F.lit("")).alias("l")).agg(F.when(F.count(F.when(held, 1)) >= LEAST_HELD, cut(held)).otherwise(cut(F.col("role") > 0)).alias("threshold"))
-    out = sums.join(limit, F.coalesce("lang", F.lit("")) == limit.l, "left")
+    limit = materialize(limit, "limits")
+    out = sums.join(broadcast_if_small(limit), F.coalesce("lang", F.lit("")) == limit.l, "left")
     kept = F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True))
     release(grams, requests)
     return out.select("doc_id", "lang", "n_symbols", "perplexity", "threshold", kept.alias("kept"))
