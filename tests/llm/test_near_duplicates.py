@@ -88,3 +88,62 @@ def test_large_groups_and_odd_rows(spark):
 
 def test_empty_table(spark):
     assert join_texts(spark.createDataFrame([], "doc_id long, text string")).collect() == []
+
+
+def test_a_chain_of_texts_that_are_no_duplicates_is_never_gathered(spark, monkeypatch):
+    """Neighbours share about two thirds of their windows: all are candidates, none is linked."""
+    import tempo_rules.llm.near_duplicates as nd
+
+    words = [f"c{i}" for i in range(3000 * 12 + 60)]
+    rows = [(i, " ".join(words[12 * i : 12 * i + 64])) for i in range(3000)]
+    most = []
+    real = nd._verified
+
+    def watched(groups, sets, name):
+        most.append(groups.groupBy("g1", "g2").count().agg({"count": "max"}).first()[0] or 0)
+        return real(groups, sets, name)
+
+    monkeypatch.setattr(nd, "_verified", watched)
+    out = join_texts(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert all(r["class_id"] == r["doc_id"] and r["n_links"] == 0 for r in out) and len(out) == 3000
+    assert max(most) < 40
+
+
+def test_prefixes_are_shortened_until_the_recall_is_met(spark, monkeypatch):
+    import tempo_rules.llm.near_duplicates as nd
+
+    levels = []
+    real = nd._met_again
+    monkeypatch.setattr(nd, "_met_again", lambda met, marks, level: (levels.append(level), real(met, marks, level))[1])
+    rnd = random.Random(5)
+    rows = []
+    for i in range(200):
+        w = [f"w{rnd.randrange(10**6)}" for _ in range(400)]
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join([*w, "one"]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert all(r["class_id"] == r["doc_id"] // 2 * 2 and r["n_links"] == 1 for r in join_texts(df).collect())
+    # links are far more alike than the threshold: long prefixes have the recall
+    assert levels[0] == 8 and levels[-1] > 5
+    levels.clear()
+    join_texts(spark.createDataFrame(rows[::2], "doc_id long, text string")).collect()
+    # without a link, only the shortest ones are sure to have it
+    assert levels == [8, 7, 6, 5]
+
+
+def test_recall_by_similarity(spark):
+    """Pairs of planned similarity from 0.8 up, each alone: nearly none is missed in any band."""
+    rnd = random.Random(6)
+    rows, alike = [], []
+    for i in range(600):
+        w = [f"w{rnd.randrange(10**7)}" for _ in range(204)]
+        v = list(w)
+        for at in rnd.sample(range(5, 199), rnd.randrange(1, 5)):
+            v[at] = f"x{rnd.randrange(10**7)}"
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join(v))]
+        a, b = ({tuple(t[k : k + 5]) for k in range(200)} for t in (w, v))
+        alike.append(len(a & b) / len(a | b))
+    out = {r["doc_id"]: r["class_id"] for r in join_texts(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for lo, hi in ((0.8, 0.85), (0.85, 0.9), (0.9, 0.95), (0.95, 1.0)):
+        band = [out[2 * i] == out[2 * i + 1] for i, s in enumerate(alike) if lo <= s < hi]
+        assert len(band) > 50 and sum(band) / len(band) >= 0.99
+    assert not any(out[2 * i] == out[2 * i + 1] for i, s in enumerate(alike) if s < 0.8)
