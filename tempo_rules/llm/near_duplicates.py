@@ -4,10 +4,11 @@ Equal texts are one class from the start. Every class has a path of MinHash valu
 in each tree of the forest; sorted paths are prefix tries, walked once. A text is
 first compared with the texts it most often meets in the tries; links found so make
 clusters, whose pairs are all compared, in blocks. What is left are pairs of different
-clusters that share a prefix. They are compared from the longest prefixes on, which
-are shortened, level by level, until the target recall is met for links as alike as
-those found; every pair is compared once, where its texts first meet. Only verified
-links join texts, so what merely meets by way of others is never gathered.
+clusters that share a prefix. Prefixes are shortened, level by level, until they have
+the target recall for links as alike as those found so far; pairs that share one are
+compared, which may show links that ask for shorter ones. Every pair is compared once,
+where its texts first meet. Only verified links join texts, so what merely meets by
+way of others is never gathered.
 """
 
 from __future__ import annotations
@@ -216,9 +217,10 @@ def _cuts(cols: dict[str, np.ndarray]) -> list[tuple[int, int]]:
     return list(zip([0, *at], [*at, n]))
 
 
-def _open_pairs(level: int):
-    """Of groups of texts that share a prefix of this length in a tree: pairs of different clusters that meet here first, as a bit mask for each text."""
-    own, longer = LEVELS.index(level), LEVELS.index(level) + 1
+def _open_pairs(level: int, longer: int | None):
+    """Of groups of texts that share a prefix of this length in a tree: pairs of different clusters that meet here first, and share no prefix of the
+    longer length that was compared before, as a bit mask for each text."""
+    fields_of = {"own": f"l{level}"} | ({"longer": f"l{longer}"} if longer else {})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in runs(batches, ["g1", "g2"], 4000):
@@ -228,9 +230,9 @@ def _open_pairs(level: int):
             fields, size = marks.flatten(), np.diff(marks.offsets.to_numpy())
             at = (np.repeat(np.arange(t.num_rows), size), fields.field("tree").to_numpy())
             lead = {}
-            for k in range(own, min(longer + 1, len(LEVELS))):
+            for k, name in fields_of.items():
                 lead[k] = np.full((t.num_rows, TREES), -1, np.int64)
-                lead[k][at] = fields.field(f"l{LEVELS[k]}").to_numpy()
+                lead[k][at] = fields.field(name).to_numpy()
             out: list[list] = [[], [], [], [], []]
             for lo, hi in _cuts(cols):
                 root, side, tree = cols["root"][lo:hi], cols["side"][lo:hi], int(cols["tree"][lo])
@@ -239,7 +241,7 @@ def _open_pairs(level: int):
                     open_ &= side[:, None] != side[None, :]
                 elif cols["g2"][lo] & 1:
                     continue
-                for k, trees in ((own, range(tree)), (longer, range(TREES))):
+                for k, trees in (("own", range(tree)), ("longer", range(TREES))):
                     for s in trees if k in lead else ():
                         v = lead[k][lo:hi, s]
                         open_ &= (v[:, None] != v[None, :]) | (v[:, None] < 0)
@@ -338,9 +340,14 @@ def _verified(groups: DataFrame, sets: DataFrame, name: str) -> DataFrame:
 
 
 def _first_links(met: DataFrame, sets: DataFrame) -> DataFrame:
-    """Links of each text with the text that leads its runs most often, and with the one that stands before it most often."""
+    """Links of each text with the two texts that lead its runs most often, and with the two that stand before it most often."""
     own = F.array(*[F.when(F.col(f"l{r}") != F.col("rid"), F.col(f"l{r}")) for r in LEVELS])
-    most = lambda values: met.select("rid", F.explode(values).alias("hub")).where("hub >= 0").groupBy("rid", "hub").agg(F.count("*").alias("n")).groupBy("rid").agg(F.max(F.struct("n", (-F.col("hub")).alias("h"))).alias("m")).select("rid", (-F.col("m.h")).alias("hub"))
+
+    def most(values: Column) -> DataFrame:
+        counted = met.select("rid", F.explode(values).alias("hub")).where("hub >= 0").groupBy("rid", "hub").agg(F.count("*").alias("n"))
+        best = counted.groupBy("rid").agg(F.slice(F.sort_array(F.collect_list(F.struct("n", (-F.col("hub")).alias("h"))), False), 1, 2).alias("m"))
+        return best.select("rid", F.explode("m").alias("m")).select("rid", (-F.col("m.h")).alias("hub"))
+
     stars = materialize(most(own).union(most(F.array("near"))).distinct(), "stars")
     parts = stars.groupBy("hub").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
     number = lambda k: F.shiftleft(k.cast("long"), 1).bitwiseOR(F.lit(1).cast("long")).alias("g2")
@@ -353,20 +360,22 @@ def _edges(found: DataFrame) -> DataFrame:
     return found.where("rid <> label").select(F.col("rid").alias("u"), F.col("label").alias("v"))
 
 
-def _met_again(met: DataFrame, marks: DataFrame, level: int) -> DataFrame:
+def _met_again(met: DataFrame, marks: DataFrame, level: int, longer: int | None) -> DataFrame:
     """Groups of texts that share a prefix of this length in a tree, where texts of different clusters do and not all pairs share a longer one."""
     l, keep = f"l{level}", F.lit(True)
     at = met.where(F.col(l) >= 0)
     aggs = [F.min("root").alias("r_min"), F.max("root").alias("r_max")]
-    if level < DEPTH:
-        deeper = F.col(f"l{level + 1}")
+    if longer:
+        deeper = F.col(f"l{longer}")
         mine = F.when(deeper >= 0, deeper).otherwise(F.col("rid"))
         aggs += [F.min(mine).alias("d_min"), F.max(mine).alias("d_max")]
         keep = F.col("d_min") != F.col("d_max")
     mixed = at.groupBy(F.col("tree").alias("m_tree"), F.col(l).alias("m_lead")).agg(*aggs).where((F.col("r_min") != F.col("r_max")) & keep).select("m_tree", "m_lead")
     rows = at.join(mixed, (F.col("tree") == F.col("m_tree")) & (F.col(l) == F.col("m_lead"))).select("rid", "tree", F.col(l).alias("lead"), "root")
     groups = _blocked(rows, ["tree", "lead"], F.col("lead"), F.col("tree"))
-    return _grouped(groups.join(marks, "rid").select("g1", "g2", "rid", "side", "root", "tree", "marks"))
+    names = ["tree", l] + ([f"l{longer}"] if longer else [])
+    slim = marks.select("rid", F.transform("marks", lambda m: F.struct(*[m[c].alias(c) for c in names])).alias("marks"))
+    return _grouped(groups.join(slim, "rid").select("g1", "g2", "rid", "side", "root", "tree", "marks"))
 
 
 def _recall(found: DataFrame, level: int) -> float:
@@ -388,19 +397,20 @@ def links(texts: DataFrame, sets_of, recall: float = RECALL) -> tuple[DataFrame,
     stars = _edges(_first_links(met, sets))
     clusters = materialize(components(stars), "clusters") if not stars.isEmpty() else spark.createDataFrame([], "node long, root long")
     inside = _blocked(clusters.select(F.col("node").alias("rid"), "root"), ["root"], F.col("root"), F.lit(0)).withColumn("mask", F.lit(None).cast("binary"))
-    found = [_verified(inside, sets, "inside")]
+    found = _verified(inside, sets, "inside")
     rooted = met.join(clusters.withColumnRenamed("node", "rid"), "rid", "left").withColumn("root", F.coalesce("root", "rid"))
     rooted = materialize(rooted.drop("near"), "rooted")
-    crossing = None
+    every, crossing, longer = found, found.where("false"), None
     for level in reversed(LEVELS):
-        pairs = arrow_pass(_met_again(rooted, marks, level), _open_pairs(level), _GROUP)
-        found.append(_verified(pairs, sets, f"level{level}"))
-        crossing = _edges(found[-1]) if crossing is None else crossing.union(_edges(found[-1]))
-        every = found[0]
-        for f in found[1:]:
-            every = every.unionByName(f)
+        # prefixes that are too long for the links found so far aren't tried
+        if level > LEVELS[0] and _recall(every, level) < recall:
+            continue
+        pairs = arrow_pass(_met_again(rooted, marks, level, longer), _open_pairs(level, longer), _GROUP)
+        new = _verified(pairs, sets, f"level{level}")
+        every, crossing, longer = every.unionByName(new), crossing.unionByName(new), level
         if _recall(every, level) >= recall:
             break
+    crossing = _edges(crossing)
     degree = materialize(every.groupBy("rid").agg(F.sum("n_docs").alias("n_docs")), "degree")
     if not crossing.isEmpty():
         clusters = materialize(components(clusters.select(F.col("node").alias("u"), F.col("root").alias("v")).union(crossing)), "classes")
