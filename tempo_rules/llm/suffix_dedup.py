@@ -11,21 +11,24 @@ lengths follow from least values over the old order. Neighbours with a common pr
 of LENGTH or more are repeated strings. Collections stream by in the sorted, external
 files of the shuffle. Equal stretches enter once: all their strings are repeated anyway.
 
-Anchors with more than HOT different stretches aren't gathered: their strings are counted by
-128-bit hashes with partial sums instead, which gives the same answer.
+An anchor with more than HOT different stretches is subdivided: its stretches are cut
+into shorter ones of SPLIT times fewer starts, at the same columns in all, which are
+collections of their own. Where the stretches differed in what lies far from the anchor,
+equal short ones now enter once; stretches of a single start need no order at all.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_pass, materialize, release, runs, text_key
+from .common import arrow_pass, broadcast_if_small, materialize, release, runs, text_key
 from .textkernel import mix, rolling, slices, sliding_min, stretch_hashes
 
 LENGTH, GRAM = 200, 32
@@ -33,6 +36,8 @@ LENGTH, GRAM = 200, 32
 REACH = LENGTH - GRAM + 1
 #: Different stretches of an anchor up to which they are ordered together (about 75 MB); documents inserted at once.
 HOT, COLLECTION = 100_000, 8192
+#: Parts into which the columns of a hot anchor are cut (twice at most: 13 * 13 = REACH); a stretch that more than one in so many of all rows have is hot.
+SPLIT, HOT_SHARE = 13, 10_000
 #: Starts handled at once; positions fit the low bits of a sort key.
 _STRETCH, _BITS = 1 << 22, np.uint64(23)
 
@@ -92,25 +97,54 @@ def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
-_STRETCH_COLUMNS = {"hash": pa.int64(), "rid": pa.int64(), "first": pa.int32(), "n": pa.int32(), "lead": pa.int32(), "copies": pa.int32(), "part": pa.binary()}
+def _slices(body: np.ndarray, first: np.ndarray, size: np.ndarray) -> pa.Array:
+    """The byte strings of these places and sizes."""
+    ends = np.concatenate([[0], np.cumsum(size)])
+    flat = body[np.repeat(first - ends[:-1], size) + np.arange(ends[-1])]
+    return pa.Array.from_buffers(pa.binary(), len(first), [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(flat.tobytes())])
+
+
+def _wanted(b: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, dict[str, np.ndarray]]]:
+    """Each row's rid, bytes and listed stretches."""
+    for i in range(b.num_rows):
+        found = b.column("found")[i].values
+        yield b.column("rid")[i].as_py(), np.frombuffer(b.column("text")[i].as_buffer(), np.uint8), {f.name: found.field(k).to_numpy().astype(np.int64) for k, f in enumerate(found.type)}
 
 
 def _stretches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Cut out each anchor's stretch: its starts and what their strings cover."""
     for b in batches:
-        out: list[list] = [[] for _ in _STRETCH_COLUMNS]
-        held = 0
-        for i in range(b.num_rows):
-            body = memoryview(b.column("text")[i].as_buffer())
-            rid = b.column("rid")[i].as_py()
-            for h, first, n, lead, copies in b.column("found")[i].as_py():
-                part = bytes(body[first : first + n + LENGTH - 1])
-                held += len(part)
-                for c, v in zip(out, (h, rid, first, n, lead, copies, part)):
-                    c.append(v)
-            if held > 1 << 24 or i == b.num_rows - 1:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, _STRETCH_COLUMNS.values())], list(_STRETCH_COLUMNS))
-                out, held = [[] for _ in _STRETCH_COLUMNS], 0
+        for rid, body, c in _wanted(b):
+            size = c["n"] + LENGTH - 1
+            for lo in range(0, len(size), 1 << 14):
+                at = slice(lo, lo + (1 << 14))
+                n = len(size[at])
+                columns = [pa.array(c["hash"][at]), pa.repeat(pa.scalar(rid, pa.int64()), n), *(pa.array(c[k][at], pa.int32()) for k in ("first", "n", "lead", "copies")), _slices(body, c["first"][at], size[at])]
+                yield pa.RecordBatch.from_arrays(columns, ["hash", "rid", "first", "n", "lead", "copies", "part"])
+
+
+def _halved(width: int):
+    """Cut the stretches of hot anchors at every width-th column; each part's collection has the anchor's hash mixed with its column."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for rid, body, c in _wanted(b):
+                column = REACH - 1 - c["lead"]
+                lo, hi = column // width, (column + c["n"] - 1) // width
+                times = hi - lo + 1
+                row = np.repeat(np.arange(len(times)), times)
+                part = lo[row] + np.arange(len(row)) - np.repeat(np.cumsum(times) - times, times)
+                begin, end = np.maximum(column[row], part * width), np.minimum((column + c["n"])[row], (part + 1) * width)
+                first, n = c["first"][row] + begin - column[row], end - begin
+                lead = c["lead"][row] - (begin - column[row])
+                order = np.argsort(first, kind="stable")
+                same = np.empty(len(row), np.uint64)
+                same[order] = stretch_hashes(body, first[order], n[order] + LENGTH - 1)
+                same = mix(same ^ mix((lead * 512 + n).astype(np.uint64)))
+                name = mix(c["hash"][row].view(np.uint64) ^ mix((part * 512 + width).astype(np.uint64)))
+                yield pa.RecordBatch.from_arrays([pa.repeat(pa.scalar(rid, pa.int64()), len(row)), pa.array(name.view(np.int64)), *(pa.array(v, pa.int32()) for v in (first, n, lead)), pa.array(same.view(np.int64))], ["rid", "hash", "first", "n", "lead", "stretch"])
+
+    return run
 
 
 def repeated_starts(group: np.ndarray, shift: np.ndarray, data: np.ndarray, offsets: np.ndarray, copies: np.ndarray, length: int = LENGTH, columns: int = LENGTH + REACH, starts: int = REACH) -> np.ndarray:
@@ -187,28 +221,6 @@ def _order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(cols["rid"][row]), pa.array((base + begin).astype(np.int32)), pa.array((base + end - 1).astype(np.int32))], ["rid", "lo", "hi"])
 
 
-def _string_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """128-bit hashes of all strings that hot anchors stand for."""
-    for b in batches:
-        for i in range(b.num_rows):
-            body = np.frombuffer(b.column("text")[i].as_buffer(), np.uint8)
-            rid = b.column("rid")[i].as_py()
-            found = b.column("found")[i].as_py()
-            for lo in range(0, len(found), 2000):
-                rows = []
-                for _, first, n, _, _ in found[lo : lo + 2000]:
-                    part = body[first : first + n + LENGTH - 1]
-                    rows.append((rolling(part, LENGTH), rolling(part, LENGTH, 1), np.arange(first, first + n)))
-                a, c, at = (np.concatenate(x) for x in zip(*rows))
-                yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(c.view(np.int64)), pa.array(np.full(len(at), rid)), pa.array(at.astype(np.int32))], ["w1", "w2", "rid", "lo"])
-
-
-def _hot_runs(texts: DataFrame) -> DataFrame:
-    strings = materialize(arrow_pass(texts, _string_hashes, "w1 long, w2 long, rid long, lo int"), "strings")
-    again = strings.groupBy("w1", "w2").agg(F.count("*").alias("k")).where("k > 1").drop("k")
-    return strings.join(again, ["w1", "w2"]).select("rid", "lo", F.col("lo").alias("hi"))
-
-
 def merged(spans: list[tuple[int, int]], length: int = LENGTH) -> list[tuple[int, int]]:
     """Byte ranges that runs of string starts cover, joined where they touch."""
     out: list[list[int]] = []
@@ -236,13 +248,39 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows)], ["rid", "n_removed", "n_spans", "kept_sha256"])
 
 
+def _collections(placed: DataFrame, width: int, with_text: Callable[[DataFrame], DataFrame]) -> tuple[list[DataFrame], DataFrame]:
+    """Runs (rid, lo, hi) of repeated starts in the collections of all anchors but the hot ones, and the hashes of these."""
+    # equal stretches: all starts of the repeated ones are repeated, and one stands for all
+    kinds = placed.groupBy("hash", "stretch").agg(F.count("*").alias("copies"), F.min(F.struct("rid", "first", "n", "lead")).alias("one"))
+    kinds = materialize(kinds.select("hash", "stretch", "copies", "one.*"), "kinds")
+    sizes = kinds.groupBy("hash").agg(F.count("*").alias("k"), F.min("copies").alias("least"))
+    hot = materialize(sizes.where(F.col("k") > HOT).select("hash"), "hot") if width > 1 else sizes.where("false").select("hash")
+    cool = kinds.join(broadcast_if_small(hot), "hash", "left_anti")
+    several = materialize(cool.where("copies > 1").select("hash", "stretch", "copies"), "several")
+    # at most HOT_SHARE stretches have more than that share of all rows: these don't shuffle
+    many = max(1000, (several.agg(F.sum("copies")).first()[0] or 0) // HOT_SHARE)
+    run = lambda rows: rows.select("rid", F.col("first").alias("lo"), (F.col("first") + F.col("n") - 1).alias("hi"))
+    key = ["hash", "stretch"]
+    often, seldom = (several.where(c).select(*key) for c in (F.col("copies") > many, F.col("copies") <= many))
+    marked = [run(placed.join(F.broadcast(often), key))]
+    marked.append(run(placed.join(F.broadcast(often), key, "left_anti").join(seldom, key)))
+    if width > 1:
+        # where stretches differ, those that stand alone may still share some strings
+        open_ = sizes.where(f"k > 1 and least = 1 and k <= {HOT}").select("hash")
+        part = materialize(kinds.join(open_, "hash"), "open")
+        stretches = arrow_pass(with_text(part), _stretches, "hash long, rid long, first int, n int, lead int, copies int, part binary")
+        marked.append(arrow_pass(stretches.repartition("hash").sortWithinPartitions("hash"), _order, "rid long, lo int, hi int"))
+    return [materialize(reduce(DataFrame.union, marked), "marked")], hot
+
+
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every row.
 
     A byte goes if some string of 200 bytes over it also starts elsewhere, in the same
     text or another; all strings are judged on the input. Null text counts as empty;
-    texts of fewer than 200 bytes stay whole; repeated rows repeat each other. Extra
-    columns are ignored; an empty table gives an empty result.
+    texts of fewer than 200 bytes stay whole; texts are read whole, however long;
+    repeated rows repeat each other. Extra columns, whatever their names, are ignored;
+    an empty table gives an empty result.
     """
     body = F.coalesce(F.col("text").cast("string"), F.lit(""))
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), body.alias("text"))
@@ -254,30 +292,27 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     reps = table.join(texts.select("rid", "copies"), "rid")
     each = F.inline(F.arrays_zip("hash", "first", "n", "lead", "stretch"))
     placed = materialize(reps.select("rid", each), "placed")
-    shared = placed.groupBy("hash").agg(F.count("*").alias("k")).where("k > 1").select("hash")
-    found = materialize(placed.join(shared, "hash"), "found")
-    release(placed)
-    # equal stretches: all starts of the repeated ones are repeated, and one stands for all
-    kinds = found.groupBy("hash", "stretch").agg(F.count("*").alias("copies"), F.min(F.struct("rid", "first", "n", "lead")).alias("one"))
-    kinds = materialize(kinds.select("hash", "stretch", "copies", "one.*"), "kinds")
-    several = kinds.where("copies > 1").select("hash", "stretch")
-    marked = found.join(several, ["hash", "stretch"]).select("rid", F.col("first").alias("lo"), (F.col("first") + F.col("n") - 1).alias("hi"))
-    # where stretches differ, those that stand alone may still share some strings
-    open_ = kinds.groupBy("hash").agg(F.count("*").alias("k"), F.min("copies").alias("least")).where("k > 1 and least = 1").select("hash", "k")
-    part = materialize(kinds.join(open_, "hash"), "open")
 
     def with_text(part: DataFrame) -> DataFrame:
-        lists = part.groupBy("rid").agg(F.collect_list(F.array(F.col("hash"), *[F.col(c).cast("long") for c in ("first", "n", "lead", "copies")])).alias("found"))
+        listed = F.struct("hash", "first", "n", "lead", F.col("copies").cast("int").alias("copies"))
+        lists = part.groupBy("rid").agg(F.collect_list(listed).alias("found"))
         named = lists.join(slim.select("rid", "doc_id", "k1", "k2"), "rid").withColumnRenamed("doc_id", "n_doc")
         one = keyed.join(named.hint("shuffle_hash"), ["k1", "k2"]).where(F.col("doc_id").eqNullSafe(F.col("n_doc")))
         return one.select("rid", F.encode("text", "UTF-8").alias("text"), "found")
 
-    stretches = arrow_pass(with_text(part.where(F.col("k") <= HOT)), _stretches, "hash long, rid long, first int, n int, lead int, copies int, part binary")
-    marked = marked.union(arrow_pass(stretches.repartition("hash").sortWithinPartitions("hash"), _order, "rid long, lo int, hi int"))
-    if not part.where(F.col("k") > HOT).isEmpty():
-        marked = marked.union(_hot_runs(with_text(part.where(F.col("k") > HOT))))
-    marked = materialize(marked, "marked")
-    release(found, kinds, part)
+    marked, width = [], REACH
+    while True:
+        done, hot = _collections(placed, width, with_text)
+        marked += done
+        if width == 1 or hot.isEmpty():
+            break
+        width = max(1, -(-width // SPLIT))
+        # all stretches of a hot anchor are cut, equal ones too
+        again = placed.join(broadcast_if_small(hot), "hash").withColumn("copies", F.lit(1))
+        again = arrow_pass(with_text(again), _halved(width), "rid long, hash long, first int, n int, lead int, stretch long")
+        was, placed = placed, materialize(again, "cut")
+        release(was)
+    marked = materialize(reduce(DataFrame.union, marked), "marked")
     lists = marked.join(texts.where("copies = 1").select("rid"), "rid").groupBy("rid").agg(F.collect_list(F.struct("lo", "hi")).alias("runs"))
     named = lists.join(slim.select("rid", "k1", "k2"), "rid")
     cut = keyed.join(named.hint("shuffle_hash"), ["k1", "k2"]).select("rid", F.encode("text", "UTF-8").alias("text"), "runs")

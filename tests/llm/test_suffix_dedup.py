@@ -51,9 +51,27 @@ def test_small_cases_against_brute_force(spark):
     check(spark, _rows())
 
 
-def test_hot_anchors_give_the_same_answer(spark, monkeypatch):
+def test_hot_anchors_are_subdivided_and_give_the_same_answer(spark, monkeypatch):
     monkeypatch.setattr(sd, "HOT", 3)
-    check(spark, _rows())
+    widths = []
+    real = sd._halved
+    monkeypatch.setattr(sd, "_halved", lambda w: (widths.append(w), real(w))[1])
+    rnd = random.Random(8)
+    unlike = lambda n: "".join(rnd.choice("uvwxyz ") for _ in range(n))
+    passage = unlike(230)
+    # a passage with other text around it everywhere: stretches at its borders all differ
+    rows = _rows() + [(300 + i, unlike(rnd.randrange(90, 300)) + passage + unlike(rnd.randrange(90, 300))) for i in range(40)]
+    check(spark, rows)
+    assert widths == [13, 1]
+
+
+def test_a_common_stretch_does_not_shuffle(spark, monkeypatch):
+    monkeypatch.setattr(sd, "HOT_SHARE", 1000)
+    rnd = random.Random(9)
+    passage = "".join(rnd.choice("abcdefgh ") for _ in range(900))
+    rows = [(i, f"text {i} {rnd.random()} {passage} {rnd.random()}") for i in range(1500)]
+    got = {r["doc_id"]: r["n_removed"] for r in sd.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert len(got) == 1500 and all(900 <= n <= 914 for n in got.values())
 
 
 def test_whole_table_against_brute_force(spark):
