@@ -149,9 +149,15 @@ def _refit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _finished(rows)
 
 
+def _parameters() -> list[Column]:
+    """An estimate's arrays as columns of their own: plain doubles are what generated code is fast at."""
+    pairs = [(i, j) for i in range(_D) for j in range(i, _D)]
+    return [F.col("mu")[i].alias(f"m{i}") for i in range(_D)] + [(F.col("inv")[i * _D + j] * (1.0 if i == j else 2.0)).alias(f"v{i}{j}") for i, j in pairs]
+
+
 def _distance() -> Column:
-    diff = [F.col(f) - F.col("mu")[i] for i, f in enumerate(FEATURES)]
-    return sum((diff[i] * diff[j] * F.col("inv")[i * _D + j] for i in range(_D) for j in range(_D)), F.lit(0.0))
+    diff = [F.col(f) - F.col(f"m{i}") for i, f in enumerate(FEATURES)]
+    return sum((diff[i] * sum((diff[j] * F.col(f"v{i}{j}") for j in range(i + 1, _D)), diff[i] * F.col(f"v{i}{i}")) for i in range(_D)), F.lit(0.0))
 
 
 def _sums(values: list[Column], prefix: str) -> list[Column]:
@@ -179,7 +185,7 @@ def _named(rows: DataFrame, est: DataFrame) -> DataFrame:
 
 def _step(good: DataFrame, est: DataFrame, most: int) -> DataFrame:
     """A concentration step of every estimate, of which there are at most `most`: moments of the share COVER of its group that lies nearest."""
-    lists = est.groupBy("g_lang", "g_key").agg(F.collect_list(F.struct("start", "mu", "inv")).alias("ests"))
+    lists = est.groupBy("g_lang", "g_key").agg(F.collect_list(F.struct("start", *_parameters())).alias("ests"))
     near = _named(good, broadcast_if_small(lists, most)).select("g_lang", "g_key", *FEATURES, F.inline("ests"))
     near = near.select("g_lang", "g_key", "start", *FEATURES, _distance().alias("d2"))
     limit = near.groupBy(F.col("g_lang").alias("l_lang"), F.col("g_key").alias("l_key"), F.col("start").alias("l_start")).agg(F.percentile_approx("d2", COVER, ACCURACY).alias("limit"))
@@ -241,7 +247,7 @@ def _source() -> Column:
 
 def judge(counted: DataFrame, est: DataFrame, cut: float = CUT) -> DataFrame:
     """Add `distance` (null where the base rules reject) and `kept` by the estimate of the row's source."""
-    est = broadcast_if_small(est)
+    est = broadcast_if_small(materialize(est.select("g_lang", "g_key", *_parameters()), "parameters"))
     rows = counted.withColumns({k: c for k, c in _features().items()}).withColumn("s_key", F.concat(F.lit("s"), _source()))
     both = rows.join(est, rows.lang.eqNullSafe(est.g_lang) & (rows.s_key == est.g_key), "left")
     far = both.withColumn("distance", F.when(~F.col("base_failed"), _distance()))

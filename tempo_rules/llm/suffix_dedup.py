@@ -270,7 +270,9 @@ def _collections(placed: DataFrame, width: int, with_text: Callable[[DataFrame],
         part = materialize(kinds.join(open_, "hash"), "open")
         stretches = arrow_pass(with_text(part), _stretches, "hash long, rid long, first int, n int, lead int, copies int, part binary")
         marked.append(arrow_pass(stretches.repartition("hash").sortWithinPartitions("hash"), _order, "rid long, lo int, hi int"))
-    return [materialize(reduce(DataFrame.union, marked), "marked")], hot
+    out = materialize(reduce(DataFrame.union, marked), "marked")
+    release(kinds, several, *([part] if width > 1 else []))
+    return [out], hot
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
@@ -312,7 +314,8 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
         again = arrow_pass(with_text(again), _halved(width), "rid long, hash long, first int, n int, lead int, stretch long")
         was, placed = placed, materialize(again, "cut")
         release(was)
-    marked = materialize(reduce(DataFrame.union, marked), "marked")
+    release(placed)
+    marked = reduce(DataFrame.union, marked)
     lists = marked.join(texts.where("copies = 1").select("rid"), "rid").groupBy("rid").agg(F.collect_list(F.struct("lo", "hi")).alias("runs"))
     named = lists.join(slim.select("rid", "k1", "k2"), "rid")
     cut = keyed.join(named.hint("shuffle_hash"), ["k1", "k2"]).select("rid", F.encode("text", "UTF-8").alias("text"), "runs")
