@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from .common import materialize, release
 
 MAX_ROUNDS = 60
+#: Edges of a part of a written table: tables of few edges have few files.
+PART_ROWS = 500_000
 
 
 def _digest(edges: DataFrame) -> tuple:
@@ -32,7 +34,8 @@ def components(edges: DataFrame) -> DataFrame:
         # every neighbour below a node, and the node, go to the least of them
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
-        now = materialize(small.distinct(), "edges")
+        # a round doesn't add edges
+        now = materialize(small.distinct().coalesce(before[0] // PART_ROWS + 1), "edges")
         release(was)
         was, after = now, _digest(now)
         if after == before:

@@ -278,16 +278,18 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         masks = t.column("mask")
         out: list[list[np.ndarray]] = [[np.zeros(0, np.int64)] for _ in range(4)] + [[np.zeros(0)] for _ in LEVELS]
         for lo, hi in _cuts(cols):
-            rid, side = cols["rid"][lo:hi], cols["side"][lo:hi]
-            n = hi - lo
+            # a row that is repeated whole gives its set more than once
+            at = lo + np.flatnonzero(np.concatenate([[True], np.diff(cols["rid"][lo:hi]) != 0]))
+            rid, side = cols["rid"][at], cols["side"][at]
+            n = len(at)
             left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
             # the lowest bit of a group's number says that it has two sides
             two = bool(cols["g2"][lo] & 1)
             if n < 2 or (two and not (len(left) and len(right))):
                 continue
             other = right if two else left
-            common = overlaps([keys[lo + k] for k in left], [keys[lo + k] for k in right] if two else None)
-            size = np.array([len(keys[lo + k]) for k in range(n)])
+            common = overlaps([keys[at[k]] for k in left], [keys[at[k]] for k in right] if two else None)
+            size = np.array([len(keys[k]) for k in at])
             total = size[left][:, None] + size[other][None, :]
             close = (common * (num + den) >= num * total) & (common > 0)
             likeness = np.where(close, common / np.maximum(total - common, 1), 0.0)
@@ -298,7 +300,7 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             else:
                 np.fill_diagonal(full, 0)
             if masks[lo].is_valid:
-                wanted = np.unpackbits(np.frombuffer(b"".join(masks.slice(lo, n).to_pylist()), np.uint8).reshape(n, -1), axis=1, count=n) > 0
+                wanted = np.unpackbits(np.frombuffer(b"".join(masks[int(k)].as_py() for k in at), np.uint8).reshape(n, -1), axis=1, count=n) > 0
                 full[~wanted] = 0
             linked = full > 0
             hit = np.flatnonzero(linked.any(1))
@@ -308,7 +310,7 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             out[0].append(rid[hit])
             out[1].append(_least_labels(linked, rid[hit]))
             out[2].append(linked.sum(1))
-            out[3].append(linked @ cols["copies"][lo:hi][hit])
+            out[3].append(linked @ cols["copies"][at][hit])
             for c, r in zip(out[4:], LEVELS):
                 c.append(np.where(linked, meeting(full, r), 0.0).sum(1))
         yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in out], ["rid", "label", "n_texts", "n_docs", *(f"p{r}" for r in LEVELS)])
@@ -441,8 +443,7 @@ def join_texts(docs: DataFrame, recall: float = RECALL) -> DataFrame:
         body = docs.select(F.col("doc_id").cast("long").alias("b_doc"), *[k.alias(c) for c, k in zip(("b1", "b2"), text_key())], F.col("text").cast("string").alias("text"))
         few = place.count() <= BROADCAST_ROWS
         named = body.join(F.broadcast(place) if few else place.hint("shuffle_hash"), (body.b1 == place.k1) & (body.b2 == place.k2) & body.b_doc.eqNullSafe(place.doc_id))
-        # a row that is repeated whole gives its set once
-        return arrow_pass(named.select("rid", "copies", "text"), _sets, "rid long, copies long, keys binary").dropDuplicates(["rid"])
+        return arrow_pass(named.select("rid", "copies", "text"), _sets, "rid long, copies long, keys binary")
 
     degree, classes = links(reps, sets_of, recall)
     per_text = texts.join(degree.withColumnRenamed("rid", "rep"), "rep", "left").join(classes.select(F.col("node").alias("rep"), F.col("root").alias("label")), "rep", "left")
