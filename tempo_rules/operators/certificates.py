@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.granule import Interval, is_inverted
-from .match import match_one_subject, ordered_pairs, with_verdict
+from .match import side, with_verdict
 
 _BOUNDS = ("ts_lo", "ts_hi", "te_lo", "te_hi")
 
@@ -55,7 +55,9 @@ def entity_verdicts(edges: DataFrame, head: str) -> DataFrame:
     key = [F.col("a_p").alias("p1"), F.col("a_d").alias("d1"), F.col("b_p").alias("p2"), F.col("b_d").alias("d2"), "x"]
     proved = judged.where("verdict is not null").select(*key, "verdict")
     left = judged.where("verdict is null").select(*key)
-    pairs = with_verdict(ordered_pairs(match_one_subject(edges, False)), head).join(left, ["p1", "d1", "p2", "d2", "x"], "left_semi")
+    # facts of the slots left open meet, and no others
+    pairs = side(edges, 1).join(left, ["x", "p1", "d1"]).join(side(edges, 2), ["x", "p2", "d2"]).where("fact1 <> fact2 and o1 <> o2")
+    pairs = with_verdict(pairs, head)
     return proved.unionByName(pairs.groupBy("p1", "d1", "p2", "d2", "x").agg(F.min("verdict").alias("verdict")))
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.granule import TIME_COLUMNS, Interval
 from ..functions.predicates import PREDICATES
 from ..plans.kg import temporal_edges
+from ..sources.tables import small, written
 
 #: Heads that fit a pattern (fixed by the method).
 HEADS_FOR = {
@@ -32,36 +33,39 @@ def slot(n: int) -> Column:
 
 
 def observed_patterns(edges: DataFrame) -> DataFrame:
-    """Pairs of slots that some subject has, and how many subjects: p1, d1, p2, d2, n_subjects.
+    """Pairs of slots that some subject has, how many subjects, and how many pairs of facts: p1, d1, p2, d2, n_subjects, n_pairs.
 
     Works on the set of slots of each subject, which is small, not on its facts.
     """
     per = edges.groupBy("x", "p", "d").agg(F.count("*").alias("n"))
     a = per.select("x", F.col("p").alias("p1"), F.col("d").alias("d1"), F.col("n").alias("n1"))
-    b = per.select("x", F.col("p").alias("p2"), F.col("d").alias("d2"))
-    ok = (slot(1) < slot(2)) | ((slot(1) == slot(2)) & (F.col("n1") > 1))
-    return a.join(b, "x").where(ok).groupBy("p1", "d1", "p2", "d2").agg(F.count("*").alias("n_subjects"))
+    b = per.select("x", F.col("p").alias("p2"), F.col("d").alias("d2"), F.col("n").alias("n2"))
+    same = slot(1) == slot(2)
+    ok = (slot(1) < slot(2)) | (same & (F.col("n1") > 1))
+    pairs = F.when(same, F.expr("cast(n1 * (n1 - 1) div 2 as decimal(38,0))")).otherwise(F.expr("cast(n1 * n2 as decimal(38,0))"))
+    return a.join(b, "x").where(ok).groupBy("p1", "d1", "p2", "d2").agg(F.count("*").alias("n_subjects"), F.sum(pairs).alias("n_pairs"))
 
 
-def frequent_pairs(edges: DataFrame, min_support: int) -> DataFrame:
-    """Slot pairs that enough subjects share; no rule over others can have the support."""
-    return observed_patterns(edges).where(F.col("n_subjects") >= min_support).select("p1", "d1", "p2", "d2")
+def frequent_pairs(edges: DataFrame, min_support: int, level: str = "entity") -> DataFrame:
+    """Slot pairs that enough subjects share (or pairs of facts, at fact level); no rule over others can have the support."""
+    n = "n_subjects" if level == "entity" else "n_pairs"
+    return observed_patterns(edges).where(F.col(n) >= min_support).select("p1", "d1", "p2", "d2")
 
 
 def match_one_subject(edges: DataFrame, same_property: bool | None = None, distinct_objects: bool = True, pairs: DataFrame | None = None) -> DataFrame:
     """Unordered pairs of temporal facts of a subject, slot 1 at or below slot 2.
 
-    same_property True or False restricts to equal or different slots. The join stays
-    partitioned by subject, so aggregation by subject needs no further exchange.
+    same_property True or False restricts to equal or different slots; `pairs` to listed
+    slot pairs, others are then never formed. The join stays partitioned by subject, so
+    aggregation by subject needs no further exchange.
     """
-    a, b = side(edges, 1), side(edges, 2)
     same = (slot(1) == slot(2)) & (F.col("fact1") < F.col("fact2"))
     diff = (slot(1) < slot(2)) & (F.col("fact1") != F.col("fact2"))
     on = {True: same, False: diff, None: same | diff}[same_property]
-    out = a.join(b, "x").where(on)
-    if distinct_objects:
-        out = out.where("o1 <> o2")
-    return out if pairs is None else out.join(F.broadcast(pairs), ["p1", "d1", "p2", "d2"], "left_semi")
+    if pairs is not None:
+        return match_alive(edges, written(pairs.where(slot(1) <= slot(2)).distinct(), "pairs"), distinct_objects).where(on)
+    out = side(edges, 1).join(side(edges, 2), "x").where(on)
+    return out.where("o1 <> o2") if distinct_objects else out
 
 
 def match_alive(edges: DataFrame, alive: DataFrame, distinct_objects: bool = True) -> DataFrame:
@@ -70,24 +74,24 @@ def match_alive(edges: DataFrame, alive: DataFrame, distinct_objects: bool = Tru
     Each fact is sent to its few partner slots, and the join is by subject and slot;
     aggregation by subject and slots needs no further exchange.
     """
-    a = side(edges, 1).join(F.broadcast(alive), ["p1", "d1"])
+    a = side(edges, 1).join(small(alive), ["p1", "d1"])
     ordered = "(fact1 < fact2 or not (p1 = p2 and d1 = d2)) and fact1 <> fact2"
     out = a.join(side(edges, 2), ["x", "p2", "d2"]).where(ordered)
     return out.where("o1 <> o2") if distinct_objects else out
 
 
-def match_linked_subjects(edges: DataFrame, link_edges: DataFrame, triples: DataFrame | None = None) -> DataFrame:
-    """x has fact 1, is linked to another subject w, which has fact 2: ordered pairs."""
-    a = side(edges, 1)
-    b = side(edges, 2, "w")
+def match_linked_subjects(edges: DataFrame, link_edges: DataFrame, triples: DataFrame | None = None, others: DataFrame | None = None) -> DataFrame:
+    """x has fact 1, is linked to another subject w, which has fact 2: ordered pairs.
+
+    With `triples` (p1, d1, p0, d0, p2, d2 and further columns; a written table) each fact is
+    sent along its few triples only, and no other pair is ever formed. `others` are the
+    edges that fact 2 comes from, if not the same.
+    """
+    a, b = side(edges, 1), side(edges if others is None else others, 2, "w")
     l = link_edges.select("x", "p0", "d0", F.col("y").alias("w"), "link_fact").where("x <> w")
-    if triples is not None:
-        t = F.broadcast(triples)
-        a = a.join(t.select("p1", "d1").distinct(), ["p1", "d1"], "left_semi")
-        b = b.join(t.select("p2", "d2").distinct(), ["p2", "d2"], "left_semi")
-        l = l.join(t.select("p0", "d0").distinct(), ["p0", "d0"], "left_semi")
-    out = a.join(l, "x").join(b, "w").where("fact1 <> fact2")
-    return out if triples is None else out.join(F.broadcast(triples), ["p1", "d1", "p0", "d0", "p2", "d2"], "left_semi")
+    if triples is None:
+        return a.join(l, "x").join(b, "w").where("fact1 <> fact2")
+    return a.join(small(triples), ["p1", "d1"]).join(l, ["x", "p0", "d0"]).join(b, ["w", "p2", "d2"]).where("fact1 <> fact2")
 
 
 def frequent_triples(edges: DataFrame, link_edges: DataFrame, min_support: int) -> DataFrame:

@@ -29,6 +29,8 @@ class Pruning:
     stage2: bool = True
     undecided: str = "ignore"
     bound: str = "none"
+    #: Whether a rule without a positive case among alpha * min_support cases of any verdict is hopeless too.
+    no_positive: bool = True
 
     def __post_init__(self) -> None:
         if self.stage2 and not self.stage1:
@@ -75,12 +77,12 @@ def candidate_counts(kg: KnowledgeGraph, cfg: MinerConfig) -> DataFrame:
     e = written(temporal_edges(kg.facts, cfg.reverse_facts, cfg.drop_inverted), "edges")
     out = exclusion_scores(e, cfg.level)
     if "a" in cfg.patterns:
-        pairs = frequent_pairs(e, body_support(cfg))
+        pairs = frequent_pairs(e, cfg.min_support, cfg.level)
         matches = match_one_subject(e, None, cfg.distinct_objects, pairs)
         out = out.unionByName(score_one_subject(matches, cfg.level))
     if "b" in cfg.patterns:
         l = written(links(kg.facts, cfg.reverse_links), "links")
-        triples = frequent_triples(e, l, body_support(cfg))
+        triples = written(frequent_triples(e, l, body_support(cfg)), "triples")
         out = out.unionByName(score_linked_subjects(match_linked_subjects(e, l, triples), cfg.level))
     return out
 
@@ -177,4 +179,4 @@ def compose(left: DataFrame, right: DataFrame) -> DataFrame:
     pick = "head = 'before' and pattern <> 'b'"
     a = left.where(pick).select(F.col("cid").alias("cid_left"), "p1", "d1", F.col("p2").alias("pm"), F.col("d2").alias("dm"), F.col("confidence").alias("conf_left"))
     b = right.where(pick).select(F.col("cid").alias("cid_right"), F.col("p1").alias("pm"), F.col("d1").alias("dm"), "p2", "d2", F.col("confidence").alias("conf_right"))
-    return a.join(F.broadcast(b), ["pm", "dm"]).where("not (p1 = p2 and d1 = d2)").withColumn("head", F.lit("before"))
+    return a.join(b, ["pm", "dm"]).where("not (p1 = p2 and d1 = d2)").withColumn("head", F.lit("before"))

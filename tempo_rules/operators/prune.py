@@ -16,9 +16,9 @@ from pyspark.sql import functions as F
 
 from ..plans.kg import KnowledgeGraph, links, temporal_edges
 from ..sources.tables import written
-from .match import frequent_pairs, frequent_triples, match_alive, side
+from .match import frequent_pairs, frequent_triples, heads_for, match_alive, match_linked_subjects
 from .mine import MinerConfig, Pruning, as_constraints, body_support
-from .score import ALL, BITS, RULE, exclusion_scores, score_linked_subjects, score_one_subject
+from .score import ALL, BITS, RULE, exclusion_scores, linked_bit, score_linked_subjects, score_one_subject
 
 Slot = tuple[str, int]
 LOG = "round int, kind string, key string, n long, pos long, ratio double"
@@ -51,7 +51,7 @@ def decide_rules(counts: dict[tuple, list[int]], cfg: MinerConfig, pr: Pruning)
     enough = pr.alpha * cfg.min_support
     for rule, (pos, neg, unk) in counts.items():
         n = pos + neg
-        if (n > enough and _ceiling(pos, n, pr.bound) < pr.beta * cfg.refine_conf) or (pos == 0 and n + unk > enough):
+        if (n > enough and _ceiling(pos, n, pr.bound) < pr.beta * cfg.refine_conf) or (pr.no_positive and pos == 0 and n + unk > enough):
             bad.add(rule)
     return bad
 
@@ -95,6 +95,14 @@ def _masks(pairs: list[tuple], bad: set[tuple]) -> list[tuple]:
     return [(*p, ALL & ~gone[p]) for p in pairs]
 
 
+def _few(bodies: DataFrame, cfg: MinerConfig) -> list[tuple]:
+    """Bodies of rules, of which there may be at most max_rules."""
+    rows = bodies.take(cfg.max_rules + 1)
+    if len(rows) > cfg.max_rules:
+        raise ValueError(f"more than {cfg.max_rules} rule bodies")
+    return [tuple(r) for r in rows]
+
+
 def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
     spark = kg.facts.sparkSession
     edge = 0.0
@@ -105,11 +113,11 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
         batch = F.when(u < edge, k).otherwise(batch)
     e = written(temporal_edges(kg.facts, cfg.reverse_facts, cfg.drop_inverted).withColumn("batch", batch.cast("int")), "edges", ("batch",))
     whole = e.drop("batch")
-    pairs = [tuple(r) for r in frequent_pairs(whole, body_support(cfg)).collect()] if "a" in cfg.patterns else []
+    pairs = _few(frequent_pairs(whole, cfg.min_support, cfg.level), cfg) if "a" in cfg.patterns else []
     l = triples = None
     if "b" in cfg.patterns:
         l = written(links(kg.facts, cfg.reverse_links), "links")
-        triples = [tuple(r) for r in frequent_triples(whole, l, body_support(cfg)).select("p0", "d0", "p1", "d1", "p2", "d2").collect()]
+        triples = _few(frequent_triples(whole, l, body_support(cfg)).select("p0", "d0", "p1", "d1", "p2", "d2"), cfg)
     counts: dict[tuple, list[int]] = defaultdict(lambda: [0, 0, 0])
     bad: set[tuple] = set()
     cut: set[Slot] = set()
@@ -128,15 +136,14 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
             matches = match_alive(own, mask, cfg.distinct_objects)
             found = found.unionByName(score_one_subject(matches, cfg.level, F.col("mask")))
         if triples:
-            heads = defaultdict(int)
+            heads: dict[tuple, int] = defaultdict(lambda: sum(1 << linked_bit(h) for h in heads_for("b")))
             for r in bad:
                 if r[1] == "b":
-                    heads[r[2:]] += 1
-            open_ = [t for t in triples if heads[t] < 4 and (t[2], t[3]) not in cut and (t[4], t[5]) not in cut]
+                    heads[r[2:]] &= ~(1 << linked_bit(r[0]))
+            open_ = [(*t, heads[t]) for t in triples if heads[t] and (t[2], t[3]) not in cut and (t[4], t[5]) not in cut]
             if open_:
-                t = spark.createDataFrame(open_, "p0 string, d0 tinyint, p1 string, d1 tinyint, p2 string, d2 tinyint")
-                near = other.join(F.broadcast(t.select(F.col("p2").alias("p"), F.col("d2").alias("d")).distinct()), ["p", "d"], "left_semi")
-                found = found.unionByName(score_linked_subjects(_linked(own, near, l, t), cfg.level))
+                t = spark.createDataFrame(open_, "p0 string, d0 tinyint, p1 string, d1 tinyint, p2 string, d2 tinyint, mask long")
+                found = found.unionByName(score_linked_subjects(match_linked_subjects(own, l, t, other), cfg.level, mask=F.col("mask")))
         for r in found.collect():
             rule = tuple(r[c] for c in RULE)
             evaluated += r["n_pos"] + r["n_neg"] + r["n_unk"]
@@ -162,9 +169,3 @@ def mine_pruned(kg: KnowledgeGraph, cfg: MinerConfig, pr: Pruning) -> Pruned:
     out = as_constraints(spark.createDataFrame(kept, schema), cfg.level, "mined").where(F.col("support") >= cfg.min_support)
     return Pruned(out, spark.createDataFrame(log, LOG), evaluated, len(bad), len(cut))
 
-
-def _linked(own: DataFrame, near: DataFrame, l: DataFrame, triples: DataFrame) -> DataFrame:
-    t = F.broadcast(triples)
-    a = side(own, 1).join(F.broadcast(triples.select("p1", "d1").distinct()), ["p1", "d1"], "left_semi")
-    hop = l.select("x", "p0", "d0", F.col("y").alias("w"), "link_fact").where("x <> w").join(F.broadcast(triples.select("p0", "d0").distinct()), ["p0", "d0"], "left_semi")
-    return a.join(hop, "x").join(side(near, 2, "w"), "w").where("fact1 <> fact2").join(t, ["p0", "d0", "p1", "d1", "p2", "d2"], "left_semi")

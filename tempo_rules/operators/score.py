@@ -98,11 +98,18 @@ def score_one_subject(matches: DataFrame, level: str = "entity", mask: Column |
     return out.withColumn("pattern", pattern).withColumns(none).select(*RULE, *classes, "n_pos", "n_neg", "n_unk")
 
 
-def score_linked_subjects(matches: DataFrame, level: str = "entity", classes: tuple[str, ...] = ()) -> DataFrame:
-    """The same for two linked subjects; the subject counted is the first one."""
+def linked_bit(head: str) -> int:
+    """The bit of a head in the masks of linked subjects."""
+    return BITS.get(head, BITS.get(f"{head}_12", -1))
+
+
+def score_linked_subjects(matches: DataFrame, level: str = "entity", classes: tuple[str, ...] = (), mask: Column | None = None) -> DataFrame:
+    """The same for two linked subjects; the subject counted is the first one. Heads whose bit isn't in the mask aren't evaluated."""
     key = ["p0", "d0", "p1", "d1", "p2", "d2", *classes]
     cols = {h: v for h, v in (("start", "start"), ("finish", "finish"), ("before", "before"), ("include", "include"))}
     cols = {h: PREDICATES[h](time_of(1), time_of(2)) for h in cols}
+    if mask is not None:
+        cols = {h: F.when(F.getbit(mask, F.lit(linked_bit(h))) == 1, v) for h, v in cols.items()}
     per = matches.groupBy(*(["x"] if level == "entity" else []), *key).agg(*_sums(level, cols))
     rows = _unpivot(per, list(cols), key).withColumnRenamed("h", "head")
     out = _counted(level, rows, ["head", *key]).where("n_pos + n_neg + n_unk > 0")

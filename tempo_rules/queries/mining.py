@@ -61,6 +61,11 @@ for _n, _p in (("mine_base_hubs", None), ("mine_pruned_hubs", Pruning()), ("mine
              SELECT * FROM r WHERE n_pos >= {SUPPORT} AND confidence > 0.9""")
 
 
+#: Few temporal properties among very many static ones, where whole properties can be cut.
+for _n, _p in (("mine_base_sparse", None), ("mine_stage1_sparse", Pruning(stage2=False)), ("mine_pruned_sparse", Pruning()), ("mine_pruned_strict", Pruning(no_positive=False))):
+    _add(_n, lambda s, d, p=_p: _shown(mine.mine_constraints(project.graph(s, d, project.SPARSE), _cfg(d), p, refine=False)), _sql(project.SPARSE, "entity", " AND confidence > 0.9"))
+
+
 def prune_log(s, d):
     """Which rules and properties were abandoned, when, and at what ratio (batches are by hash: no SQL form)."""
     return prune.mine_pruned(project.graph(s, d, MIXED), _cfg(d), Pruning()).log

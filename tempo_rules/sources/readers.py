@@ -30,10 +30,24 @@ def read_statements(spark: SparkSession, path: str) -> DataFrame:
     return _facts(df.where("_corrupt is null"), interval_from_qualifiers(F.col("qualifiers")), F.lit("res"), "statements")
 
 
+def broken_statements(spark: SparkSession, path: str) -> DataFrame:
+    """The lines that read_statements leaves out, as they are."""
+    df = spark.read.schema(STATEMENTS).option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt").json(path)
+    return df.select("*").where("_corrupt is not null").select(F.col("_corrupt").alias("line"))
+
+
+_TRIPLE = r'^\s*(<[^>]*>|_:\S+)\s+<([^>]*)>\s+(<[^>]*>|_:\S+|"(?:[^"\\]|\\.)*"\S*)\s*\.\s*$'
+
+
+def broken_ntriples(spark: SparkSession, path: str) -> DataFrame:
+    """Lines that are no comment, not blank and no triple."""
+    return spark.read.text(path).where(~F.col("value").rlike(r"^\s*(#|$)") & ~F.col("value").rlike(_TRIPLE)).select(F.col("value").alias("line"))
+
+
 def read_ntriples(spark: SparkSession, path: str, start: str = "start_time", end: str = "end_time", point: str = "point_in_time") -> DataFrame:
     """N-Triples lines; a blank node with an object (`value`) and time properties is one complex fact."""
     line = spark.read.text(path).where(~F.col("value").rlike(r"^\s*(#|$)"))
-    pattern = r'^\s*(<[^>]*>|_:\S+)\s+<([^>]*)>\s+(<[^>]*>|_:\S+|"(?:[^"\\]|\\.)*"\S*)\s*\.\s*$'
+    pattern = _TRIPLE
     bare = lambda c: F.regexp_replace(c, r'^<|>$|^"|"(\^\^\S+|@\S+)?$', "")
     part = lambda i: F.regexp_extract("value", pattern, i)
     t = line.select(part(1).alias("s0"), F.regexp_extract(part(2), r"([^/#]*)$", 1).alias("p"), part(3).alias("o0")).where("s0 <> ''")

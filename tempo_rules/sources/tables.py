@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Least support of a rule in all queries, the one of their SQL; it doesn't depend on the folder.
 MIN_SUPPORT = 20
@@ -15,14 +16,29 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Rows up to which a slim table (rules, slots, masks) is broadcast; beyond that, joins shuffle.
+BROADCAST_ROWS = 200_000
+
+
+def shared_root(spark: SparkSession) -> str:
+    """The folder that all executors share: spark.checkpoint.dir, else the one set on the context; a single machine may do without."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        root = f"{tempfile.gettempdir()}/tempo_rules_checkpoints"
+    return root.rstrip("/")
+
+
+def small(df: DataFrame) -> DataFrame:
+    """Marked for broadcast if its rows are counted to be few; `df` should be cheap to read, as written tables are."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
 def written(df: DataFrame, name: str = "t", partition_by: tuple[str, ...] = ()) -> DataFrame:
     """Cut the lineage: a table in the shared checkpoint folder, read back."""
     spark = df.sparkSession
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = f"{tempfile.gettempdir()}/tempo_rules_checkpoints"
-        spark.conf.set("spark.checkpoint.dir", root)
-    path = f"{root.rstrip('/')}/rules/{uuid.uuid4().hex}/{name}"
+    path = f"{shared_root(spark)}/rules/{uuid.uuid4().hex}/{name}"
     writer = df.write
     if partition_by:
         writer = writer.partitionBy(*partition_by)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.granule import Interval, instant, micros
 from ..plans.kg import KnowledgeGraph
-from ..sources.tables import written
+from ..sources.tables import shared_root, written
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -35,8 +35,7 @@ def event_facts(events: DataFrame) -> DataFrame:
 
 
 def _folder(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/tempo_rules_checkpoints"
-    return f"{root.rstrip('/')}/streams/{uuid.uuid4().hex}"
+    return f"{shared_root(spark)}/streams/{uuid.uuid4().hex}"
 
 
 def drain(stream: DataFrame, mode: str = "append", batch: Callable[[DataFrame, int], None] | None = None, schema=None) -> DataFrame:
@@ -53,13 +52,15 @@ def drain(stream: DataFrame, mode: str = "append", batch: Callable[[DataFrame, i
     elif mode == "append":
         w = w.format("parquet").option("path", out).outputMode("append")
     else:
-        w = w.outputMode(mode).foreachBatch(lambda df, i: df.withColumn("batch_id", F.lit(i)).write.mode("append").parquet(out))
+        # a batch that is run again replaces what it wrote
+        w = w.outputMode(mode).foreachBatch(lambda df, i: df.write.mode("overwrite").parquet(f"{out}/batch_id={i}"))
     w.start().awaitTermination()
     if batch is not None:
         return None
     fields = stream.schema if mode == "append" else stream.withColumn("batch_id", F.lit(0).cast("int")).schema
-    spark.createDataFrame([], fields).write.mode("append").parquet(out) if mode != "append" else None
-    return spark.read.schema(fields).parquet(out)
+    if mode != "append":
+        spark.createDataFrame([], stream.schema).write.parquet(f"{out}/batch_id=-1")
+    return spark.read.schema(fields).parquet(out).select(*fields.names)
 
 
 def stream_conflicts(stream: DataFrame, kg: KnowledgeGraph, rules: DataFrame) -> DataFrame:
@@ -69,12 +70,15 @@ def stream_conflicts(stream: DataFrame, kg: KnowledgeGraph, rules: DataFrame) ->
     spark = kg.facts.sparkSession
     out = f"{_folder(spark)}/conflicts"
 
-    def one(df: DataFrame, _: int) -> None:
+    def one(df: DataFrame, i: int) -> None:
         fresh = written(df.drop("at"), "batch")
-        check_new_facts(kg, fresh, rules).write.mode("append").parquet(out)
+        # a batch that is run again replaces what it wrote
+        check_new_facts(kg, fresh, rules).write.mode("overwrite").parquet(f"{out}/batch_id={i}")
 
     drain(stream, batch=one)
-    return spark.read.schema("new_fact string, cid string, x string, fact1 string, fact2 string, link_fact string, verdict tinyint").parquet(out)
+    fields = "new_fact string, cid string, x string, fact1 string, fact2 string, link_fact string, verdict tinyint"
+    spark.createDataFrame([], fields).write.parquet(f"{out}/batch_id=-1")
+    return spark.read.schema(f"{fields}, batch_id int").parquet(out).drop("batch_id")
 
 
 def stream_stream_conflicts(first: DataFrame, second: DataFrame, delay: str = "1 hour", horizon: str = "1 hour") -> DataFrame:
