@@ -34,6 +34,8 @@ FOLDS, QUANTILE, LEAST_HELD = 5, 0.995, 20
 CHUNK_ROWS, BLOCK_BYTES, PACK_BYTES = 16_384, 192 << 20, 4 << 20
 #: Different 5-grams of a block and language that a task holds before it passes them on.
 HELD_GRAMS = 500_000
+#: Bytes of text whose 5-grams are formed at once: each byte takes about 100 bytes of arrays.
+SLICE = 1 << 18
 #: Trusted document numbers are broadcast up to this many (8 bytes each), else joined by shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -86,7 +88,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     for b in batches:
         langs, roles, blocks = np.array([x or "" for x in b.column("lang").to_pylist()], object), b.column("role").to_numpy(), b.column("block").to_numpy()
-        for s in slices(b.column("text")):
+        for s in slices(b.column("text"), SLICE):
             hi, lo, first = symbols(s)
             own, size = np.arange(s.first, s.last), np.diff(first)
             for key in sorted(set(zip(blocks[own].tolist(), langs[own]))):
@@ -268,7 +270,7 @@ def _sum(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _scored(b: pa.RecordBatch, table: Table) -> pa.RecordBatch:
     langs = np.array([x or "" for x in b.column("lang").to_pylist()], object)
     total, seen = [np.zeros(0)], [np.zeros(0, np.int64)]
-    for s in slices(b.column("text")):
+    for s in slices(b.column("text"), SLICE):
         hi, lo, first = symbols(s)
         own, n = langs[s.first : s.last], np.diff(first)
         keys = np.empty(len(hi), np.uint64)
