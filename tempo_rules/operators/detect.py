@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions.granule import TIME_COLUMNS, Interval, is_inverted
 from ..functions.predicates import PREDICATES, SYMMETRIC
 from ..plans.kg import KnowledgeGraph, links, temporal_edges
+from ..sources.tables import small
 from .match import side, time_of
 from .mine import CLASSES, CONSTRAINTS
 
@@ -65,7 +66,7 @@ _KEEP = ("cid", "head", "pattern", "p1", "d1", "p2", "d2", *CLASSES, "x", "w", "
 
 def _one_subject(rules: DataFrame, first: DataFrame, second: DataFrame, once: bool) -> DataFrame:
     """Matches of one-subject rules; `once` leaves one order of pairs whose order doesn't matter."""
-    r = F.broadcast(rules.where("pattern <> 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
+    r = small(rules.where("pattern <> 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
     out = side(first, 1).join(r, ["p1", "d1"]).join(side(second, 2), ["x", "p2", "d2"]).where("fact1 <> fact2 and o1 <> o2")
     if once:
         out = out.where(~_unordered() | (F.col("fact1") < F.col("fact2")))
@@ -73,9 +74,9 @@ def _one_subject(rules: DataFrame, first: DataFrame, second: DataFrame, once: bo
 
 
 def _two_subjects(kg: KnowledgeGraph, rules: DataFrame, first: DataFrame, second: DataFrame) -> DataFrame:
-    r = F.broadcast(rules.where("pattern = 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
+    r = small(rules.where("pattern = 'b'").select("cid", "head", "pattern", "p0", "d0", "p1", "d1", "p2", "d2", *CLASSES))
     hop = links(kg.facts).select("x", "p0", "d0", F.col("y").alias("w"), "link_fact").where("x <> w")
-    hop = hop.join(F.broadcast(r.select("p0", "d0").distinct()), ["p0", "d0"], "left_semi")
+    hop = hop.join(small(r.select("p0", "d0").distinct()), ["p0", "d0"], "left_semi")
     return side(first, 1).join(r, ["p1", "d1"]).join(hop, ["x", "p0", "d0"]).join(side(second, 2, "w"), ["w", "p2", "d2"]).where("fact1 <> fact2").select(*_KEEP)
 
 
@@ -86,7 +87,7 @@ def _conflicts(pairs: DataFrame, kg: KnowledgeGraph, shape: _Shape) -> DataFrame
 
 def _slots(rules: DataFrame) -> DataFrame:
     one = rules.select(F.col("p1").alias("p"), F.col("d1").alias("d")).union(rules.select("p2", "d2"))
-    return F.broadcast(one.distinct())
+    return small(one.distinct())
 
 
 def _matches(kg: KnowledgeGraph, rules: DataFrame, shape: _Shape, first: DataFrame, second: DataFrame, once: bool) -> DataFrame:
@@ -142,7 +143,7 @@ def conflict_profile(conflicts: DataFrame, rules: DataFrame) -> DataFrame:
 
     per = conflicts.groupBy("cid").agg(F.count("*").alias("n"))
     total = per.agg(F.sum("n").alias("total"))
-    named = per.join(F.broadcast(rules.select("cid", "head", "p1", "p2")), "cid").join(F.broadcast(total), F.col("n") <= F.col("total"))
+    named = per.join(rules.select("cid", "head", "p1", "p2"), "cid").join(F.broadcast(total), F.col("n") <= F.col("total"))
     return named.select("cid", "head", "p1", "p2", "n", F.round(F.col("n") / F.col("total"), 6).alias("share"), F.rank().over(Window.orderBy(F.desc("n"))).alias("place"))
 
 

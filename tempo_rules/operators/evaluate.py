@@ -84,7 +84,7 @@ def balanced_labels(wrong: DataFrame, correct: DataFrame) -> DataFrame:
     """Wrong facts and, property by property, as many correct ones, in a fixed random order."""
     need = wrong.groupBy("p").agg(F.count("*").alias("need"))
     w = Window.partitionBy("p").orderBy(F.md5("fact_id"), "fact_id")
-    right = correct.join(F.broadcast(need), "p").withColumn("k", F.row_number().over(w)).where("k <= need")
+    right = correct.join(need, "p").withColumn("k", F.row_number().over(w)).where("k <= need")
     return wrong.select("fact_id", F.lit(True).alias("is_wrong"), F.col("p").alias("property")).union(right.select("fact_id", F.lit(False), "p"))
 
 

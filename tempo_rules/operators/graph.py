@@ -2,28 +2,32 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import written
+from ..sources.tables import small, written
 
 
 def component_of(facts: DataFrame, seeds: DataFrame, max_hops: int | None = None) -> DataFrame:
     """Facts between resources that are connected with a seed (column entity), within max_hops if given.
 
-    The frontier grows hop by hop; only newly reached entities are joined with the edges.
+    The frontier grows hop by hop. An edge leads from a hop to the one before, itself or the
+    next one, so new entities are told by the last two hops alone, and each is written once.
     """
     pairs = written(facts.where("o_kind = 'res'").select(F.col("s").alias("a"), F.col("o").alias("b")).distinct(), "pairs")
     both = pairs.union(pairs.select("b", "a"))
-    reached = written(seeds.select("entity").distinct(), "reached")
-    front, hop = reached, 0
-    while max_hops is None or hop < max_hops:
-        step = both.join(front, both.a == front.entity, "left_semi").select(F.col("b").alias("entity")).distinct()
-        front = written(step.join(reached, "entity", "left_anti"), "front")
+    fronts = [written(seeds.select("entity").distinct(), "front")]
+    while max_hops is None or len(fronts) <= max_hops:
+        step = both.join(fronts[-1], both.a == fronts[-1].entity, "left_semi").select(F.col("b").alias("entity")).distinct()
+        for known in fronts[-2:]:
+            step = step.join(known, "entity", "left_anti")
+        front = written(step, "front")
         if front.isEmpty():
             break
-        reached = written(reached.union(front), "reached")
-        hop += 1
+        fronts.append(front)
+    reached = reduce(DataFrame.union, fronts)
     return facts.join(reached, facts.s == reached.entity, "left_semi")
 
 
@@ -34,7 +38,7 @@ def temporal_properties(facts: DataFrame) -> DataFrame:
 
 def extract_by_properties(facts: DataFrame, properties: DataFrame) -> DataFrame:
     """Facts of the listed properties (column p)."""
-    return facts.join(F.broadcast(properties.select("p").distinct()), "p", "left_semi")
+    return facts.join(small(properties.select("p").distinct()), "p", "left_semi")
 
 
 def one_hop(facts: DataFrame, properties: DataFrame) -> DataFrame:

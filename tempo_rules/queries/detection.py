@@ -164,18 +164,6 @@ _add("check_new_facts", check_new_facts, f"""WITH {_VERSIONS}, f AS (SELECT * FR
     SELECT cid, count(*) AS n, count(DISTINCT new_fact) AS n_facts FROM u WHERE new_fact IN (SELECT fact_id FROM w) GROUP BY cid""")
 
 
-def component_subgraph(s, d):
-    """Facts connected with the first hundred parts' orders in two hops."""
-    f = project.facts(s, d, ("K1", "K5", "K12"))
-    seeds = f.where("p = 'contains_part' and o in ('P:1', 'P:2')").select(F.col("o").alias("entity"))
-    return component_of(f, seeds, 2).groupBy("p").agg(F.count("*").alias("n"))
-
-
-_add("component_subgraph", component_subgraph, f"""WITH RECURSIVE f AS ({t.facts(('K1', 'K5', 'K12'))}), g AS (SELECT DISTINCT s AS a, o AS b FROM f WHERE o_kind = 'res' UNION SELECT DISTINCT o, s FROM f WHERE o_kind = 'res'),
-    r(entity, hop) AS (SELECT DISTINCT o, 0 FROM f WHERE p = 'contains_part' AND o IN ('P:1', 'P:2') UNION SELECT g.b, r.hop + 1 FROM r JOIN g ON g.a = r.entity WHERE r.hop < 2)
-    SELECT p, count(*) AS n FROM f WHERE s IN (SELECT entity FROM r) GROUP BY p""")
-
-
 def component_whole(s, d):
     """All facts connected with one conversation."""
     f = project.facts(s, d, ("K11", "K12"))
@@ -207,6 +195,21 @@ _add("balanced_labels", lambda s, d: _labels(s, d).select("fact_id", "is_wrong",
 _add("label_distribution", lambda s, d: evaluate.label_overview(_labels(s, d)), f"WITH {_LABELS}, p AS (SELECT property, count(*) FILTER (is_wrong) AS n_wrong, count(*) FILTER (NOT is_wrong) AS n_right FROM lab GROUP BY 1) SELECT *, rank() OVER (ORDER BY n_wrong DESC) AS place FROM p")
 
 
+def component_subgraph(s, d):
+    """Facts within two hops of the subjects of the labelled facts."""
+    f = project.facts(s, d, ("K1", "K5", "K12"))
+    new = project.facts(s, d, LABELLED)
+    named = new.unionByName(project.old_snapshot(new)).select("fact_id", F.col("s").alias("entity"))
+    seeds = named.join(_labels(s, d).select("fact_id"), "fact_id", "left_semi").select("entity")
+    return component_of(f, seeds, 2).groupBy("p").agg(F.count("*").alias("n"))
+
+
+_add("component_subgraph", component_subgraph, f"""WITH RECURSIVE {_LABELS}, cf AS ({t.facts(('K1', 'K5', 'K12'))}), g AS (SELECT DISTINCT s AS a, o AS b FROM cf WHERE o_kind = 'res' UNION SELECT DISTINCT o, s FROM cf WHERE o_kind = 'res'),
+    named AS (SELECT fact_id, s FROM new UNION SELECT fact_id, s FROM old),
+    r(entity, hop) AS (SELECT DISTINCT s, 0 FROM named WHERE fact_id IN (SELECT fact_id FROM lab) UNION SELECT g.b, r.hop + 1 FROM r JOIN g ON g.a = r.entity WHERE r.hop < 2)
+    SELECT p, count(*) AS n FROM cf WHERE s IN (SELECT entity FROM r) GROUP BY p""")
+
+
 def _mined_conflicts(s, d, level: str):
     kg = _old(s, d)
     cfg = replace(MinerConfig(min_support=MIN_SUPPORT, patterns=("a",)), level=level)
