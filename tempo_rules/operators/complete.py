@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.granule import TIME_COLUMNS
 from ..plans.kg import KnowledgeGraph
+from ..sources.tables import small, written
 from .detect import check_new_facts
 
 #: A task is facts (fact_id, s, p, o, t): rank the properties p for (s, ?, o, t), or the objects o for (s, p, ?, t).
@@ -36,15 +37,37 @@ def resplit(train: DataFrame, valid: DataFrame, test: DataFrame, seed: int = 0)
 
 
 def _candidates(train: DataFrame, queries: DataFrame, slot: str) -> DataFrame:
-    """Every query with every candidate of the slot; candidates are few by design (properties) or those of the training part seen with p."""
-    pool = train.select(F.col(slot).alias("cand")).distinct()
-    q = queries.select(F.col("fact_id").alias("qid"), "s", "p", "o", "ts_lo", F.col(slot).alias("gold"))
-    return q.withColumn("k", F.lit(1)).join(F.broadcast(pool.withColumn("k", F.lit(1))), "k").drop("k")
-
+    """Queries with their candidates: every property; of the objects, those seen with the subject, and the right one.
 
-def _ranked(scored: DataFrame, order: list[Column], slot: str) -> DataFrame:
-    w = Window.partitionBy("qid").orderBy(*order, "cand")
-    out = scored.withColumn("rank", F.row_number().over(w))
+    Properties are as few as a schema has, and all are listed. Objects grow with the graph:
+    those that the subject never had rank behind the others, so that places tell their ranks.
+    """
+    q = queries.select(F.col("fact_id").alias("qid"), "s", "p", "o", "ts_lo", F.col(slot).alias("gold"))
+    pool = train.select(F.col(slot).alias("cand")).distinct()
+    if slot == "p":
+        return q.crossJoin(small(pool))
+    seen = q.join(train.select("s", F.col("o").alias("cand")).distinct(), "s")
+    right = q.withColumn("cand", F.col("gold")).join(pool, "cand", "left_semi")
+    return seen.unionByName(right).distinct()
+
+
+def _places(pool: DataFrame, order: list[Column]) -> DataFrame:
+    """Place of every candidate in one order of all: ranges in order, counted, then numbered each for itself."""
+    ranged = written(pool.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "places")
+    parts = ranged.groupBy("part").agg(F.count("*").alias("n"))
+    before = parts.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("before"))
+    numbered = ranged.withColumn("place", F.row_number().over(Window.partitionBy("part").orderBy(*order)))
+    return numbered.join(small(before), "part").select("cand", (F.col("place") + F.col("before")).alias("place"))
+
+
+def _ranked(scored: DataFrame, scores: list[str], places: DataFrame, slot: str) -> DataFrame:
+    """Ranks among all candidates, listed or not: those with a score by their scores, then the others by place."""
+    known = F.coalesce(*scores).isNotNull()
+    all_ = scored.join(small(places) if slot == "p" else places, "cand").withColumn("known", known.cast("int"))
+    q = Window.partitionBy("qid")
+    first = F.row_number().over(q.orderBy(*[F.desc_nulls_last(c) for c in scores], "place"))
+    ahead = F.sum("known").over(q) - F.sum("known").over(q.orderBy("place"))
+    out = all_.withColumn("rank", F.when(known, first).otherwise(ahead + F.col("place")).cast("int"))
     return out.select("qid", "s", "p", "o", "ts_lo", F.col("cand").alias(f"cand_{slot}"), "rank", (F.col("cand") == F.col("gold")).alias("is_gold"))
 
 
@@ -53,8 +76,8 @@ def frequency_ranker(train: DataFrame, queries: DataFrame, slot: str = "p") -> D
     other = "o" if slot == "p" else "p"
     n = lambda keys, name: train.groupBy(*keys, F.col(slot).alias("cand")).agg(F.count("*").alias(name))
     c = _candidates(train, queries, slot)
-    scored = c.join(n(["s", other], "n2"), ["s", other, "cand"], "left").join(n(["s"], "n1"), ["s", "cand"], "left").join(F.broadcast(n([], "n0")), "cand", "left")
-    return _ranked(scored, [F.desc(F.coalesce(x, F.lit(0))) for x in ("n2", "n1", "n0")], slot)
+    scored = c.join(n(["s", other], "n2"), ["s", other, "cand"], "left").join(n(["s"], "n1"), ["s", "cand"], "left")
+    return _ranked(scored, ["n2", "n1"], _places(n([], "n0"), [F.desc("n0"), F.col("cand")]), slot)
 
 
 def recency_ranker(train: DataFrame, queries: DataFrame, slot: str = "p") -> DataFrame:
@@ -65,7 +88,19 @@ def recency_ranker(train: DataFrame, queries: DataFrame, slot: str = "p") -> Dat
         c.select("qid", "s", "p", "o", "qt", "cand").join(train.select(*keys, F.col(slot).alias("cand"), F.col("ts_lo").alias("at")), [*keys, "cand"]).where("at < qt").groupBy("qid", "cand").agg(F.max("at").alias(name))
     )
     scored = c.join(past(["s", other], "t2"), ["qid", "cand"], "left").join(past(["s"], "t1"), ["qid", "cand"], "left")
-    return _ranked(scored, [F.desc_nulls_last("t2"), F.desc_nulls_last("t1")], slot)
+    return _ranked(scored, ["t2", "t1"], _places(train.select(F.col(slot).alias("cand")).distinct(), [F.col("cand")]), slot)
+
+
+def external_ranking(queries: DataFrame, lists: DataFrame, slot: str = "p") -> DataFrame:
+    """Predictions of another system as ranked candidates: `lists` has qid, cand and score; a greater score ranks first, ties by name.
+
+    Rows of unknown queries or without a candidate are left out; a candidate listed twice counts once, with its greatest score.
+    """
+    q = queries.select(F.col("fact_id").alias("qid"), "s", "p", "o", "ts_lo", F.col(slot).alias("gold"))
+    best = lists.where("cand is not null").groupBy("qid", "cand").agg(F.max("score").alias("score"))
+    w = Window.partitionBy("qid").orderBy(F.desc_nulls_last("score"), "cand")
+    ranked = q.join(best, "qid").withColumn("rank", F.row_number().over(w))
+    return ranked.select("qid", "s", "p", "o", "ts_lo", F.col("cand").alias(f"cand_{slot}"), "rank", (F.col("cand") == F.col("gold")).alias("is_gold"))
 
 
 def hypothetical_facts(predictions: DataFrame, slot: str = "p") -> DataFrame:

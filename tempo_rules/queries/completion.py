@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import complete, detect
+from ..operators import complete, detect, mine
 from ..operators.evaluate import ranking_metrics
 from ..plans import project
 from ..plans.kg import KnowledgeGraph
-from ..sources.tables import written
+from ..sources.tables import MIN_SUPPORT, written
 from . import sqltext as t
 
 RULE = [{"id": "N1", "head": "before", "slots": ["signup", "purchase"]}]
@@ -105,6 +105,43 @@ def _measures(name: str, stage: str, col: str) -> str:
 _add("ranking_metrics", ranking_measures, " UNION ALL ".join(f"SELECT * FROM (WITH {q}{_FLAGGED} {_measures(n, st, c)})" for n, q in (("frequency", _FREQUENT), ("recency", _RECENT)) for st, c in (("before", "rank"), ("after", "new_rank"))))
 
 
+#: Orders with their lines and conversations: tables that obey rules, unlike random events.
+RULED = ("K3", "K5", "K6", "K11")
+_RULED_PARTS = f"""f AS ({t.facts(RULED)}), n AS (SELECT *, CAST('0x' || substr(md5(fact_id || '#1'), 1, 8) AS BIGINT) / 4294967296.0 AS u FROM f),
+    tr AS (SELECT * FROM n WHERE u < 0.8), te AS (SELECT * FROM n WHERE u >= 0.8)"""
+_BROKEN = "CASE ru.head " + " ".join(f"WHEN '{h}' THEN ({t.verdict(h)})" for h in ("start", "finish", "before", "disjoint", "include")) + " WHEN 'never' THEN -1 END = -1"
+_MINED_FLAGS = f""", e AS ({t.edges('tr')}), v AS ({t.one_subject()}), sc AS ({t.scores('entity')}), ru AS (SELECT * FROM sc WHERE n_pos >= {MIN_SUPPORT} AND n_pos / nullif(n_pos + n_neg, 0)::DOUBLE > 0.9),
+    nf AS (SELECT qid, cand, s AS x, cand AS p, o AS y, ts_lo, ts_lo + 1 AS ts_hi, 0 AS ts_gran, ts_lo AS te_lo, ts_lo + 1 AS te_hi, 0 AS te_gran FROM ranked),
+    hit AS (SELECT i.qid, i.cand FROM nf i JOIN ru ON ru.p1 = i.p JOIN e j ON j.x = i.x AND j.p = ru.p2 AND i.y <> j.y WHERE {_BROKEN} UNION SELECT j.qid, j.cand FROM nf j JOIN ru ON ru.p2 = j.p JOIN e i ON i.x = j.x AND i.p = ru.p1 AND i.y <> j.y WHERE {_BROKEN}),
+    flagged AS (SELECT r.*, (h.qid IS NOT NULL)::INT AS flag FROM ranked r LEFT JOIN hit h ON h.qid = r.qid AND h.cand = r.cand),
+    moved AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY flag, rank) AS new_rank FROM flagged)"""
+_MINED_RANKS = _FREQUENT.replace(_PARTS, _RULED_PARTS) + _MINED_FLAGS
+
+
+def _reranked_mined(s, d):
+    """Rules are mined from four fifths of the facts, and move the candidates for the others that break them."""
+    f = written(project.facts(s, d, RULED), "facts")
+    u = complete.hash_share(F.col("fact_id"), 1)
+    train, test = written(f.where(u < 0.8), "train"), f.where(u >= 0.8)
+    kg = KnowledgeGraph(train, s.createDataFrame([], "entity string, class string"))
+    rules = written(mine.mine_constraints(kg, mine.MinerConfig(min_support=MIN_SUPPORT, patterns=("a",)), refine=False), "rules")
+    predictions = written(complete.frequency_ranker(train, test), "predictions")
+    return complete.rerank(predictions, complete.conflict_flags(kg, predictions, rules))
+
+
+_add("rank_reranked_mined", lambda s, d: _reranked_mined(s, d).select(*_SHOW, "flag", "new_rank"), f"WITH {_MINED_RANKS} SELECT qid, cand AS cand_p, rank, cand = p AS is_gold, flag, new_rank FROM moved")
+
+
+def ranking_measures_mined(s, d):
+    """Measures before and after re-ranking by mined rules."""
+    r = written(_reranked_mined(s, d), "reranked")
+    one = lambda stage, col: ranking_metrics(r, (1, 3, 10), col).withColumns({"ranker": F.lit("frequency"), "stage": F.lit(stage)})
+    return one("before", "rank").unionByName(one("after", "new_rank"))
+
+
+_add("ranking_metrics_mined", ranking_measures_mined, " UNION ALL ".join(f"SELECT * FROM (WITH {_MINED_RANKS} {_measures('frequency', st, c)})" for st, c in (("before", "rank"), ("after", "new_rank"))))
+
+
 def rank_entities(s, d):
     """The same with the object to be predicted: measures only."""
     train, _, test = _parts(s, d)

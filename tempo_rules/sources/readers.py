@@ -30,6 +30,11 @@ def read_statements(spark: SparkSession, path: str) -> DataFrame:
     return _facts(df.where("_corrupt is null"), interval_from_qualifiers(F.col("qualifiers")), F.lit("res"), "statements")
 
 
+def read_ranked_lists(spark: SparkSession, path: str, sep: str = "\t") -> DataFrame:
+    """Rows qid, cand, score of another system's predictions; a score that is no number is absent and ranks last."""
+    return spark.read.schema("qid string, cand string, score double").option("sep", sep).option("mode", "PERMISSIVE").csv(path)
+
+
 def broken_statements(spark: SparkSession, path: str) -> DataFrame:
     """The lines that read_statements leaves out, as they are."""
     df = spark.read.schema(STATEMENTS).option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt").json(path)

@@ -1,5 +1,6 @@
 import itertools
 import json
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -351,3 +352,47 @@ def test_mined_rules_do_not_depend_on_the_folder_name(spark, tmp_path):
     (tmp_path / "other").symlink_to(SF)
     rules = [sorted(map(str, catalogue.QUERIES["mine_base"](spark, d).collect())) for d in (SF, str(tmp_path / "other"))]
     assert rules[0] == rules[1]
+
+
+def _temporal(spark, rows):
+    """fact_id, s, p, o, t as instant facts."""
+    df = spark.createDataFrame(rows, "fact_id string, s string, p string, o string, ts_lo long")
+    at = F.col("ts_lo")
+    return df.withColumns({"ts_hi": at + 1, "ts_gran": F.lit(0).cast("tinyint"), "te_lo": at, "te_hi": at + 1, "te_gran": F.lit(0).cast("tinyint"), "o_kind": F.lit("res"), "is_temporal": F.lit(True), "src": F.lit("test")})
+
+
+def test_ranks_of_objects_without_listing_all_of_them(spark):
+    rng = random.Random(5)
+    rows = [(f"f{i}", f"s{rng.randrange(6)}", rng.choice("pq"), f"o{rng.randrange(25)}", i) for i in range(120)]
+    train, test = rows[:90], rows[90:]
+    got = {r["qid"]: r["rank"] for r in complete.frequency_ranker(_temporal(spark, train), _temporal(spark, test), "o").where("is_gold").collect()}
+    late = {r["qid"]: r["rank"] for r in complete.recency_ranker(_temporal(spark, train), _temporal(spark, test), "o").where("is_gold").collect()}
+    pool = {r[3] for r in train}
+    for fid, s, p, o, at in test:
+        by_count = sorted(pool, key=lambda c: (-sum(r[1:4] == (s, p, c) for r in train), -sum(r[1] == s and r[3] == c for r in train), -sum(r[3] == c for r in train), c))
+        last = lambda c, q: max((r[4] for r in train if r[1] == s and r[3] == c and q(r) and r[4] < at), default=-1)  # noqa: B023, E731
+        by_time = sorted(pool, key=lambda c: (-last(c, lambda r: r[2] == p), -last(c, lambda r: True), c))  # noqa: B023
+        assert got.get(fid) == (by_count.index(o) + 1 if o in pool else None)
+        assert late.get(fid) == (by_time.index(o) + 1 if o in pool else None)
+
+
+def test_ranked_lists_of_another_system(spark, tmp_path):
+    (tmp_path / "lists.tsv").write_text("a\tq\t0.5\na\tp\t0.9\na\tr\tnone\na\tq\t0.7\nzz\tp\t1\na\t\t3\n")
+    lists = readers.read_ranked_lists(spark, str(tmp_path / "lists.tsv"))
+    ranked = complete.external_ranking(_temporal(spark, [("a", "s", "q", "o", 3)]), lists).orderBy("rank").collect()
+    assert [(r["cand_p"], r["rank"], r["is_gold"]) for r in ranked] == [("p", 1, False), ("q", 2, True), ("r", 3, False)]
+
+
+def test_only_classes_with_the_support_are_refined(spark):
+    edges = spark.createDataFrame([(f"x{i}", "p", 1, "y1" if i < 3 else "y2") for i in range(4)], "x string, p string, d int, y string")
+    classes = spark.createDataFrame([("y1", "A"), ("y2", "B"), ("x0", "C"), ("x1", "C")], "entity string, class string")
+    subjects, objects = refine.frequent_classes(edges, classes, 2)
+    assert [r["class"] for r in subjects.collect()] == ["C"] and [r["class"] for r in objects.collect()] == ["A"]
+
+
+def test_components_by_the_last_two_hops(spark):
+    pairs = [(0, 1), (1, 2), (2, 0), (2, 3), (3, 4), (4, 5), (5, 3), (6, 7)]
+    facts = _temporal(spark, [(f"f{i}", f"n{a}", "p", f"n{b}", i) for i, (a, b) in enumerate(pairs)])
+    seeds = spark.createDataFrame([("n0",), ("n0",)], "entity string")
+    ids = lambda hops: sorted(int(r["fact_id"][1:]) for r in graph.component_of(facts, seeds, hops).collect())
+    assert ids(None) == [0, 1, 2, 3, 4, 5, 6] and ids(0) == [0] and ids(1) == [0, 1, 2, 3] and ids(2) == [0, 1, 2, 3, 4]
