@@ -1,21 +1,22 @@
 """Sharding by sampled splitters: range partitions of nearly equal bytes.
 
 A size-weighted sample of sort keys gives quantile boundaries; exact sizes of the
-ranges between them are counted, ranges that hold too much are subdivided, and
-whole ranges go to shards in key order by their exact cumulative size.
+ranges between them are counted, ranges that hold too much are subdivided until none
+does, and whole ranges go to shards in key order by their exact cumulative size.
 """
 
 from __future__ import annotations
 
 from bisect import bisect_right
+from itertools import count as count_from
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import materialize, release
 
-#: Fine ranges for each shard, sampled keys for each range, rounds of subdivision.
-RANGES_PER_SHARD, SAMPLES_PER_RANGE, ROUNDS = 64, 24, 3
+#: Fine ranges for each shard, sampled keys for each range.
+RANGES_PER_SHARD, SAMPLES_PER_RANGE = 64, 24
 
 
 def _find(keys: list[str], sk: Column) -> Column:
@@ -81,13 +82,16 @@ def assign_shards(rows: DataFrame, n_shards: int, key: str = "key", tie: str = "
     # a boundary in mid-key moves to the key's start: rows of a key stay together
     bounds = sorted({b[:16] for b in bounds})
     most_bytes, most_rows = 2 * total / parts, max(2 * count / parts, 1)
-    for turn in range(ROUNDS + 1):
+    for turn in count_from(0):
         ranged = base.withColumn("r", _find(bounds, F.col("sk")))
-        sums = {x["r"]: (x["b"], x["n"]) for x in ranged.groupBy("r").agg(F.sum("size").alias("b"), F.count("*").alias("n")).toLocalIterator()}
-        over = {r: max(b / max(most_bytes, 1), n / most_rows) for r, (b, n) in sums.items() if n > 1 and (b > most_bytes or n > most_rows)}
-        if not over or turn == ROUNDS:
+        sums, over = {}, {}
+        for x in ranged.groupBy("r").agg(F.sum("size").alias("b"), F.max("size").alias("m"), F.count("*").alias("n")).toLocalIterator():
+            sums[x["r"]] = x["b"], x["n"]
+            # a row can't be divided: what lies beside the largest one counts
+            if x["n"] > 1 and (x["b"] - x["m"] > most_bytes or x["n"] > most_rows):
+                over[x["r"]] = max(x["b"] / max(most_bytes, 1), x["n"] / most_rows)
+        if not over:
             break
-        pieces = int(sum(2 * x + 2 for x in over.values()))
         keys = sorted(over)
         heavy = ranged.where(F.col("r").isin(keys))
         drawn = _sample(heavy, _weights(total, count), parts * SAMPLES_PER_RANGE * (turn + 2), 2 + turn)
@@ -96,8 +100,7 @@ def assign_shards(rows: DataFrame, n_shards: int, key: str = "key", tie: str = "
             lo, hi = bounds[r - 1] if r else "", bounds[r] if r < len(bounds) else None
             own = drawn[bisect_right(drawn, lo) : bisect_right(drawn, hi) if hi else None]
             new |= set(_quantiles(own, int(2 * over[r]) + 2))
-        if not new or pieces == 0:
-            break
+        # keys are unique and draws grow, so an overfull range gets a boundary sooner or later
         bounds = sorted({*bounds, *new})
     shard, offset, at, filled = [], [], 0, [0] * n_shards
     for r in range(len(bounds) + 1):

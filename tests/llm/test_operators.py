@@ -201,6 +201,19 @@ def test_shards_split_a_hot_key(spark):
     assert Counter(r["doc_id"] for r in out) == Counter(r[0] for r in rows)
 
 
+def test_shards_divide_until_no_range_is_overfull(spark):
+    """One key with nearly all bytes in rows of very different size, beside one row of a fifth of all."""
+    sizes = [1 + (i * i) % 997 for i in range(4000)] + [500_000]
+    df = spark.createDataFrame([(7 if i % 50 else i, 0, z) for i, z in enumerate(sizes)], "key long, tie long, size long")
+    rows = sharding.assign_shards(df, 16).collect()
+    assert len(rows) == len(sizes)
+    size = [0] * 16
+    for r in rows:
+        size[r["shard"]] += r["size"]
+    rest = sorted(size)[:-1]
+    assert max(rest) < 1.3 * sum(sizes) / 16 and sorted(r["slot"] for r in rows if r["shard"] == 3) == list(range(sum(r["shard"] == 3 for r in rows)))
+
+
 def test_shards_odd_and_empty(spark):
     import zlib
 
