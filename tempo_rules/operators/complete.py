@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from ..functions.granule import TIME_COLUMNS
 from ..plans.kg import KnowledgeGraph
-from ..sources.tables import small, written
+from ..sources.tables import bucketed, small, written
 from .detect import check_new_facts
+from .score import TICKS, is_tick, tick_order, tick_verdict
 
 #: A task is facts (fact_id, s, p, o, t): rank the properties p for (s, ?, o, t), or the objects o for (s, p, ?, t).
 
@@ -125,3 +126,71 @@ def rerank(predictions: DataFrame, flags: DataFrame, slot: str = "p") -> DataFra
     marked = predictions.join(flags.distinct().withColumn("flag", F.lit(1)), ["qid", f"cand_{slot}"], "left").withColumn("flag", F.coalesce("flag", F.lit(0)))
     w = Window.partitionBy("qid").orderBy("flag", "rank")
     return marked.withColumn("new_rank", F.row_number().over(w))
+
+
+def property_names(facts: DataFrame) -> DataFrame:
+    """Properties numbered by name: p, name. They are as few as a schema has."""
+    few = written(facts.where("p is not null").select(F.col("p").alias("name")).distinct(), "properties")
+    return written(few.select(F.row_number().over(Window.orderBy("name")).alias("p"), "name"), "names")
+
+
+def laid_by_subject(facts: DataFrame, names: DataFrame, held: Column) -> DataFrame:
+    """Facts once, by subject: s, p (a number), o, fact, ts_lo, span, held, fact_id.
+
+    Subjects, objects and ids are 64-bit hashes; facts held back have their ids instead. `span` has times that aren't single ticks.
+    """
+    marked = facts.join(small(names.withColumnRenamed("p", "number")), F.col("p") == F.col("name"), "left")
+    hashed = [F.when(F.col(c).isNotNull(), F.xxhash64(c)).alias(a) for c, a in (("s", "s"), ("o", "o"), ("fact_id", "fact"))]
+    marked = marked.select(*hashed, F.col("number").alias("p"), "ts_lo", F.when(~is_tick(), F.struct(*TIME_COLUMNS)).alias("span"), "fact_id", held.alias("held"))
+    ids = {"fact_id": F.when(F.col("held"), F.col("fact_id")), "fact": F.when(~F.col("held"), F.col("fact"))}
+    return bucketed(marked.withColumns(ids), "s", "facts")
+
+
+def _breaking(rules: DataFrame, names: DataFrame) -> DataFrame:
+    """cand, masks: by the property of an old fact, the TICKS of a new fact of cand to it that break some rule."""
+    bits = lambda h, swapped: sum((F.when(v == -1, b).otherwise(0) for b, v in zip(TICKS, tick_verdict(h, swapped))), F.lit(0))
+
+    def mask(swapped: bool) -> Column:
+        out = F.lit(sum(TICKS))
+        for h in ("start", "finish", "before", "disjoint", "include"):
+            out = F.when(F.col("head") == h, bits(h, swapped)).otherwise(out)
+        return out
+
+    one = rules.where("pattern <> 'b' and d1 = 1 and d2 = 1")
+    both = one.select(F.col("p1").alias("cand"), F.col("p2").alias("name"), mask(False).alias("mask")).unionAll(one.select("p2", "p1", mask(True)))
+    each = both.groupBy("cand", "name").agg(F.bit_or("mask").alias("mask")).join(F.broadcast(names), "name")
+    return each.groupBy("cand").agg(F.map_from_entries(F.collect_list(F.struct("p", "mask"))).alias("masks"))
+
+
+def rerank_by_subject(laid: DataFrame, names: DataFrame, rules: DataFrame) -> DataFrame:
+    """frequency_ranker, conflict_flags and rerank in one, for properties of facts laid by subject whose times are single ticks.
+
+    Rules are of one subject, over forward slots and without classes. A held fact meets its subject's others
+    in its own task: counts per property and the TICKS between them are all that ranks and flags need.
+    Copies of a query are ranked as one list; an id belongs to one subject.
+    """
+    train = laid.where("not held")
+    seen = train.groupBy("p").agg(F.count("*").alias("n0")).join(F.broadcast(names), "p").withColumnRenamed("name", "cand")
+    seen = written(seen, "seen")
+    places = _places(seen.select("cand", "n0"), [F.desc("n0"), F.col("cand")])
+    pool = places.join(seen.select("cand", "p"), "cand").join(_breaking(rules, names), "cand", "left")
+    pool = written(pool.agg(F.collect_list(F.struct("place", "cand", "p", "masks")).alias("pool")), "pool")
+    q = laid.where("held").select("s", F.col("fact_id").alias("qid"), "p", "o", F.col("ts_lo").alias("at"), F.monotonically_increasing_id().alias("k"))
+    t = train.select("s", F.col("p").alias("with"), F.col("o").alias("to"), F.col("ts_lo").alias("then"))
+    met = q.join(t, "s", "left").groupBy("s", "k", "qid", "p", "with").agg(
+        F.count("to").alias("n1"), F.count_if(F.col("o") == F.col("to")).alias("n2"), F.bit_or(F.when(F.col("o") != F.col("to"), tick_order(F.col("at"), F.col("then")))).alias("ticks")
+    )
+    # more facts of the pair come first, then more of the subject
+    score = F.shiftleft("n2", 32) + F.col("n1")
+    lists = met.groupBy("s", "qid").agg(F.collect_list(F.struct("k", "with", score.alias("score"), "ticks")).alias("met"), F.collect_set(F.struct("k", "p")).alias("copies"))
+
+    def candidate(copy: Column, c: Column) -> Column:
+        own = F.get(F.filter("met", lambda m: (m["with"] == c["p"]) & (m["k"] == copy["k"])), 0)["score"]
+        broken = F.exists("met", lambda m: F.coalesce(m["ticks"].bitwiseAND(F.try_element_at(c["masks"], m["with"])), F.lit(0)) != 0)
+        flag = F.when(c["masks"].isNotNull() & broken, 1).otherwise(0)
+        return F.struct((-F.coalesce(own, F.lit(0))).alias("score"), c["place"].alias("place"), flag.alias("flag"), (c["p"] == copy["p"]).alias("is_gold"), c["cand"].alias("cand"))
+
+    all_ = F.flatten(F.transform("copies", lambda copy: F.transform("pool", lambda c: candidate(copy, c))))
+    ranked = lists.crossJoin(F.broadcast(pool)).select("qid", F.sort_array(all_).alias("all"))
+    moved = F.sort_array(F.transform("all", lambda c, i: F.struct(c["flag"].alias("flag"), (i + 1).alias("rank"), c["is_gold"].alias("is_gold"), c["cand"].alias("cand"))))
+    return ranked.select("qid", F.posexplode(moved).alias("at", "c")).select("qid", F.col("c.cand").alias("cand_p"), "c.rank", "c.is_gold", "c.flag", (F.col("at") + 1).alias("new_rank"))

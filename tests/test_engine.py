@@ -396,3 +396,53 @@ def test_components_by_the_last_two_hops(spark):
     seeds = spark.createDataFrame([("n0",), ("n0",)], "entity string")
     ids = lambda hops: sorted(int(r["fact_id"][1:]) for r in graph.component_of(facts, seeds, hops).collect())
     assert ids(None) == [0, 1, 2, 3, 4, 5, 6] and ids(0) == [0] and ids(1) == [0, 1, 2, 3] and ids(2) == [0, 1, 2, 3, 4]
+
+
+def test_mined_reranking_lays_facts_by_subject_once(spark):
+    """After the facts are laid, no row leaves its task: neither facts nor candidates are shuffled again."""
+    from tempo_rules import catalogue
+
+    df = catalogue.QUERIES["rank_reranked_mined"](spark, SF)
+    assert df.count() > 0 and "hashpartitioning" not in plan(df)
+
+
+def test_reranking_by_subject_equals_ranker_flags_and_reranking(spark):
+    rng = random.Random(7)
+    rows = [(f"f{i}", f"s{rng.randrange(12)}", rng.choice("pqr"), f"o{rng.randrange(5)}", rng.randrange(6)) for i in range(160)]
+    rows += [("f200", "alone", "p", "o1", 3)]
+    facts = _temporal(spark, rows)
+    held = F.col("fact_id").isin(*[f"f{i}" for i in range(0, 160, 4)], "f200")
+    kinds = [("before", "p", "q"), ("before", "q", "q"), ("include", "r", "p"), ("disjoint", "r", "r"), ("start", "q", "r"), ("never", "p", "p")]
+    for head, a, b in kinds:
+        rules = detect.parse_rules(spark, [{"id": "R", "head": head, "slots": [a, b]}])
+        train = facts.where(~held)
+        ranked = complete.frequency_ranker(train, facts.where(held))
+        apart = complete.rerank(ranked, complete.conflict_flags(K.KnowledgeGraph(train, no_classes(spark)), ranked, rules))
+        names = complete.property_names(facts)
+        fused = complete.rerank_by_subject(complete.laid_by_subject(facts, names, held), names, rules)
+        cols = ["qid", "cand_p", "rank", "is_gold", "flag", "new_rank"]
+        assert sorted(map(tuple, fused.select(cols).collect())) == sorted(map(tuple, apart.select(cols).collect())), head
+
+
+def test_tick_scores_equal_pair_scores(spark):
+    rng = random.Random(8)
+    rows = [(f"f{i}", f"s{rng.randrange(30)}", rng.choice("pq"), f"o{rng.randrange(6)}", rng.randrange(5)) for i in range(240)]
+    e = K.temporal_edges(_temporal(spark, rows))
+    cols = ["head", "pattern", "p1", "d1", "p2", "d2", "n_pos", "n_neg", "n_unk"]
+    got = score.score_ticks(e.withColumn("fact", F.col("fact_id")))
+    assert sorted(map(tuple, got.select(cols).collect())) == sorted(map(tuple, score.score_one_subject(match.match_one_subject(e)).select(cols).collect()))
+
+
+def test_facts_with_absent_times_are_mined_by_their_bounds(spark, tmp_path):
+    """One order without a date: the other path takes over, and keeps every other fact."""
+    from pathlib import Path
+
+    from tempo_rules import catalogue
+
+    for f in Path(SF).iterdir():
+        (tmp_path / f.name).symlink_to(f)
+    (tmp_path / "orders.parquet").unlink()
+    o = spark.read.parquet(f"{SF}/orders.parquet")
+    o.withColumn("o_orderdate", F.when(F.col("o_orderkey") != 3, F.col("o_orderdate"))).write.parquet(str(tmp_path / "orders.parquet"))
+    n = [catalogue.QUERIES["rank_reranked_mined"](spark, d).count() for d in (SF, str(tmp_path))]
+    assert n[0] == n[1] > 0
