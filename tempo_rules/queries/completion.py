@@ -144,7 +144,7 @@ _add("rank_reranked_mined", _reranked_mined, f"WITH {_MINED_RANKS} SELECT qid, c
 
 def ranking_measures_mined(s, d):
     """Measures before and after re-ranking by mined rules."""
-    r = written(_reranked_mined(s, d), "reranked")
+    r = written(_reranked_mined(s, d).where("is_gold").select("is_gold", "rank", "new_rank"), "gold")
     one = lambda stage, col: ranking_metrics(r, (1, 3, 10), col).withColumns({"ranker": F.lit("frequency"), "stage": F.lit(stage)})
     return one("before", "rank").unionByName(one("after", "new_rank"))
 

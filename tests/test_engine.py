@@ -446,3 +446,18 @@ def test_facts_with_absent_times_are_mined_by_their_bounds(spark, tmp_path):
     o.withColumn("o_orderdate", F.when(F.col("o_orderkey") != 3, F.col("o_orderdate"))).write.parquet(str(tmp_path / "orders.parquet"))
     n = [catalogue.QUERIES["rank_reranked_mined"](spark, d).count() for d in (SF, str(tmp_path))]
     assert n[0] == n[1] > 0
+
+
+def test_mined_measures_keep_no_candidate_but_the_right_one(spark, tmp_path):
+    """Only ranks of right answers are written between re-ranking and its measures."""
+    from tempo_rules import catalogue
+    from tempo_rules.queries import completion
+
+    names = []
+    kept = completion.written
+    completion.written = lambda df, name="t", *a: names.append((name, tuple(df.columns))) or kept(df, name, *a)
+    try:
+        assert catalogue.QUERIES["ranking_metrics_mined"](spark, SF).count() == 2
+    finally:
+        completion.written = kept
+    assert names == [("gold", ("is_gold", "rank", "new_rank"))]
