@@ -461,3 +461,13 @@ def test_mined_measures_keep_no_candidate_but_the_right_one(spark, tmp_path):
     finally:
         completion.written = kept
     assert names == [("gold", ("is_gold", "rank", "new_rank"))]
+
+
+@pytest.mark.parametrize("name", ["score_worked_example"])
+def test_examples_read_a_given_table(spark, name, monkeypatch):
+    from tempo_rules import catalogue
+    from tempo_rules.queries import graphs
+
+    seen, read = [], graphs.table
+    monkeypatch.setattr(graphs, "table", lambda s, d, n: seen.append(n) or read(s, d, n))
+    assert catalogue.QUERIES[name](spark, SF).count() > 0 and seen == ["orders"]
