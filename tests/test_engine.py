@@ -463,7 +463,7 @@ def test_mined_measures_keep_no_candidate_but_the_right_one(spark, tmp_path):
     assert names == [("gold", ("is_gold", "rank", "new_rank"))]
 
 
-@pytest.mark.parametrize("name", ["score_worked_example"])
+@pytest.mark.parametrize("name", ["score_worked_example", "time_granule_table"])
 def test_examples_read_a_given_table(spark, name, monkeypatch):
     from tempo_rules import catalogue
     from tempo_rules.queries import graphs
